@@ -2,9 +2,9 @@
 
 The text is cut into pre-tokens by the tokenizer's pattern. Inside a pre-token
 the live tokens form a doubly linked list over byte offsets. A bucket per merge
-rank holds the list positions whose pair has that rank; three levels of 64-bit
-bitmaps say which buckets are in use, so find-first-set gives the lowest rank in
-three steps, whatever the pre-token's length. A merge makes at most two new
+rank holds the list positions whose pair has that rank; two levels of bitmaps say
+which buckets are in use, so find-first-set gives the lowest rank in two steps,
+whatever the pre-token's length. A merge makes at most two new
 pairs; entries whose pair changed meanwhile are recognised as stale when popped.
 The cost is O(merges) queue steps instead of a scan of the list per merge.
 
@@ -16,60 +16,87 @@ an empty table; only the named columns are read, so other columns cannot clash.
 from __future__ import annotations
 
 import base64
+import re
 from collections.abc import Iterator
-from heapq import heappop, heappush
 from itertools import chain
 
+import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 import regex
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from sieve.llm.text import slices
 
-#: Pre-tokens whose ids a worker remembers; the memory is dropped when full.
-REMEMBERED = 300_000
+#: Pre-tokens of a generation that a worker remembers; there are two generations.
+REMEMBERED = 400_000
 
 
 class RankQueue:
-    """Ranks in use, lowest first, with positions in order inside a rank."""
+    """Merge ranks in use, lowest first, each with its bucket of list positions.
+
+    Two levels of bitmaps: words of 256 ranks, and a summary of the words in use.
+    """
 
     def __init__(self, ranks: int):
-        self.leaf = [0] * ((ranks >> 6) + 1)
-        self.mid = [0] * ((ranks >> 12) + 1)
-        self.top = 0
-        self.buckets: dict[int, list] = {}
+        self.words = [0] * ((ranks >> 8) + 1)
+        self.summary = 0
+        self.buckets: dict[int, list[int]] = {}
 
-    def push(self, rank: int, entry: tuple[int, int]) -> None:
+    def push(self, rank: int, position: int) -> None:
         bucket = self.buckets.get(rank)
-        if bucket is None:
-            self.buckets[rank] = [entry]
-            a, b = rank >> 6, rank >> 12
-            self.leaf[a] |= 1 << (rank & 63)
-            self.mid[b] |= 1 << (a & 63)
-            self.top |= 1 << b
-        else:
-            heappush(bucket, entry)
-
-    def pop(self) -> tuple[int, int, int] | None:
-        """(rank, position, end of the pair), or None."""
-        if not self.top:
-            return None
-        b = (self.top & -self.top).bit_length() - 1
-        m = self.mid[b]
-        a = (b << 6) + (m & -m).bit_length() - 1
-        x = self.leaf[a]
-        rank = (a << 6) + (x & -x).bit_length() - 1
-        bucket = self.buckets[rank]
-        entry = heappop(bucket)
-        if not bucket:
-            del self.buckets[rank]
-            self.leaf[a] &= ~(1 << (rank & 63))
-            if not self.leaf[a]:
-                self.mid[b] &= ~(1 << (a & 63))
-                if not self.mid[b]:
-                    self.top &= ~(1 << b)
-        return rank, *entry
+        if bucket is not None:
+            bucket.append(position)
+            return
+        self.buckets[rank] = [position]
+        at = rank >> 8
+        if not self.words[at]:
+            self.summary |= _BIT[at]
+        self.words[at] |= _BIT[rank & 255]
+
+    def pop(self) -> tuple[int, list[int]]:
+        """The lowest rank in use and its positions in order; the rank is free again."""
+        at = (self.summary & -self.summary).bit_length() - 1
+        word = self.words[at]
+        first = word & -word
+        self.words[at] = word = word ^ first
+        if not word:
+            self.summary ^= _BIT[at]
+        rank = (at << 8) + first.bit_length() - 1
+        bucket = self.buckets.pop(rank)
+        if len(bucket) > 1:
+            bucket.sort()
+        return rank, bucket
+
+
+_BIT = [1 << k for k in range(1024)]
+
+
+class _Known(dict):
+    """Ids of the pre-tokens met so far, in two generations."""
+
+    def __init__(self, make):
+        self.make, self.older = make, {}
+
+    def __missing__(self, piece: str) -> tuple[int, ...]:
+        ids = self.older.get(piece)
+        if ids is None:
+            ids = self.make(piece.encode("utf-8"))
+        if len(self) >= REMEMBERED:
+            self.older = dict(self)
+            self.clear()
+        self[piece] = ids
+        return ids
+
+
+def _ascii_split(pattern: str):
+    """The pattern for texts of ASCII alone, where properties are plain ranges; None if unsure."""
+    plain = re.sub(r"\[\^[^\]]*\]", lambda m: m[0].replace(r"\p{L}", "A-Za-z").replace(r"\p{N}", "0-9"), pattern)
+    plain = plain.replace(r"\p{L}", "[A-Za-z]").replace(r"\p{N}", "[0-9]")
+    if r"\p" in plain or r"\P" in plain or re.search(r"\[[^\]]*\[", plain):
+        return None
+    return re.compile(plain, re.ASCII).findall
 
 
 class Codec:
@@ -77,56 +104,94 @@ class Codec:
 
     def __init__(self, ranks: dict[bytes, int], pattern: str):
         self.ranks = ranks
-        self.words = dict(zip(ranks.values(), ranks.keys(), strict=True))
+        size = max(ranks.values(), default=0) + 1
+        if size >= 256 * len(_BIT):
+            _BIT.extend(1 << k for k in range(len(_BIT), size // 256 + 1))
         # White space as a Unicode property: the module's \s also takes U+001C-U+001F.
-        self.split = regex.compile(pattern.replace(r"\s", r"\p{White_Space}").replace(r"\S", r"\P{White_Space}")).findall
-        self.queue = RankQueue(max(ranks.values(), default=0) + 1)
-        self.known: dict[str, tuple[int, ...]] = {}
+        self.split_any = regex.compile(pattern.replace(r"\s", r"\p{White_Space}").replace(r"\S", r"\P{White_Space}")).findall
+        self.split_ascii = _ascii_split(pattern) or self.split_any
+        self.pairs = [-1] * 65536
+        for word, rank in ranks.items():
+            if len(word) == 2:
+                self.pairs[word[0] << 8 | word[1]] = rank
+        self.queue = RankQueue(size)
+        self.known = _Known(self.piece)
+        spans = np.zeros(size + 1, np.int64)
+        for word, rank in ranks.items():
+            spans[rank + 1] = len(word)
+        self.begin = np.cumsum(spans)
+        self.length = spans[1:]
+        self.blob = np.frombuffer(b"".join(w for w, _ in sorted(ranks.items(), key=lambda x: x[1])), np.uint8)
 
     def piece(self, b: bytes) -> tuple[int, ...]:
         """Ids of one pre-token."""
-        ranks, queue = self.ranks, self.queue
-        if (whole := ranks.get(b)) is not None:
+        get, queue, pairs = self.ranks.get, self.queue, self.pairs
+        if (whole := get(b)) is not None:
             return (whole,)
         n = len(b)
+        push = queue.push
         after = list(range(1, n + 2))  # start of the next live token
         before = list(range(-1, n))
-        for i in range(n - 1):
-            if (r := ranks.get(b[i : i + 2])) is not None:
-                queue.push(r, (i, i + 2))
-        while (item := queue.pop()) is not None:
-            _, i, end = item
-            j = after[i]
-            # Stale: i was swallowed, or its pair now ends elsewhere.
-            if j == 0 or j >= n or after[j] != end:
-                continue
-            after[i] = end
-            after[j] = 0
-            if end < n:
-                before[end] = i
-                if (r := ranks.get(b[i : after[end]])) is not None:
-                    queue.push(r, (i, after[end]))
-            if i and (r := ranks.get(b[(p := before[i]) : end])) is not None:
-                queue.push(r, (p, end))
+        pair = [pairs[x << 8 | y] for x, y in zip(b, b[1:], strict=False)]  # rank of the pair that starts here
+        pair.append(-1)
+        words, buckets = queue.words, queue.buckets
+        for i, r in enumerate(pair):  # as push does, without a call a byte
+            if r >= 0:
+                if r in buckets:
+                    buckets[r].append(i)
+                else:
+                    buckets[r] = [i]
+                    at = r >> 8
+                    if not words[at]:
+                        queue.summary |= _BIT[at]
+                    words[at] |= _BIT[r & 255]
+        while queue.summary:
+            rank, bucket = queue.pop()
+            for k, i in enumerate(bucket):
+                if pair[i] != rank:
+                    continue  # stale: merged meanwhile, or its pair has changed
+                j = after[i]
+                end = after[j]
+                after[i] = end
+                pair[j] = -1
+                r, q = -1, -1
+                if end < n:
+                    before[end] = i
+                    r = get(b[i : after[end]], -1)
+                    if r >= 0:
+                        push(r, i)
+                pair[i] = r
+                if i:
+                    p = before[i]
+                    q = get(b[p:end], -1)
+                    pair[p] = q
+                    if q >= 0:
+                        push(q, p)
+                if 0 <= r <= rank or 0 <= q <= rank:  # a new pair goes before the rest of this bucket
+                    for i in bucket[k + 1 :]:
+                        if pair[i] == rank:
+                            push(rank, i)
+                    break
         out, i = [], 0
         while i < n:
-            out.append(ranks[b[i : after[i]]])
-            i = after[i]
+            end = after[i]
+            out.append(get(b[i:end]))
+            i = end
         return tuple(out)
 
     def encode(self, text: str) -> list[int]:
-        known = self.known
-        pieces = self.split(text)
-        if missing := set(pieces).difference(known):
-            if len(known) + len(missing) > REMEMBERED:
-                known.clear()
-                missing = set(pieces)
-            for p in missing:
-                known[p] = self.piece(p.encode("utf-8"))
-        return list(chain.from_iterable(map(known.__getitem__, pieces)))
+        split = self.split_ascii if text.isascii() else self.split_any
+        return list(chain.from_iterable(map(self.known.__getitem__, split(text))))
+
+    def decode_all(self, ids: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(bytes of all ids one after the other, bytes of each id)."""
+        size = self.length[ids]
+        total = int(size.sum())
+        first = np.cumsum(size) - size
+        return self.blob[np.arange(total) + np.repeat(self.begin[ids] - first, size)], size
 
     def decode(self, ids: list[int]) -> bytes:
-        return b"".join(map(self.words.__getitem__, ids))
+        return self.decode_all(np.asarray(ids, np.int64))[0].tobytes()
 
 
 _CODECS: dict[tuple, Codec] = {}
@@ -175,7 +240,12 @@ def decode(df: DataFrame, path: str, pattern: str, ids: str = "ids", out: str =
         for batch in batches:
             for a in range(0, batch.num_rows, 500):
                 part = batch.slice(a, 500)
-                texts = pa.array([None if x is None else c.decode(x) for x in part.column(at).to_pylist()], pa.binary())
+                lists = part.column(at)
+                sizes = np.asarray(lists.value_lengths().fill_null(0)).astype(np.int64)
+                made, each = c.decode_all(np.asarray(lists.flatten()).astype(np.int64))
+                ends = np.concatenate(([0], np.cumsum(each)))[np.concatenate(([0], np.cumsum(sizes)))]
+                texts = pa.Array.from_buffers(pa.large_binary(), len(sizes), [None, pa.py_buffer(ends.tobytes()), pa.py_buffer(made.tobytes())]).cast(pa.binary())
+                texts = pc.if_else(lists.is_null(), pa.scalar(None, pa.binary()), texts)
                 yield pa.RecordBatch.from_arrays([*part.columns[:at], texts], [*others, out])
 
     return picked.mapInArrow(run, f"{fields}, `{out}` binary")
