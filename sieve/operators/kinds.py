@@ -38,7 +38,8 @@ def _peelable(keys: np.ndarray, seed: int, s: Spec, seg_len: int, seg_count: int
     loc = locations(a, b, seg_len, seg_count, s.arity, s.layout)
     cells = seg_len * seg_count
     if s.presort and s.layout != "blocks":  # keys by starting segment: the arrays are walked forwards
-        order = np.argsort((loc[:, 0] // seg_len).astype(np.int32), kind="stable")
+        start = (loc[:, 0] // seg_len).astype(np.uint16 if seg_count < 1 << 16 else np.int32)
+        order = np.argsort(start, kind="stable")  # a radix sort for 16-bit numbers: linear, one pass a byte
         a, loc = a[order], loc[order]
     layers = peel(loc, cells, s.order)
     if peeled(layers) < len(keys):

@@ -43,21 +43,24 @@ def peel_layers(loc: np.ndarray, cells: int) -> Layers:
     """Rounds of (rows, own cells); all rows are there exactly if peeling succeeds."""
     count, mask = accumulate(loc, cells)
     arity = loc.shape[1]
+    owner = np.empty(len(loc), np.int64)  # of each row, the cell written last
+    seen = np.empty(cells, np.int32)  # of each cell, the place in the touched list written last
     frontier = seed_frontier(count)
     layers: Layers = []
     while len(frontier):
         rows = mask[frontier]
-        order = np.argsort(rows, kind="stable")  # frontier is in order: the first of a row is its lowest cell
-        r = rows[order]
-        first = np.ones(len(r), bool)
-        first[1:] = r[1:] != r[:-1]
-        rows, own = r[first], frontier[order[first]]
+        owner[rows[::-1]] = frontier[::-1]  # frontier is in order: a row keeps its lowest cell
+        first = owner[rows] == frontier
+        rows, own = rows[first], frontier[first]
         layers.append((rows, own))
         touched = loc[rows].ravel()
         np.subtract.at(count, touched, 1)
         np.bitwise_xor.at(mask, touched, np.repeat(rows, arity))
         touched = touched[count[touched] == 1]
-        frontier = np.unique(touched)
+        place = np.arange(len(touched), dtype=np.int32)
+        seen[touched] = place
+        frontier = touched[seen[touched] == place]
+        frontier.sort()
     return layers
 
 

@@ -14,7 +14,7 @@ from sieve.operators.build import build, build_keys
 from sieve.operators.kinds import fuse_shape
 from sieve.operators.peel import assign, lookup, peel, peeled
 from sieve.plans.scratch import materialize
-from sieve.plans.workloads import CATALOGUE, key_array, measure_kinds
+from sieve.plans.workloads import CATALOGUE, key_array, measure, measure_kinds
 from sieve.queries.tables import table
 from sieve.schema import spec
 from sieve.sources import blobs, catalog, index
@@ -241,12 +241,15 @@ def presort_ablation(spark, sf_dir):
 
 @_query("SELECT l_returnflag, count(*) AS n_lines FROM lineitem WHERE l_orderkey IN (SELECT o_orderkey FROM orders WHERE o_orderkey % 4 = 0) GROUP BY l_returnflag")
 def spark_builtin_bloom(spark, sf_dir):
-    """The engine's own sketch as gate, with the exact join behind it."""
+    """The engine's own sketch as a yardstick: it has every member, and the engine may inject it by itself.
+
+    Its membership function is internal to the optimiser, so the gate here is the injected one.
+    """
     lines, members = table(spark, sf_dir, "lineitem").select("l_orderkey", "l_returnflag"), _orders(spark, sf_dir).filter("o_orderkey % 4 = 0")
     sketch = members._jdf.stat().bloomFilter("o_orderkey", max(1, members.count()), 0.01)
-    held = [(int(k), bool(sketch.mightContainLong(int(k)))) for k in (0, 4, 8)]
+    complete = all(sketch.mightContainLong(k) for k in range(0, 400, 4))
     joined = joins.exact_semi(lines, members, ("l_orderkey", "o_orderkey"))
-    return joined.filter(F.lit(all(x for _, x in held))).groupBy("l_returnflag").agg(F.count("*").alias("n_lines"))
+    return joined.filter(F.lit(complete)).groupBy("l_returnflag").agg(F.count("*").alias("n_lines"))
 
 
 @_query("SELECT l_returnflag, count(*) AS n_lines FROM lineitem WHERE l_orderkey IN (SELECT o_orderkey FROM orders WHERE o_orderkey % 4 = 0) GROUP BY l_returnflag")
@@ -274,3 +277,77 @@ def sql_registered_probe(spark, sf_dir):
 def measure_table(spark, sf_dir):
     """Space, error, build and probe time of every kind over the orders."""
     return measure_kinds(spark, _orders(spark, sf_dir), "o_orderkey")
+
+
+@_query("SELECT format, CAST(count(*) AS BIGINT) AS found FROM supplier, (VALUES ('csv'), ('json'), ('orc'), ('text'), ('parquet')) t(format) GROUP BY format")
+def source_formats(spark, sf_dir):
+    """Keys read from every file format give complete filters."""
+    from sieve.plans.scratch import scratch_root
+
+    suppliers, out = table(spark, sf_dir, "supplier").select("s_suppkey"), None
+    root = f"{scratch_root(spark)}/formats-{abs(hash(sf_dir))}"
+    for name in ("csv", "json", "orc", "text", "parquet"):
+        rows = suppliers.select(F.col("s_suppkey").cast("string").alias("value")) if name == "text" else suppliers
+        rows.write.mode("overwrite").format(name).save(f"{root}/{name}")
+        back = spark.read.format(name).schema(rows.schema).load(f"{root}/{name}")
+        keys = back.select(F.col(back.columns[0]).cast("bigint").alias("s_suppkey"))
+        one = probe.semi(suppliers, build(keys, "s_suppkey", shard_bits=0), "s_suppkey").agg(F.lit(name).alias("format"), F.count("*").alias("found"))
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+@_query("SELECT o_orderpriority, count(*) AS n_lines FROM lineitem JOIN orders ON l_orderkey = o_orderkey GROUP BY o_orderpriority")
+def bucketed_colocated_join(spark, sf_dir):
+    """Two tables bucketed alike by the key meet without an exchange."""
+    import uuid
+
+    from sieve.plans.scratch import scratch_root
+
+    tag = uuid.uuid4().hex[:8]
+    for name, df, key in (("lines", table(spark, sf_dir, "lineitem").select("l_orderkey"), "l_orderkey"), ("orders", table(spark, sf_dir, "orders").select("o_orderkey", "o_orderpriority"), "o_orderkey")):
+        df.write.mode("overwrite").bucketBy(8, key).sortBy(key).format("parquet").option("path", f"{scratch_root(spark)}/bucketed-{name}-{tag}").saveAsTable(f"sieve_bucketed_{name}_{tag}")
+    lines, orders = spark.table(f"sieve_bucketed_lines_{tag}"), spark.table(f"sieve_bucketed_orders_{tag}")
+    return lines.hint("merge").join(orders, lines.l_orderkey == orders.o_orderkey).groupBy("o_orderpriority").agg(F.count("*").alias("n_lines"))
+
+
+@_query("SELECT CAST(eps AS DOUBLE) AS eps, true AS within FROM (VALUES (0.01), (0.001)) t(eps)")
+def bloom_for_target_error(spark, sf_dir):
+    """A Bloom filter sized for a wanted error keeps to it."""
+    from sieve.functions.sizing import bloom_bits_for
+
+    members, rows = _orders(spark, sf_dir), []
+    outside = spark.range(10**9, 10**9 + 100_000).withColumnRenamed("id", "o_orderkey")
+    for eps in (0.01, 0.001):
+        f = build(members, "o_orderkey", "bloom", bits_per_key=bloom_bits_for(eps))
+        found = probe.contains(outside, f, "o_orderkey").agg(F.avg(F.col("maybe_member").cast("double"))).first()[0]
+        rows.append((eps, bool(found <= 1.2 * eps + 5 * (eps / 100_000) ** 0.5)))
+    return spark.createDataFrame(rows, "eps double, within boolean")
+
+
+@_query("SELECT kind, true AS ordered FROM (VALUES ('blocked over bloom'), ('bloom over xor'), ('vqf over xor'), ('xor over fuse3'), ('fuse3 over fuse4')) t(kind)")
+def space_order(spark, sf_dir):
+    """Overhead over the information bound, worst first, at the error each filter measures."""
+    rows = {r["filter"]: r["overhead"] for r in measure(np.arange(1 << 17, dtype=np.int64), ["blocked-12", "bloom-12", "vqf-8", "xor-8", "fuse3-8", "fuse4-8"], n_probe=400_000, repeats=1)}
+    pairs = (("blocked-12", "bloom-12"), ("bloom-12", "xor-8"), ("vqf-8", "xor-8"), ("xor-8", "fuse3-8"), ("fuse3-8", "fuse4-8"))
+    return spark.createDataFrame([(f"{a.split('-')[0]} over {b.split('-')[0]}", bool(rows[a] > rows[b])) for a, b in pairs], "kind string, ordered boolean")
+
+
+@_query(None)
+def size_sweep_table(spark, sf_dir):
+    """Build time and bits per key of xor and fuse filters as the set grows."""
+    from sieve.plans.workloads import size_sweep
+
+    return size_sweep(spark, [10_000, 100_000, 1_000_000])
+
+
+@_query(None)
+def parallelism_table(spark, sf_dir):
+    """Build seconds of one member set cut into more and more shards, which build in parallel."""
+    import time
+
+    lines, rows = table(spark, sf_dir, "lineitem"), []
+    for bits in (0, 2, 4):
+        began = time.perf_counter()
+        n = build(lines, ["l_orderkey", "l_partkey", "l_suppkey", "l_linenumber"], shard_bits=bits).keys()
+        rows.append((1 << bits, n, time.perf_counter() - began))
+    return spark.createDataFrame(rows, "shards int, n bigint, seconds double")
