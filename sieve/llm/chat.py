@@ -78,22 +78,31 @@ def chosen_paths(nodes: DataFrame, tree: str = "tree_id", node: str = "node_id",
     base = base.groupBy("t", "n").agg(F.min("p").alias("p"), F.max("s").alias("s"))
     there = base.select("t", F.col("n").alias("p"), F.lit(True).alias("here"))
     base = base.join(there, ["t", "p"], "left").select("t", "n", F.when(F.col("here"), F.col("p")).alias("up"), F.lit(1).cast("long").alias("depth"), "s")
-    jumps = [materialize(base, "chat-jump")]
-    while jumps[-1].filter("up IS NOT NULL").limit(1).count():
-        a, b = jumps[-1].alias("a"), jumps[-1].alias("b")
-        step = a.join(b, (F.col("a.t") == F.col("b.t")) & (F.col("a.up") == F.col("b.n")), "left")
-        cut = F.col("a.up").isNull()
-        jumps.append(materialize(step.select("a.t", "a.n", F.col("b.up").alias("up"), (F.col("a.depth") + F.when(cut, 0).otherwise(F.col("b.depth"))).alias("depth"), (F.col("a.s") + F.when(cut, 0.0).otherwise(F.col("b.s"))).alias("s")), "chat-jump"))
-        if len(jumps) > 40:  # 2**40 levels: only a cycle of parents gets here
+    # A round joins only nodes whose path goes on; ended ones stay in the tables they ended in.
+    rounds = [materialize(base, "chat-jump")]
+    ended, open_ = [rounds[0].filter("up IS NULL")], rounds[0].filter("up IS NOT NULL").count()
+    while open_:
+        a, b = rounds[-1].filter("up IS NOT NULL").alias("a"), rounds[-1].filter("up IS NOT NULL")
+        for done in ended:
+            b = b.unionByName(done)
+        b = b.alias("b")
+        step = a.join(b, (F.col("a.t") == F.col("b.t")) & (F.col("a.up") == F.col("b.n")))
+        rounds.append(materialize(step.select("a.t", "a.n", F.col("b.up").alias("up"), (F.col("a.depth") + F.col("b.depth")).alias("depth"), (F.col("a.s") + F.col("b.s")).alias("s")), "chat-jump"))
+        ended.append(rounds[-1].filter("up IS NULL"))
+        before, open_ = open_, rounds[-1].filter("up IS NOT NULL").count()
+        if open_ == before:  # a round ends some paths unless all that are left are cycles
             break
-    parents = jumps[0].filter("up IS NOT NULL").select("t", F.col("up").alias("n"))
-    leaves = jumps[-1].filter("up IS NULL").join(parents, ["t", "n"], "left_anti")
+    whole = ended[0]
+    for done in ended[1:]:
+        whole = whole.unionByName(done)
+    parents = rounds[0].filter("up IS NOT NULL").select("t", F.col("up").alias("n"))
+    leaves = whole.join(parents, ["t", "n"], "left_anti")
     best = leaves.groupBy("t").agg(F.max(F.struct("s", "depth", F.bitwise_not("n").alias("m"), F.col("n").alias("n"))).alias("x")).select("t", F.col("x.n").alias("n"))
-    path = best
-    for table in reversed(jumps[:-1]):
+    path = materialize(best, "chat-walk")
+    for table in reversed(rounds):
         more = path.join(table.filter("up IS NOT NULL").select("t", "n", "up"), ["t", "n"]).select("t", F.col("up").alias("n"))
-        path = path.unionByName(more)
-    depth = jumps[-1].select("t", "n", "depth")
+        path = materialize(path.unionByName(more), "chat-walk")
+    depth = whole.select("t", "n", "depth")
     return materialize(path.join(depth, ["t", "n"]).select(F.col("t").alias("__tree"), F.col("n").alias("__node"), "depth"), "chat-path")
 
 
