@@ -1,7 +1,7 @@
 """Sharding by balanced label propagation.
 
 Documents with equal texts are linked. Every document starts in the shard its hash
-names. A round looks at the cells (text, shard) and their counts: a cell moves
+names. A round looks at cells of a text in a shard and their counts: a cell moves
 towards the shard that holds most of its text, if that shard has room; admission is
 by hash bucket until the room is used up, so no shard ever passes its quota. After
 the rounds each shard keeps its linked documents first and then others up to its
@@ -25,14 +25,16 @@ from pyspark.sql.window import Window
 from sieve.plans.scratch import materialize
 
 #: Rounds at most; admission buckets; rows numbered by one task on average.
-ROUNDS, BUCKETS, TASK_ROWS = 6, 64, 50_000
+ROUNDS, BUCKETS, TASK_ROWS = 8, 64, 50_000
+#: Cells of a text in each first shard: a large group moves in parts that fit.
+PARTS = 8
 
 
 def _narrow(df: DataFrame, key: str, text: str, shards: int) -> DataFrame:
     t = F.coalesce(F.col(f"`{text}`"), F.lit("")).cast("binary")
     out = df.select(F.col(f"`{key}`").alias("doc_id"), (F.octet_length(t) + F.lit(16)).cast("long").alias("size"), F.crc32(t).alias("text_crc32"), F.unhex(F.md5(t)).alias("group"))
     h = F.xxhash64("doc_id", "group")
-    return out.withColumn("h", h).withColumn("start", F.pmod(F.xxhash64(F.lit(1), "h"), F.lit(shards)).cast("int"))
+    return out.withColumn("h", h).withColumn("start", F.pmod(F.xxhash64(F.lit(1), "h"), F.lit(shards * PARTS)).cast("int"))
 
 
 def propagate(cells: DataFrame, shards: int, room: int, rounds: int = ROUNDS) -> tuple[DataFrame, list[int]]:
@@ -40,7 +42,7 @@ def propagate(cells: DataFrame, shards: int, room: int, rounds: int = ROUNDS) ->
 
     ``room``: linked documents a shard may hold at most.
     """
-    state = materialize(cells.select("group", "start", F.col("start").alias("shard"), "n"), "sharding-state")
+    state = materialize(cells.select("group", "start", F.pmod("start", F.lit(shards)).cast("int").alias("shard"), "n"), "sharding-state")
     cut: list[int] = []
     for turn in range(rounds):
         held = state.groupBy("group", "shard").agg(F.sum("n").alias("m"))
@@ -87,7 +89,7 @@ def shard_documents(df: DataFrame, shards: int = 40, key: str = "doc_id", text:
     linked = cells.groupBy("group").agg(F.sum("n").alias("all")).filter("all > 1").select("group")
     placed, _ = propagate(cells.join(linked, "group", "left_semi"), shards, total // shards, rounds)
     placed = placed.withColumn("linked", F.lit(0))
-    labelled = rows.join(placed, ["group", "start"], "left").select("doc_id", "size", "text_crc32", "h", F.coalesce("shard", "start").alias("shard"), F.coalesce("linked", F.lit(1)).alias("rest"))
+    labelled = rows.join(placed, ["group", "start"], "left").select("doc_id", "size", "text_crc32", "h", F.coalesce("shard", F.pmod("start", F.lit(shards)).cast("int")).alias("shard"), F.coalesce("linked", F.lit(1)).alias("rest"))
     labelled = materialize(labelled, "sharding-labels")
 
     per_shard = max(1, total // shards // TASK_ROWS)
