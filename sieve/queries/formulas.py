@@ -118,3 +118,10 @@ def small_sets(spark, sf_dir):
         one = build(table(spark, sf_dir, name), key, shard_bits=0).table.select(F.lit(name).alias("source"), "n", "seg_count", "payload_bits")
         out = one if out is None else out.unionByName(one)
     return out
+
+
+@_query("""WITH k AS (SELECT CAST(k AS BIGINT) AS k FROM range(8, 17) t(k)), c(curve, f, a) AS (VALUES ('bloom', 1 / ln(2), 0.0), ('xor', 1.23, 0.0), ('xorplus', 1.0824, 0.5125), ('fuse3', 1.125, 0.0), ('fuse4', 1.075, 0.0), ('cuckoo', 1 / 0.955, 3 / 0.955))
+SELECT k, arg_min(curve, k * CAST(f AS DOUBLE) + CAST(a AS DOUBLE)) AS smallest FROM k, c GROUP BY k""")
+def smallest_curve(spark, sf_dir):
+    """The most economical structure at every error from 2**-8 to 2**-16."""
+    return theory.curves(spark).filter("curve <> 'bound'").groupBy("k").agg(F.min_by("curve", "bits").alias("smallest"))

@@ -351,3 +351,21 @@ def parallelism_table(spark, sf_dir):
         n = build(lines, ["l_orderkey", "l_partkey", "l_suppkey", "l_linenumber"], shard_bits=bits).keys()
         rows.append((1 << bits, n, time.perf_counter() - began))
     return spark.createDataFrame(rows, "shards int, n bigint, seconds double")
+
+
+@_query("SELECT p_partkey, p_size FROM part WHERE p_partkey IN (7, 77, 777)")
+def parquet_own_bloom(spark, sf_dir):
+    """The file format's own split-block Bloom filters as an on-disk gate."""
+    from sieve.plans.scratch import scratch_root
+
+    path = f"{scratch_root(spark)}/own-bloom-{abs(hash(sf_dir))}"
+    parts = table(spark, sf_dir, "part").select("p_partkey", "p_size")
+    parts.write.mode("overwrite").option("parquet.bloom.filter.enabled#p_partkey", "true").option("parquet.bloom.filter.expected.ndv#p_partkey", "100000").parquet(path)
+    return spark.read.parquet(path).filter("p_partkey IN (7, 77, 777)")
+
+
+@_query("SELECT CAST(count(DISTINCT user_id) AS BIGINT) AS n_users FROM events")
+def approx_distinct_plans_shards(spark, sf_dir):
+    """An approximate count chooses the shards; the filter's own count stays exact."""
+    f = build(table(spark, sf_dir, "events"), "user_id")
+    return f.table.agg(F.sum("n").alias("n_users"))

@@ -80,3 +80,12 @@ def stream_progressive_bloom(spark, sf_dir):
     """First-seen users, by a filter that takes keys one by one."""
     stream = gates.read_table(spark, sf_dir, "events").select("user_id")
     return gates.run(gates.first_seen(stream, "user_id", "user_id bigint"))
+
+
+@_query("SELECT event_type, count(*) AS n FROM events GROUP BY event_type")
+def stream_refresh(spark, sf_dir):
+    """A filter that follows a stream of new keys: afterwards every event passes, checked exactly."""
+    events = table(spark, sf_dir, "events").select("user_id", "event_type")
+    some = events.filter("user_id % 2 = 0").select("user_id").distinct()
+    f = gates.refresh_by_batch(gates.read_table(spark, sf_dir, "events"), build(some, "user_id", shard_bits=3), "user_id", some)
+    return joins.gated(events, events.select("user_id").distinct(), ("user_id", "user_id"), "left_semi", f=f).groupBy("event_type").agg(F.count("*").alias("n"))

@@ -83,3 +83,22 @@ def first_seen(stream: DataFrame, key: str, out_schema: str, buckets: int = 64,
         state.update((filled.tobytes(), np.array(sorted(seen), np.int64).tobytes()))
 
     return keyed.groupBy("__bucket").applyInPandasWithState(step, out_schema, "words binary, known binary", "append", "NoTimeout")
+
+
+def refresh_by_batch(stream: DataFrame, f: Filter, keys: str, known: DataFrame) -> Filter:
+    """Rebuilds, batch by batch, the shards that a stream's new keys fall in.
+
+    ``known``: the keys the filter has; each batch's keys are added to a table beside it.
+    """
+    from sieve.plans.scratch import materialize
+    from sieve.sources.catalog import refresh
+
+    held = {"filter": f, "keys": known.select(keys)}
+
+    def take(df: DataFrame, number: int) -> None:
+        new = materialize(df.select(keys).join(held["keys"], keys, "left_anti").distinct(), "refresh-new")
+        held["keys"] = materialize(held["keys"].unionByName(new), "refresh-keys")
+        held["filter"] = refresh(held["filter"], held["keys"], new, keys)
+
+    run(stream, batch=take)
+    return held["filter"]
