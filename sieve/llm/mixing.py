@@ -28,13 +28,15 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import IntegerType, LongType, StructField, StructType
 from pyspark.sql.window import Window
 
-from sieve.llm.text import as_bytes, mix as mix64, slices
+from sieve.llm.text import as_bytes, fresh, slices
+from sieve.llm.text import mix as mix64
 from sieve.plans.scratch import materialize
 
 #: Documents in a block on average, blocks in an output shard on average, sources at most.
-BLOCK_ROWS, SHARD_BLOCKS, MOST_SOURCES = 1024, 64, 1_000_000
+BLOCK_ROWS, SHARD_BLOCKS, MOST_SOURCES = 1024, 8, 1_000_000
 WEIGHTS = (5, 2, 1)
 _NULL = "\0null"
 
@@ -291,21 +293,26 @@ def mix(df: DataFrame, key: str = "doc_id", text: str = "text", source: str = "s
     plan = make_plan(rows, **how)
     seed = how.get("seed", 17)
     names = df.columns
-    keyed = df.select(F.struct(*[F.col(f"`{c}`") for c in names]).alias("row"), F.coalesce(F.col(f"`{source}`"), F.lit(_NULL)).alias("src"), _hash(key, text, seed).alias("h"), F.coalesce(F.col(f"`{text}`"), F.lit("")).alias("text"))
-    row = keyed.schema["row"].dataType
+    src, h, shard, place = fresh(names, "src", "h", "shard", "place")
+    keyed = df.withColumns({src: F.coalesce(F.col(f"`{source}`"), F.lit(_NULL)), h: _hash(key, text, seed)})
+    at, last = names.index(text), len(names)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         tree = plan.tree()
         for batch in batches:
-            for part in slices(batch, 3):
-                words = [t.split() for t in as_bytes(part.column(3))]
-                size = np.array([len(w) for w in words], np.int64)
-                made = _draw(plan, tree, part.column(1).to_pylist(), np.asarray(part.column(2)).astype(np.int64), size)
-                at = pa.array([i for i, own in enumerate(made) for _ in own], pa.int64())
+            for part in slices(batch, at):
+                texts = as_bytes(part.column(at))
+                size = np.array([len(t.split()) for t in texts], np.int64)
+                made = _draw(plan, tree, part.column(last).to_pylist(), np.asarray(part.column(last + 1)).astype(np.int64), size)
                 own = [(i, d) for i, x in enumerate(made) for d in x]
-                cut = pa.array([b" ".join(words[i][: d["words"]]).decode() if d["words"] < size[i] else None for i, d in own], pa.string())
-                yield pa.RecordBatch.from_arrays([part.column(0).take(at), cut, pa.array([d["shard"] for _, d in own], pa.int32()), pa.array([d["place"] for _, d in own], pa.int64())], ["row", "cut", "shard", "place"])
-
-    drawn = keyed.mapInArrow(run, f"row {row.simpleString()}, cut string, shard int, place bigint")
-    out = drawn.repartition(F.col("shard")).sortWithinPartitions("shard", "place")
-    return out.select(*[(F.coalesce(F.col("cut"), F.col(f"row.`{c}`")) if c == text else F.col(f"row.`{c}`")).alias(c) for c in names])
+                out = part.take(pa.array([i for i, _ in own], pa.int64()))
+                cut = {j: b" ".join(texts[i].split()[: d["words"]]).decode() for j, (i, d) in enumerate(own) if d["words"] < size[i]}
+                drawn = out.column(at)
+                if cut:
+                    drawn = pa.array([cut.get(j, t) for j, t in enumerate(drawn.to_pylist())], drawn.type)
+                extra = [pa.array([d["shard"] for _, d in own], pa.int32()), pa.array([d["place"] for _, d in own], pa.int64())]
+                yield pa.RecordBatch.from_arrays([*out.columns[:at], drawn, *out.columns[at + 1 : last], *extra], [*names, shard, place])
+
+    fields = StructType([*[f for f in df.schema], StructField(shard, IntegerType()), StructField(place, LongType())])
+    drawn = keyed.mapInArrow(run, fields)
+    return drawn.repartition(F.col(shard)).sortWithinPartitions(shard, place).select(*[F.col(f"`{c}`") for c in names])
