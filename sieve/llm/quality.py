@@ -26,8 +26,8 @@ from sieve.llm.text import as_bytes, ngrams, slices, starts, word_hashes
 
 _NO_SYMBOLS = b"#*$%&|<>"
 _WHITE = b" \t\n\r\x0b\x0c"
-#: Rows that the order is estimated on; the verdicts do not depend on it.
-SAMPLE_ROWS = 2000
+#: Rows and characters of a row that the order is estimated on; no verdict depends on it.
+SAMPLE_ROWS, SAMPLE_CHARS = 2000, 20_000
 
 
 class Measures:
@@ -118,7 +118,7 @@ def estimate(texts: list[bytes], rules: tuple[Rule, ...] = RULES) -> list[tuple[
 
 def order_rules(df: DataFrame, text: str = "text", rules: tuple[Rule, ...] = RULES, sample_rows: int = SAMPLE_ROWS) -> tuple[Rule, ...]:
     """The rules by rejection per cost on at most ``sample_rows`` rows of ``df``."""
-    rows = df.select(F.col(f"`{text}`").alias("t")).limit(sample_rows).collect()
+    rows = df.select(F.substring(F.col(f"`{text}`"), 1, SAMPLE_CHARS).alias("t")).limit(sample_rows).collect()
     texts = [(r.t or "").encode() for r in rows]
     by = {r.name: r for r in rules}
     return tuple(by[x[0]] for x in estimate(texts, rules)) if texts else tuple(rules)
@@ -169,3 +169,15 @@ def judge(df: DataFrame, rules: tuple[Rule, ...], text: str = "text", keep: tupl
                 yield pa.RecordBatch.from_arrays([*part.columns[:at], *(pa.array(m.get(x)) for x in report), pa.array(ok)], names)
 
     return picked.mapInArrow(run, fields + "".join(f"`{x}` bigint, " for x in report) + f"`{verdict}` boolean")
+
+
+def passing(df: DataFrame, rules: tuple[Rule, ...], text: str = "text") -> DataFrame:
+    """The rows of ``df`` that every rule keeps; columns as they came."""
+    at = df.columns.index(text)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for part in slices(batch, at):
+                yield part.filter(pa.array(cascade(as_bytes(part.column(at)), rules)[0]))
+
+    return df.mapInArrow(run, df.schema)

@@ -31,10 +31,11 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from sieve.llm.text import as_bytes, mix, ngrams, signed, slices, starts, word_hashes
+from sieve.llm.text import as_bytes, fresh, mix, ngrams, signed, slices, starts, word_hashes
 from sieve.plans.scratch import materialize
 
 #: Words of a window (the least factor) and of an anchor.
@@ -292,27 +293,30 @@ def strip_substrings(df: DataFrame, key: str = "doc_id", text: str = "text") ->
     joined by single spaces; rows that lose every word are left out.
     """
     names = df.columns
+    doc, tag, places = fresh(names, "doc", "tag", "places")
     _, copies = factors(df, key, text)
-    spans = copies.groupBy("doc", "tag").agg(F.collect_list("place").alias("places"))
-    whole = F.coalesce(F.col(f"`{text}`"), F.lit(""))
-    keyed = df.select(F.coalesce(F.col(f"`{key}`").cast("long"), F.lit(-(1 << 63))).alias("doc"), F.xxhash64(whole).bitwiseAND(F.lit((1 << 24) - 1)).alias("tag"), whole.alias("text"), F.struct(*[F.col(f"`{c}`") for c in names]).alias("row"))
-    both = keyed.join(spans, ["doc", "tag"], "left").select("text", "row", "places")
+    spans = copies.groupBy("doc", "tag").agg(F.collect_list("place").alias(places)).withColumnsRenamed({"doc": doc, "tag": tag})
+    keyed = df.withColumns({doc: F.coalesce(F.col(f"`{key}`").cast("long"), F.lit(-(1 << 63))), tag: F.xxhash64(F.coalesce(F.col(f"`{text}`"), F.lit(""))).bitwiseAND(F.lit((1 << 24) - 1))})
+    both = keyed.join(spans, [doc, tag], "left").select(*[F.col(f"`{c}`") for c in names], places)
+    at, last = names.index(text), len(names)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for part in slices(batch, 0):
-                kept: list[str | None] = []
-                for t, places in zip(as_bytes(part.column(0)), part.column(2).to_pylist(), strict=True):
-                    if not places:
-                        kept.append(None)
-                        continue
-                    words = t.split()
-                    kept.append(b" ".join(w for w, x in zip(words, _removed(len(words), places).tolist(), strict=True) if not x).decode())
-                yield pa.RecordBatch.from_arrays([part.column(1), pa.array(kept, pa.string())], ["row", "kept"])
-
-    row = keyed.schema["row"].dataType.simpleString()
-    out = both.mapInArrow(run, f"row {row}, kept string").filter("kept IS NULL OR kept <> ''")
-    return out.select(*[(F.coalesce(F.col("kept"), F.col(f"row.`{c}`")) if c == text else F.col(f"row.`{c}`")).alias(c) for c in names])
+            for part in slices(batch, at):
+                kept: list[bytes | None] = []
+                for t, own in zip(as_bytes(part.column(at)), part.column(last).to_pylist(), strict=True):
+                    if own:
+                        words = t.split()
+                        t = b" ".join(w for w, x in zip(words, _removed(len(words), own).tolist(), strict=True) if not x)
+                        kept.append(t or None)
+                    else:
+                        kept.append(t)
+                texts = pa.array(kept, pa.binary()).cast(part.column(at).type)
+                stays = texts.is_valid()
+                texts = pc.if_else(pc.and_(part.column(at).is_null(), stays), pa.scalar(None, texts.type), texts)  # null texts stay null
+                yield pa.RecordBatch.from_arrays([*part.columns[:at], texts, *part.columns[at + 1 : last]], schema=part.schema.remove(last)).filter(stays)
+
+    return both.mapInArrow(run, df.schema)
 
 
 def digest(kept: bytes) -> str:

@@ -9,6 +9,7 @@ runs over words, and no Python object is made for one.
 
 from __future__ import annotations
 
+import ctypes
 from collections.abc import Iterator
 
 import numpy as np
@@ -32,6 +33,7 @@ def mix(x: np.ndarray) -> np.ndarray:
 
 _TABLE = mix(np.arange(256, dtype=np.uint64) * np.uint64(0xD6E8FEB86659FD93) + np.uint64(7))
 _POWERS: dict[str, np.ndarray] = {}
+_TRIM = getattr(ctypes.CDLL(None), "malloc_trim", None)
 
 
 def _powers(n: int) -> tuple[np.ndarray, np.ndarray]:
@@ -142,7 +144,7 @@ def shingles(w: np.ndarray, counts: np.ndarray, n: int) -> tuple[np.ndarray, np.
     return (np.concatenate(out) if out else np.zeros(0, np.uint64)), sizes
 
 
-def slices(batch: pa.RecordBatch, text: int, limit: int = 8 << 20) -> Iterator[pa.RecordBatch]:
+def slices(batch: pa.RecordBatch, text: int, limit: int = 4 << 20) -> Iterator[pa.RecordBatch]:
     """Parts of a batch with about ``limit`` bytes of text each, one row at least."""
     if not batch.num_rows:
         return
@@ -151,6 +153,14 @@ def slices(batch: pa.RecordBatch, text: int, limit: int = 8 << 20) -> Iterator[p
     cuts = np.concatenate(([0], np.flatnonzero(group[1:] != group[:-1]) + 1, [batch.num_rows]))
     for a, b in zip(cuts[:-1], cuts[1:], strict=True):
         yield batch.slice(a, b - a)
+    release()
+
+
+def release() -> None:
+    """Gives freed memory back to the system: a worker lives as long as its executor."""
+    pa.default_memory_pool().release_unused()
+    if _TRIM:
+        _TRIM(0)
 
 
 def signed(x: np.ndarray) -> pa.Array:
@@ -160,3 +170,13 @@ def signed(x: np.ndarray) -> pa.Array:
 def lists(values: pa.Array, sizes: np.ndarray) -> pa.Array:
     """A list column from concatenated values."""
     return pa.ListArray.from_arrays(pa.array(starts(sizes).astype(np.int32)), values)
+
+
+def fresh(names: list[str], *wanted: str) -> list[str]:
+    """Names for helper columns that none of ``names`` has."""
+    out = []
+    for w in wanted:
+        while w in names or w in out:
+            w = f"_{w}"
+        out.append(w)
+    return out
