@@ -14,10 +14,7 @@ VOCABULARY = "byte_bpe_multi_50k.tiktoken"
 
 def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that pass every rule; columns as they came."""
-    names = docs.columns
-    whole = docs.select(F.struct(*[F.col(f"`{c}`") for c in names]).alias("row"), F.col("text").alias("judged"))
-    out = quality.judge(whole, quality.order_rules(docs), text="judged", keep=("row",), verdict="passed")
-    return out.filter("passed").select(*[F.col(f"row.`{c}`").alias(c) for c in names])
+    return quality.passing(docs, quality.order_rules(docs))
 
 
 def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
