@@ -3,9 +3,9 @@
 Words map to symbols: insult, threat, target, negation, reported speech, other. The
 insult and threat lexicons are learnt from labelled texts as words and word stems
 with weights; targets, negations and reporting verbs are closed lists. Each clause
-runs through the composition of three small transducers: reported speech (dampens
-what follows in the clause), negation (cancels the next attack within three words),
-and attack-with-target (strengthens an attack that has a target in the clause). A
+runs through the composition of small transducers: negation (halves an attack within
+three words), reported speech (dampens what follows in the clause), attack with target
+(strengthens an attack that has a target in the clause) and threat. A
 clause's weight is the sum of its matched patterns; a text is scored by its best
 clauses through a logistic curve fitted on the same labelled texts.
 
@@ -21,6 +21,7 @@ import math
 import re
 from collections import Counter
 from collections.abc import Iterator
+from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
@@ -35,8 +36,12 @@ NEGATIONS = frozenset("not no never nobody isn't aren't wasn't don't doesn't nic
 REPORTS = frozenset("said says say called calls wrote writes quoted reported claimed sagte sagt nannte schrieb dit disait appelé dijo llamó escribió".split())
 THREATS = frozenset("kill hurt destroy burn beat shoot stab töten schlagen tuer frapper matar golpear".split())
 
-#: Labelled rows used for fitting, at most; an item of the lexicon needs this many toxic texts.
-FIT_ROWS, LEAST_TEXTS, LEAST_ODDS = 6000, 4, 3.0
+#: Labelled rows and characters of a row used for fitting, at most; scores read whole texts.
+FIT_ROWS, FIT_CHARS = 6000, 200_000
+#: An item of the lexicon is in this many toxic texts, with these log odds.
+LEAST_TEXTS, LEAST_ODDS = 4, 3.0
+#: A stem of the lexicon begins this many words.
+LEAST_FORMS = 3
 STEM = range(4, 9)
 
 _CLAUSE = re.compile(rb"[.!?;:\n]+")
@@ -48,49 +53,81 @@ def clauses(text: bytes) -> list[list[bytes]]:
     return [w for c in _CLAUSE.split(text.lower()) if (w := c.translate(_TO_SPACE).split())]
 
 
+#: The alphabet of the transducers: classes of words.
+OTHER, TARGET, NOT, REPORT, INSULT, THREAT = range(6)
+
+
+@dataclass(frozen=True)
+class Transducer:
+    """A deterministic weighted transducer over word classes.
+
+    ``step[state][class]`` is (next state, factor on that word's weight); ``final[state]``
+    is the factor on the clause's sum. Factors multiply under composition.
+    """
+
+    step: tuple[tuple[tuple[int, float], ...], ...]
+    final: tuple[float, ...]
+
+
+def transducer(states: int, move, final=lambda state: 1.0) -> Transducer:
+    """Tabulates ``move(state, class) -> (state, factor)``."""
+    return Transducer(tuple(tuple(move(q, c) for c in range(6)) for q in range(states)), tuple(final(q) for q in range(states)))
+
+
+def compose(a: Transducer, b: Transducer) -> Transducer:
+    """Both read the same clause: states pair up, factors multiply."""
+    n = len(b.final)
+
+    def move(q: int, c: int) -> tuple[int, float]:
+        (x, f), (y, g) = a.step[q // n][c], b.step[q % n][c]
+        return x * n + y, f * g
+
+    return transducer(len(a.final) * n, move, lambda q: a.final[q // n] * b.final[q % n])
+
+
+ATTACKS = (INSULT, THREAT)
+#: Negation halves an attack within three words; the state counts the words that are left.
+NEGATION = transducer(4, lambda q, c: (3 if c == NOT else max(0, q - 1), 0.5 if q and c in ATTACKS else 1.0))
+#: A reporting verb dampens every attack after it in the clause.
+REPORTED = transducer(2, lambda q, c: (1 if c == REPORT else q, 0.8 if q and c in ATTACKS else 1.0))
+#: An attack and a target in one clause strengthen each other; the states are what was seen.
+AIMED = transducer(4, lambda q, c: (q | (1 if c == TARGET else 2 if c in ATTACKS else 0), 1.0), lambda q: 1.1 if q == 3 else 1.0)
+#: A threat weighs more than an insult.
+THREATENING = transducer(1, lambda q, c: (0, 1.2 if c == THREAT else 1.0))
+CLAUSE = compose(compose(compose(NEGATION, REPORTED), AIMED), THREATENING)
+
+
 class Grammar:
-    """Word weights and the composed clause transducer."""
+    """Word classes with weights, read through the composed clause transducer."""
 
     def __init__(self, words: dict[bytes, float], stems: dict[bytes, float], curve: tuple[float, float]):
         self.words, self.stems, self.curve = words, stems, curve
-        self.closed = {w.encode(): k for k, c in (("target", TARGETS), ("not", NEGATIONS), ("report", REPORTS)) for w in c}
+        self.closed = {w.encode(): k for k, c in ((TARGET, TARGETS), (NOT, NEGATIONS), (REPORT, REPORTS)) for w in c}
         self.threats = {w.encode() for w in THREATS}
-        self.known: dict[bytes, tuple[str, float] | None] = {}
+        self.known: dict[bytes, tuple[int, float]] = {}
 
-    def symbol(self, w: bytes) -> tuple[str, float] | None:
-        """(class, weight) of a word; None for other words."""
+    def symbol(self, w: bytes) -> tuple[int, float]:
+        """(class, weight) of a word."""
         if (x := self.words.get(w)) is not None:
-            return ("threat" if w in self.threats else "insult", x)
+            return (THREAT if w in self.threats else INSULT, x)
         if kind := self.closed.get(w):
             return (kind, 0.0)
         best = max((self.stems.get(w[:n], 0.0) for n in STEM if n < len(w)), default=0.0)
-        return ("insult", best) if best > 0 else None
+        return (INSULT, best) if best > 0 else (OTHER, 0.0)
 
     def clause(self, words: list[bytes]) -> float:
         """Weight of the patterns the composed transducer matches in one clause."""
-        known = self.known
-        total, since_not, reported, target, attacked = 0.0, 9, False, False, False
+        known, step = self.known, CLAUSE.step
+        total, state = 0.0, 0
         for w in words:
-            since_not += 1
-            if w in known:
-                x = known[w]
-            else:
-                if len(known) > 400_000:
+            x = known.get(w)
+            if x is None:
+                if len(known) > 100_000:
                     known.clear()
                 x = known[w] = self.symbol(w)
-            if x is None:
-                continue
-            kind, weight = x
-            if kind == "target":
-                target = True
-            elif kind == "not":
-                since_not = 0
-            elif kind == "report":
-                reported = True
-            else:
-                attacked = True
-                total += weight * (0.5 if since_not <= 3 else 1.0) * (0.8 if reported else 1.0)
-        return total * (1.1 if attacked and target else 1.0)
+            state, factor = step[state][x[0]]
+            total += x[1] * factor
+        return total * CLAUSE.final[state]
 
     def strength(self, text: bytes) -> float:
         """Sum of the three strongest clauses."""
@@ -103,7 +140,10 @@ class Grammar:
 
 
 def _lexicon(texts: list[bytes], toxic: list[int]) -> tuple[dict[bytes, float], dict[bytes, float]]:
-    """Words and stems with their smoothed log odds of being in a toxic text."""
+    """Words and stems with their smoothed log odds of being in a toxic text.
+
+    A stem counts where several words of toxic texts begin with it; one word alone is no stem.
+    """
     n1 = sum(toxic)
     n0 = len(toxic) - n1
     words, stems = (Counter(), Counter()), (Counter(), Counter())
@@ -112,16 +152,18 @@ def _lexicon(texts: list[bytes], toxic: list[int]) -> tuple[dict[bytes, float],
         words[y].update(own)
         stems[y].update({w[:n] for w in own for n in STEM if n < len(w)})
 
-    def odds(pair: tuple[Counter, Counter]) -> dict[bytes, float]:
+    forms = Counter(w[:n] for w in words[1] for n in STEM if n < len(w))
+
+    def odds(pair: tuple[Counter, Counter], least_forms: int) -> dict[bytes, float]:
         out = {}
         for w, k in pair[1].items():
-            if k >= LEAST_TEXTS:
+            if k >= LEAST_TEXTS and forms[w] >= least_forms:
                 x = math.log((k + 0.5) / (n1 + 1)) - math.log((pair[0][w] + 0.5) / (n0 + 1))
                 if x >= LEAST_ODDS:
                     out[w] = x
         return out
 
-    return odds(words), odds(stems)
+    return odds(words, 0), odds(stems, LEAST_FORMS)
 
 
 def fit(texts: list[bytes], toxic: list[int]) -> Grammar:
@@ -153,7 +195,7 @@ def learn(docs: DataFrame, labels: DataFrame, rows: int = FIT_ROWS) -> Grammar:
     crc = lambda c: F.crc32(c.cast("string").cast("binary"))
     ids = labels.filter("toxic IS NOT NULL AND doc_id IS NOT NULL").select("doc_id", "toxic").filter(crc(F.col("doc_id")) % 5 != 0)
     picked = ids.orderBy(F.xxhash64("doc_id"), "doc_id", "toxic").limit(rows)
-    found = docs.select("doc_id", "text").join(F.broadcast(picked), "doc_id").select("doc_id", "toxic", "text").collect()
+    found = docs.select("doc_id", F.substring("text", 1, FIT_CHARS).alias("text")).join(F.broadcast(picked), "doc_id").select("doc_id", "toxic", "text").collect()
     found.sort(key=lambda r: (r["doc_id"], r["toxic"], r["text"] or ""))
     return fit([(r["text"] or "").encode() for r in found], [int(r["toxic"] > 0) for r in found])
 
