@@ -18,7 +18,6 @@ from __future__ import annotations
 import base64
 import re
 from collections.abc import Iterator
-from itertools import chain
 
 import numpy as np
 import pyarrow as pa
@@ -27,64 +26,39 @@ import regex
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from sieve.llm.text import slices
+from sieve.llm.text import lists, slices
 
 #: Pre-tokens of a generation that a worker remembers; there are two generations.
-REMEMBERED = 400_000
+REMEMBERED = 350_000
 
 
 class RankQueue:
-    """Merge ranks in use, lowest first, each with its bucket of list positions.
+    """Merge ranks in use, each with its bucket of list positions; empty between pre-tokens.
 
-    Two levels of bitmaps: words of 256 ranks, and a summary of the words in use.
+    Two levels of bitmaps: words of 256 ranks, and a summary of the words in use. The
+    summary lives in the loop that works the queue, which runs once for every merge.
     """
 
     def __init__(self, ranks: int):
         self.words = [0] * ((ranks >> 8) + 1)
-        self.summary = 0
         self.buckets: dict[int, list[int]] = {}
 
-    def push(self, rank: int, position: int) -> None:
-        bucket = self.buckets.get(rank)
-        if bucket is not None:
-            bucket.append(position)
-            return
-        self.buckets[rank] = [position]
-        at = rank >> 8
-        if not self.words[at]:
-            self.summary |= _BIT[at]
-        self.words[at] |= _BIT[rank & 255]
-
-    def pop(self) -> tuple[int, list[int]]:
-        """The lowest rank in use and its positions in order; the rank is free again."""
-        at = (self.summary & -self.summary).bit_length() - 1
-        word = self.words[at]
-        first = word & -word
-        self.words[at] = word = word ^ first
-        if not word:
-            self.summary ^= _BIT[at]
-        rank = (at << 8) + first.bit_length() - 1
-        bucket = self.buckets.pop(rank)
-        if len(bucket) > 1:
-            bucket.sort()
-        return rank, bucket
-
 
 _BIT = [1 << k for k in range(1024)]
 
 
 class _Known(dict):
-    """Ids of the pre-tokens met so far, in two generations."""
+    """Ids of the pre-tokens met so far, as 4-byte integers, in two generations."""
 
     def __init__(self, make):
         self.make, self.older = make, {}
 
-    def __missing__(self, piece: str) -> tuple[int, ...]:
+    def __missing__(self, piece: str) -> bytes:
         ids = self.older.get(piece)
         if ids is None:
             ids = self.make(piece.encode("utf-8"))
         if len(self) >= REMEMBERED:
-            self.older = dict(self)
+            self.older = self.copy()  # a plain dict
             self.clear()
         self[piece] = ids
         return ids
@@ -115,6 +89,7 @@ class Codec:
             if len(word) == 2:
                 self.pairs[word[0] << 8 | word[1]] = rank
         self.queue = RankQueue(size)
+        self.raw = [k.to_bytes(4, "little") for k in range(size)]
         self.known = _Known(self.piece)
         spans = np.zeros(size + 1, np.int64)
         for word, rank in ranks.items():
@@ -123,30 +98,42 @@ class Codec:
         self.length = spans[1:]
         self.blob = np.frombuffer(b"".join(w for w, _ in sorted(ranks.items(), key=lambda x: x[1])), np.uint8)
 
-    def piece(self, b: bytes) -> tuple[int, ...]:
-        """Ids of one pre-token."""
-        get, queue, pairs = self.ranks.get, self.queue, self.pairs
+    def piece(self, b: bytes) -> bytes:
+        """Ids of one pre-token, four bytes each."""
+        get, queue, pairs, raw = self.ranks.get, self.queue, self.pairs, self.raw
         if (whole := get(b)) is not None:
-            return (whole,)
+            return raw[whole]
         n = len(b)
-        push = queue.push
+        words, buckets, bit, summary = queue.words, queue.buckets, _BIT, 0
         after = list(range(1, n + 2))  # start of the next live token
         before = list(range(-1, n))
         pair = [pairs[x << 8 | y] for x, y in zip(b, b[1:], strict=False)]  # rank of the pair that starts here
         pair.append(-1)
-        words, buckets = queue.words, queue.buckets
-        for i, r in enumerate(pair):  # as push does, without a call a byte
-            if r >= 0:
+        fresh = [(r, i) for i, r in enumerate(pair) if r >= 0]  # pairs to put into their buckets
+        while True:
+            for r, i in fresh:
                 if r in buckets:
                     buckets[r].append(i)
                 else:
                     buckets[r] = [i]
                     at = r >> 8
                     if not words[at]:
-                        queue.summary |= _BIT[at]
-                    words[at] |= _BIT[r & 255]
-        while queue.summary:
-            rank, bucket = queue.pop()
+                        summary |= bit[at]
+                    words[at] |= bit[r & 255]
+            if not summary:
+                break
+            # Find first set, twice: the lowest rank in use.
+            at = (summary & -summary).bit_length() - 1
+            word = words[at]
+            first = word & -word
+            words[at] = word = word ^ first
+            if not word:
+                summary ^= bit[at]
+            rank = (at << 8) + first.bit_length() - 1
+            bucket = buckets.pop(rank)
+            if len(bucket) > 1:
+                bucket.sort()
+            fresh = []
             for k, i in enumerate(bucket):
                 if pair[i] != rank:
                     continue  # stale: merged meanwhile, or its pair has changed
@@ -154,34 +141,35 @@ class Codec:
                 end = after[j]
                 after[i] = end
                 pair[j] = -1
-                r, q = -1, -1
+                r = q = -1
                 if end < n:
                     before[end] = i
                     r = get(b[i : after[end]], -1)
                     if r >= 0:
-                        push(r, i)
+                        fresh.append((r, i))
                 pair[i] = r
                 if i:
                     p = before[i]
-                    q = get(b[p:end], -1)
-                    pair[p] = q
+                    pair[p] = q = get(b[p:end], -1)
                     if q >= 0:
-                        push(q, p)
+                        fresh.append((q, p))
                 if 0 <= r <= rank or 0 <= q <= rank:  # a new pair goes before the rest of this bucket
-                    for i in bucket[k + 1 :]:
-                        if pair[i] == rank:
-                            push(rank, i)
+                    fresh += [(rank, i) for i in bucket[k + 1 :] if pair[i] == rank]
                     break
         out, i = [], 0
         while i < n:
             end = after[i]
-            out.append(get(b[i:end]))
+            out.append(raw[get(b[i:end])])
             i = end
-        return tuple(out)
+        return b"".join(out)
 
-    def encode(self, text: str) -> list[int]:
+    def encode_raw(self, text: str) -> bytes:
+        """Ids of a text, four bytes each."""
         split = self.split_ascii if text.isascii() else self.split_any
-        return list(chain.from_iterable(map(self.known.__getitem__, split(text))))
+        return b"".join(map(self.known.__getitem__, split(text)))
+
+    def encode(self, text: str) -> list[int]:
+        return np.frombuffer(self.encode_raw(text), "<i4").tolist()
 
     def decode_all(self, ids: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """(bytes of all ids one after the other, bytes of each id)."""
@@ -221,9 +209,12 @@ def encode(df: DataFrame, path: str, pattern: str, text: str = "text", keep: tup
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         c = codec(path, pattern)
         for batch in batches:
-            for part in slices(batch, at, 4 << 20):
-                out = pa.array([c.encode(t) for t in part.column(at).to_pylist()], pa.list_(pa.int32()))
+            for part in slices(batch, at, 2 << 20):
+                made = [c.encode_raw(t) for t in part.column(at).to_pylist()]
+                values = np.frombuffer(b"".join(made), "<i4")
+                out = lists(pa.array(values, pa.int32()), np.array([len(x) // 4 for x in made], np.int64))
                 yield pa.RecordBatch.from_arrays([*part.columns[:at], out], [*keep, ids])
+            batch = part = None  # freed before the next batch is read
 
     return picked.mapInArrow(run, f"{fields}, `{ids}` array<int>")
 
