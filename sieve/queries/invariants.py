@@ -153,7 +153,7 @@ def sharded_equals_unsharded(spark, sf_dir):
     orders, out = _orders(spark, sf_dir), None
     for bits in (0, 3, 6):
         f = build(orders, "o_orderkey", shard_bits=bits)
-        one = probe.semi(orders, f, "o_orderkey").agg(F.lit(bits).alias("shard_bits"), F.count("*").alias("found"), F.lit(f.keys()).alias("n"))
+        one = probe.semi(orders, f, "o_orderkey").agg(F.lit(bits).alias("shard_bits"), F.count("*").alias("found"), F.lit(f.keys()).cast("bigint").alias("n"))
         out = one if out is None else out.unionByName(one)
     return out
 

@@ -209,8 +209,8 @@ _STARTS = f"{_fuse_sql('part', 'p_partkey', 3)}, st AS (SELECT key, locs[1] // s
 def window_rank_keys(spark, sf_dir):
     """A key's place in its starting segment: the counting sort's second half."""
     rows = _starts(spark, sf_dir)
-    ranks = rows.select("start_seg").distinct().withColumn("segment_rank", F.dense_rank().over(Window.orderBy("start_seg")))  # hundreds of segments
-    place = F.row_number().over(Window.partitionBy("start_seg").orderBy("key")).alias("place")
+    ranks = rows.select("start_seg").distinct().withColumn("segment_rank", F.dense_rank().over(Window.orderBy("start_seg")).cast("bigint"))  # hundreds of segments
+    place = F.row_number().over(Window.partitionBy("start_seg").orderBy("key")).cast("bigint").alias("place")
     return rows.select("key", "start_seg", place).join(ranks, "start_seg").select("key", "start_seg", "place", "segment_rank")
 
 
