@@ -37,6 +37,8 @@ from sieve.plans.scratch import materialize
 
 #: Documents in a block on average, blocks in an output shard on average, sources at most.
 BLOCK_ROWS, SHARD_BLOCKS, MOST_SOURCES = 1024, 8, 1_000_000
+#: Partitions of a mixture at most; beyond that shards share them evenly.
+MOST_PARTITIONS = 100_000
 WEIGHTS = (5, 2, 1)
 _NULL = "\0null"
 
@@ -315,4 +317,6 @@ def mix(df: DataFrame, key: str = "doc_id", text: str = "text", source: str = "s
 
     fields = StructType([*[f for f in df.schema], StructField(shard, IntegerType()), StructField(place, LongType())])
     drawn = keyed.mapInArrow(run, fields)
-    return drawn.repartition(F.col(shard)).sortWithinPartitions(shard, place).select(*[F.col(f"`{c}`") for c in names])
+    # A partition a shard, so that no two shards meet in one task by chance of hashing.
+    dealt = drawn.repartitionById(min(plan.shards, MOST_PARTITIONS), F.col(shard))
+    return dealt.sortWithinPartitions(shard, place).select(*[F.col(f"`{c}`") for c in names])
