@@ -14,6 +14,8 @@ from sieve.operators.kinds import LANES, blocked_masks, cuckoo_jump, cuckoo_plac
 from sieve.operators.peel import lookup
 from sieve.schema import Spec
 
+#: Keys probed at once in numpy.
+CHUNK = 1 << 15
 #: Kinds whose test is one generated expression; the others go through Arrow.
 NATIVE = ("fuse", "xor", "xorplus", "bloom", "blocked", "cuckoo", "ribbon")
 
@@ -100,6 +102,12 @@ class Loaded:
         self.made: dict[str, np.ndarray] = {}
 
     def contains(self, key64: np.ndarray) -> np.ndarray:
+        """A flag for every key, in chunks whose words stay in the processor's cache."""
+        if len(key64) <= CHUNK:
+            return self._contains(key64)
+        return np.concatenate([self._contains(key64[a : a + CHUNK]) for a in range(0, len(key64), CHUNK)])
+
+    def _contains(self, key64: np.ndarray) -> np.ndarray:
         s, seed = self.s, self.seed
         a, b = words(key64, seed)
         if s.kind == "bloom":

@@ -88,13 +88,13 @@ def build_xorplus(keys: np.ndarray, seed: int, s: Spec) -> Payload | None:
     return Payload(size, cells=dense, words=np.concatenate((bitmap, before)), seg_len=seg_len, seg_count=seg_count, array_len=len(dense), extra={"words": str(n_words)})
 
 
-def build_bloom(keys: np.ndarray, seed: int, s: Spec, batch: int = 4096) -> Payload:
+def build_bloom(keys: np.ndarray, seed: int, s: Spec, batch: int = 1 << 14) -> Payload:
     """Hashes a batch of keys in bulk, then sets its bits."""
     m = sizing.bloom_bits(len(keys), s.bits_per_key)
     out = np.zeros(m // 64, np.uint64)
-    a, _ = words(keys, seed)
-    for at in range(0, len(a), batch):
-        h1, h2 = high(a[at : at + batch]), low(a[at : at + batch])
+    for at in range(0, len(keys), batch):
+        a, _ = words(keys[at : at + batch], seed)
+        h1, h2 = high(a), low(a)
         for i in range(s.hashes):
             bit = reduce32((h1 + np.uint64(i) * h2) & np.uint64(0xFFFFFFFF), m)
             np.bitwise_or.at(out, bit >> 6, np.uint64(1) << (bit & 63).astype(np.uint64))
@@ -109,13 +109,14 @@ def blocked_masks(a: np.ndarray) -> list[np.ndarray]:
     return [(one << bit[2 * w]) | (one << (bit[2 * w + 1] + np.uint64(32))) for w in range(4)]
 
 
-def build_blocked(keys: np.ndarray, seed: int, s: Spec) -> Payload:
+def build_blocked(keys: np.ndarray, seed: int, s: Spec, batch: int = 1 << 14) -> Payload:
     blocks = sizing.blocked_blocks(len(keys), s.bits_per_key)
-    a, _ = words(keys, seed)
-    block = reduce32(high(a), blocks)
     out = np.zeros(blocks * 4, np.uint64)
-    for w, mask in enumerate(blocked_masks(a)):
-        np.bitwise_or.at(out, block * 4 + w, mask)
+    for at in range(0, len(keys), batch):
+        a, _ = words(keys[at : at + batch], seed)
+        block = reduce32(high(a), blocks) * 4
+        for w, mask in enumerate(blocked_masks(a)):
+            np.bitwise_or.at(out, block + w, mask)
     return Payload(blocks * 256, words=out, array_len=blocks)
 
 
