@@ -14,7 +14,7 @@ are compared. Copies and boundary windows that continue each other at the same
 distance from their source are one factor.
 Skew. Each task first matches inside its own batch and sends one entry for equal
 content; where a batch already knows that an anchor has several contents, entries
-travel by content instead of by anchor. A passage in a third of all documents thus
+travel by content instead of by anchor, and one marked entry tells the anchor's group. A passage in a third of all documents thus
 sends a few rows a batch under any key. Sorted streams with constant state do the
 matching; no group is gathered.
 
@@ -132,6 +132,7 @@ def _index(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             many, sign = order[several], order[several & new]
             keep = [key, content, doc, place, doc[first], place[first]]
             signs = [x[sign] for x in keep]
+            signs[3] = signs[3] | _OPEN  # an anchor group that sees it has other contents elsewhere
             keep[0] = key.copy()
             keep[0][many] = content[many]
             keep[3] = place.copy()
@@ -143,7 +144,7 @@ def _match(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """Reads entries by key, content and place; gives copies (settled) and open entries.
 
     State: the key and content read last, that content's earliest entry, and one
-    entry held back while its key has a single content.
+    entry held back while its key has a single content and no marked entry.
     """
     last: tuple | None = None  # key, content, doc, place of the earliest entry of the content
     held: tuple | None = None  # the only entry of the key so far, not yet known to be open
@@ -161,12 +162,13 @@ def _match(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         lead_doc = np.where(lead >= 0, doc[lead], last[2] if last else 0)
         lead_place = np.where(lead >= 0, place[lead], last[3] if last else 0)
         copy = ~passing & ~new & ((doc != lead_doc) | (start_of(place) != start_of(lead_place)))
-        # Open: firsts of a content whose key has several contents, or that are marked.
+        # Open: firsts of a content whose key has several contents, or any marked entry.
         group = np.cumsum(new_key)
+        marked = ~passing & ((place & _OPEN) > 0)
         contents = np.bincount(group, weights=new & ~passing, minlength=int(group[-1]) + 1)
-        several = contents[group] > 1
+        several = (contents[group] > 1) | (np.bincount(group, weights=marked, minlength=int(group[-1]) + 1)[group] > 0)
         if not new_key[0] and (group == 0).any():
-            joins = (group == 0) & new & ~passing
+            joins = (group == 0) & ((new & ~passing) | marked)
             if joins.any():
                 several |= group == 0
                 if held is not None:
@@ -176,7 +178,7 @@ def _match(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
                 several |= group == 0
         if new_key.any():
             held = None  # a key that ended with a single content has nothing to compare
-        opened = new & ~passing & (several | ((place & _OPEN) > 0))
+        opened = new & ~passing & several
         tail = group == group[-1]
         waiting = np.flatnonzero(tail & new & ~passing & ~opened)
         if len(waiting):

@@ -7,11 +7,13 @@ import zlib
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
 import __spark_entry__ as entry
 from sieve.llm import bpe, chat, fingerprints, licenses, mixing, neardup, quality, sharding, substrings, toxicity
+from sieve.llm.text import word_hashes
 
 SF = "/root/testdata/sf0.01"
 SMALL = "/root/testdata/sf0.001"
@@ -305,6 +307,33 @@ def test_substrings_random(spark, batch):
     assert sorted(str(tuple(r)) for r in got) == brute_substrings(rows)
 
 
+def test_substrings_edit_beside_an_earlier_batch(spark):
+    """T, then in another batch an edited T and T again: windows beside the edit repeat the first T."""
+    rng = np.random.default_rng(21)
+    early, late, orders = [], [], set()
+    for i in range(0, 1200, 100):
+        t = [f"e{x}" for x in rng.integers(0, 10**9, 60)]
+        edited = [*t[:30], f"n{i}", *t[31:]]
+        early.append((i + 5, " ".join(t)))
+        late += [(i + 7, " ".join(edited)), (i + 10, " ".join(t))]
+        found = [list(zip(*(x.tolist() for x in substrings.runs(*word_hashes([" ".join(w).encode()]))[3:]))) for w in (edited, t)]
+        orders |= {np.int64(np.uint64(c).view(np.int64)) < np.uint64(d).view(np.int64) for a, c in found[0] for b, d in found[1] if a == b and c != d}
+    assert orders == {True, False}  # either content may be the one that an anchor is told of
+    parts = spark.sparkContext.parallelize(early, 1).union(spark.sparkContext.parallelize(late, 1))
+    got = substrings.dedup_substrings(spark.createDataFrame(parts, "doc_id bigint, text string")).collect()
+    assert sorted(str(tuple(r)) for r in got) == brute_substrings(early + late)
+
+
+def test_a_marked_entry_opens_its_group_across_batches():
+    place = lambda start, flag=0: int(substrings.pack(np.array([start]), np.array([1]), np.array([3]), flag)[0])
+    rows = [(1, 4, 5, place(0), 5, place(0)), (1, 4, 6, place(0), 6, place(0)), (1, 4, 7, place(0, 2), 7, place(0)), (2, 9, 5, place(9), 5, place(9)), (2, 9, 8, place(9), 8, place(9))]
+    names = [x.split()[0] for x in substrings._ENTRY.split(", ")]
+    for size in range(1, 6):
+        cut = [pa.RecordBatch.from_pylist([dict(zip(names, r)) for r in rows[a : a + size]]) for a in range(0, len(rows), size)]
+        out = sorted((r["key"], r["doc"], r["place"] & 3, r["ref_doc"]) for b in substrings._match(iter(cut)) for r in b.to_pylist())
+        assert out == [(1, 5, 2, 5), (1, 6, 1, 5), (1, 7, 1, 5), (2, 8, 1, 5)]
+
+
 def test_factors_are_longest_chains(spark):
     rng = np.random.default_rng(9)
     source = [f"s{x}" for x in rng.integers(0, 10**9, 200)]
