@@ -1,17 +1,17 @@
-"""Substring dedup by parsing documents relative to an indexed reference.
+"""Substring dedup by matching minimizer-anchored runs of windows, and single windows.
 
-The reference is the corpus itself. A document is parsed into factors, stretches of
-at least LEAST words that occur earlier in the corpus, and literals between them.
+Words that lie in a window of LEAST words which occurs earlier in the corpus are
+covered. This stands in place of a greedy relative Lempel-Ziv parse: no document is
+parsed into factors here; ``merge`` makes factors of matches for those who want them.
 
 Index. A window is LEAST words; its anchor is the least K-word hash in it. Runs of
 windows with one anchor place are the entries of the index (about one a dozen
 words). An entry carries the anchor's hash, a hash of the run's words, and its
 place. Equal windows have equal anchors, so a match is found under one key.
-Factoring. Entries of equal content are matched at once: every one but the earliest
-is a copy of it. Entries that share only the anchor meet at a factor's boundary: the
-words agree up to some place inside the run. There, and only there, single windows
-are compared. Copies and boundary windows that continue each other at the same
-distance from their source are one factor.
+Matching. Entries of equal content are matched at once: every one but the earliest
+is a copy of it. Entries that share only the anchor meet at the edge of a shared
+stretch: the words agree up to some place inside the run. There, and only there,
+single windows are compared.
 Skew. Each task first matches inside its own batch and sends one entry for equal
 content; where a batch already knows that an anchor has several contents, entries
 travel by content instead of by anchor, and one marked entry tells the anchor's group. A passage in a third of all documents thus
@@ -19,7 +19,7 @@ sends a few rows a batch under any key. Sorted streams with constant state do th
 matching; no group is gathered.
 
 Cases: null and empty texts have no words; a text of fewer words than a window keeps
-them all; texts of any length are parsed whole; rows of one id and text are one
+them all; texts of any length are read whole; rows of one id and text are one
 document; rows that share an id but not the text are not earlier than each other at
 equal places; null ids come first in order; an empty table gives an empty table.
 """
