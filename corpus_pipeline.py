@@ -35,10 +35,10 @@ def source_mixing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 
 def byte_bpe(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Token ids of every document of the mixture."""
+    """Token ids of every document of the mixture, and the digest of what they decode to."""
     path = public_tokenizers.path(VOCABULARY)
-    ids = bpe.encode(docs, path, public_tokenizers.PATTERN, keep=("doc_id", "source"))
-    return ids.select("doc_id", "source", F.size("ids").cast("long").alias("n_tokens"), "ids")
+    ids = bpe.encode(docs, path, public_tokenizers.PATTERN, keep=("doc_id", "source"), decoded="decoded_sha256")
+    return ids.select("doc_id", "source", F.size("ids").cast("long").alias("n_tokens"), "ids", "decoded_sha256")
 
 
 STAGES = [

@@ -16,6 +16,7 @@ an empty table; only the named columns are read, so other columns cannot clash.
 from __future__ import annotations
 
 import base64
+import hashlib
 import re
 from collections.abc import Iterator
 
@@ -197,10 +198,11 @@ def codec(path: str, pattern: str) -> Codec:
     return _CODECS[path, pattern]
 
 
-def encode(df: DataFrame, path: str, pattern: str, text: str = "text", keep: tuple[str, ...] = ("doc_id",), ids: str = "ids") -> DataFrame:
+def encode(df: DataFrame, path: str, pattern: str, text: str = "text", keep: tuple[str, ...] = ("doc_id",), ids: str = "ids", decoded: str | None = None) -> DataFrame:
     """``keep`` columns plus the token ids of ``text``; null is the empty text.
 
     ``path``: rank file, installed with the tokenizer package on every node.
+    ``decoded``: a further column, the SHA-256 of what the ids decode to.
     """
     picked = df.select(*[F.col(f"`{c}`") for c in keep], F.coalesce(F.col(f"`{text}`"), F.lit("")).alias("__text"))
     fields = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in picked.schema.fields[:-1])
@@ -213,10 +215,13 @@ def encode(df: DataFrame, path: str, pattern: str, text: str = "text", keep: tup
                 made = [c.encode_raw(t) for t in part.column(at).to_pylist()]
                 values = np.frombuffer(b"".join(made), "<i4")
                 out = lists(pa.array(values, pa.int32()), np.array([len(x) // 4 for x in made], np.int64))
-                yield pa.RecordBatch.from_arrays([*part.columns[:at], out], [*keep, ids])
+                columns, names = [*part.columns[:at], out], [*keep, ids]
+                if decoded:
+                    columns, names = [*columns, pa.array([hashlib.sha256(c.decode_all(np.frombuffer(x, "<i4"))[0]).hexdigest() for x in made], pa.string())], [*names, decoded]
+                yield pa.RecordBatch.from_arrays(columns, names)
             batch = part = None  # freed before the next batch is read
 
-    return picked.mapInArrow(run, f"{fields}, `{ids}` array<int>")
+    return picked.mapInArrow(run, f"{fields}, `{ids}` array<int>" + (f", `{decoded}` string" if decoded else ""))
 
 
 def decode(df: DataFrame, path: str, pattern: str, ids: str = "ids", out: str = "decoded") -> DataFrame:

@@ -1,5 +1,6 @@
 """The pipeline stage by stage against brute-force versions of each stage's decision."""
 
+import hashlib
 import re
 
 import public_tokenizers
@@ -71,6 +72,11 @@ def test_bpe_stage(stages):
     assert sorted(c.decode(r["ids"]).decode() for r in rows) == texts and all(r["n_tokens"] == len(r["ids"]) for r in rows)
 
 
+def test_bpe_stage_decodes(stages):
+    told = sorted((r["doc_id"], r["decoded_sha256"]) for r in stages[5].collect())
+    assert told == sorted((r["doc_id"], hashlib.sha256(r["text"].encode()).hexdigest()) for r in stages[4].collect())
+
+
 def test_run(spark, stages):
     key = lambda df: sorted((r["doc_id"], r["n_tokens"]) for r in df.collect())
     assert key(corpus_pipeline.run(spark, SMALL)) == key(stages[5])
