@@ -36,8 +36,8 @@ NEGATIONS = frozenset("not no never nobody isn't aren't wasn't don't doesn't nic
 REPORTS = frozenset("said says say called calls wrote writes quoted reported claimed sagte sagt nannte schrieb dit disait appelé dijo llamó escribió".split())
 THREATS = frozenset("kill hurt destroy burn beat shoot stab töten schlagen tuer frapper matar golpear".split())
 
-#: Labelled rows and characters of a row used for fitting, at most; scores read whole texts.
-FIT_ROWS, FIT_CHARS = 6000, 200_000
+#: Labelled rows used for fitting, at most; fitting and scoring read whole texts.
+FIT_ROWS = 6000
 #: An item of the lexicon is in this many toxic texts, with these log odds.
 LEAST_TEXTS, LEAST_ODDS = 4, 3.0
 #: A stem of the lexicon begins this many words.
@@ -195,7 +195,7 @@ def learn(docs: DataFrame, labels: DataFrame, rows: int = FIT_ROWS) -> Grammar:
     crc = lambda c: F.crc32(c.cast("string").cast("binary"))
     ids = labels.filter("toxic IS NOT NULL AND doc_id IS NOT NULL").select("doc_id", "toxic").filter(crc(F.col("doc_id")) % 5 != 0)
     picked = ids.orderBy(F.xxhash64("doc_id"), "doc_id", "toxic").limit(rows)
-    found = docs.select("doc_id", F.substring("text", 1, FIT_CHARS).alias("text")).join(F.broadcast(picked), "doc_id").select("doc_id", "toxic", "text").collect()
+    found = docs.select("doc_id", "text").join(F.broadcast(picked), "doc_id").select("doc_id", "toxic", "text").collect()
     found.sort(key=lambda r: (r["doc_id"], r["toxic"], r["text"] or ""))
     return fit([(r["text"] or "").encode() for r in found], [int(r["toxic"] > 0) for r in found])
 

@@ -446,6 +446,14 @@ def test_toxicity_rows(spark, docs, none):
     assert toxicity.score(none, grammar).count() == 0
 
 
+def test_toxicity_learns_from_whole_texts(spark):
+    long = lambda w: "fine day here. " * 14_000 + f"You {w}."
+    rows = [(i, long("zorgle" if i % 2 else "friend")) for i in range(60)]
+    labels = spark.createDataFrame([(i, 3, i % 2) for i, _ in rows], "doc_id bigint, quality int, toxic int")
+    grammar = toxicity.learn(spark.createDataFrame(rows, "doc_id bigint, text string"), labels)
+    assert b"zorgle" in grammar.words and grammar.score(long("zorgle").encode()) > 0.5 > grammar.score(long("friend").encode())
+
+
 def test_composition_multiplies():
     t = toxicity
     rng = np.random.default_rng(0)
