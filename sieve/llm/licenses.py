@@ -15,6 +15,7 @@ empty table; other columns are not read.
 
 from __future__ import annotations
 
+from bisect import bisect_right
 from collections.abc import Iterator
 from dataclasses import dataclass, field
 
@@ -173,28 +174,45 @@ class Scanner:
 
     def chain(self, matches: list[tuple[int, int, int]]) -> list[tuple[int, int, int, float]]:
         """Chains matches in file and template order; gaps stay below a template's length."""
-        done: list[tuple[int, int, int, float]] = []
-        open_: dict[int, list[int]] = {}  # template -> [start, end, template end, covered]
-        close = lambda t, x: done.append((x[0], x[1], t, x[3] / self.sizes[t]))
+        done: dict[int, list[list[int]]] = {}
+        open_: dict[int, list[list[int]]] = {}  # template -> chains of [start, end, template end, covered]
         for end, n, state in matches:
             places: dict[int, list[int]] = {}
             for t, at in sorted(self.a.ends[state]):
                 places.setdefault(t, []).append(at)
             for t, ats in places.items():
-                x = open_.get(t)
-                if x and end - n < x[1] + self.sizes[t]:
+                near = [x for x in open_.get(t, ()) if end - n < x[1] + self.sizes[t]]
+                new = [[end - n, end, ats[0], n]]  # a match may begin a copy
+                for x in near:  # or go on with any chain that it goes forward from; the chain as it was stays too
                     at = next((a for a in ats if a > x[2]), None)
                     if at is not None:
-                        open_[t] = [x[0], end, at, x[3] + min(n, end - x[1], at - x[2])]
-                        continue
-                    if n <= x[3]:  # a shorter match out of order does not break a chain
-                        continue
-                if x:
-                    close(t, x)
-                open_[t] = [end - n, end, ats[0], n]
-        for t, x in open_.items():
-            close(t, x)
-        return sorted(done)
+                        new.append([x[0], end, at, x[3] + min(n, end - x[1], at - x[2])])
+                # Of chains that end here, one that starts earlier must cover more or leave more of the template.
+                new.sort(key=lambda x: (-x[0], -x[3], x[2]))
+                kept: list[list[int]] = []
+                for x in new:
+                    if not any(y[3] >= x[3] and y[2] <= x[2] for y in kept):
+                        kept.append(x)
+                done.setdefault(t, []).extend(kept)
+                open_[t] = near + kept
+        return sorted((x[0], x[1], t, x[3] / self.sizes[t]) for t, chains in done.items() for x in self.best(chains, self.sizes[t]))
+
+    def best(self, chains: list[list[int]], size: int) -> list[list[int]]:
+        """Chains that do not overlap: the most cover by chains that earn the label, then the most cover."""
+        chains = sorted(chains, key=lambda x: (x[1], -x[0]))
+        ends = [x[1] for x in chains]
+        total: list[tuple[int, int]] = [(0, 0)]
+        for i, x in enumerate(chains):
+            good, all_ = total[bisect_right(ends, x[0], 0, i)]
+            total.append(max(total[-1], (good + x[3] * (x[3] >= self.least_cover * size), all_ + x[3])))
+        out, i = [], len(chains)
+        while i:
+            if total[i] != total[i - 1]:
+                out.append(chains[i - 1])
+                i = bisect_right(ends, chains[i - 1][0], 0, i - 1)
+            else:
+                i -= 1
+        return out
 
     def digest(self, text: bytes) -> dict:
         """What a file is told to be: places, labels, score and its best spans."""

@@ -175,6 +175,16 @@ def test_license_places(spark):
     assert got.labels[6] == "gpl-3" and got.score[6] == 1.0 and got.labels[8] == "" and got.score[0] == 0.0
 
 
+def test_license_copies_and_tails():
+    w = [f"w{chr(97 + k // 26)}{chr(97 + k % 26)}" for k in range(60)]
+    scanner = licenses.Scanner((("x", " ".join(w)),), ())
+    spans = lambda words: [(s["start"], s["end"]) for s in scanner.digest(" ".join(words).encode())["spans"]]
+    assert spans([*w, *w]) == [(0, 60), (60, 120)]
+    edited = [x if k % 20 != 10 else "zz" for k, x in enumerate(w)]
+    assert spans([*w[30:], "zz", *edited]) == [(31, 91)]
+    assert spans([*edited, "zz", *edited]) == [(0, 60), (61, 121)]
+
+
 def test_automaton_gives_matching_statistics():
     rng = np.random.default_rng(2)
     vocabulary = [b"%d" % x for x in range(4)]
