@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from math import ceil
+
 import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -50,21 +52,27 @@ def no_false_negatives_all(spark, sf_dir):
     return out
 
 
+def outside_probes(eps: float) -> int:
+    """Probes that give some 320 false positives, where five standard deviations are under a third of them."""
+    return max(200_000, ceil(320 / eps))
+
+
 @_query(f"SELECT kind, true AS within FROM (VALUES {_NAMES}) t(kind)")
 def fpr_within_bound_all(spark, sf_dir):
     """Measured false-positive rates lie within five standard deviations of the models."""
     members = _orders(spark, sf_dir)
     n = members.count()
-    outside = spark.range(10**9, 10**9 + 200_000).withColumnRenamed("id", "o_orderkey")
     rows = []
     for name, (kind, how) in CATALOGUE.items():
         f = build(members, "o_orderkey", kind, **how)
-        positives = probe.contains(outside, f, "o_orderkey").agg(F.count_if("maybe_member")).first()[0]
         load = 0.93 if kind == "vqf" else 0.94
         eps = theory.expected_fpr(kind, f.spec.fp_bits, f.spec.bits_per_key, f.spec.hashes, load)
+        probes = outside_probes(eps)
+        outside = spark.range(10**9, 10**9 + probes).withColumnRenamed("id", "o_orderkey")
+        positives = probe.contains(outside, f, "o_orderkey").agg(F.count_if("maybe_member")).first()[0]
         loose = 1.25 if f.spec.homogeneous or kind in ("blocked", "cuckoo", "vqf", "bloom") else 1.0  # models of load, not exact
-        spread = 5 * (eps * (1 - eps) * 200_000) ** 0.5
-        rows.append((name, bool(positives <= loose * eps * 200_000 + spread and positives >= eps * 200_000 / (loose * 1.2) - spread)))
+        spread = 5 * (eps * (1 - eps) * probes) ** 0.5
+        rows.append((name, bool(positives <= loose * eps * probes + spread and positives >= eps * probes / (loose * 1.2) - spread)))
     del n
     return spark.createDataFrame(rows, "kind string, within boolean")
 

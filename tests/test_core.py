@@ -293,3 +293,13 @@ def test_entry(spark):
 
 def test_every_query_is_named_once():
     assert set(entry.oracle_sql()) <= set(entry.queries())
+
+
+def test_probes_tell_small_errors_apart():
+    from sieve.queries import invariants
+
+    assert hasattr(invariants, "outside_probes")
+    for bits in (8, 12, 15, 16):
+        eps = 2.0**-bits
+        n = invariants.outside_probes(eps)
+        assert n >= (10**7 if bits >= 15 else 200_000) and 0 < eps * n - 5 * (eps * n) ** 0.5 and eps * n + 5 * (eps * n) ** 0.5 < 1.5 * eps * n
