@@ -1,10 +1,12 @@
 """Vectorised word and shingle hashing shared by the text operators.
 
-A word is a maximal run of bytes outside 0x20 and 0x09-0x0D of the UTF-8 text.
-Every word gets a 64-bit hash from one cumulative sum over the bytes: with
-``P[i] = sum(T[byte] * B**i)`` modulo 2**64 and an odd base ``B`` (invertible),
-the polynomial of bytes ``s..e`` is ``(P[e] - P[s]) * B**-s``. No Python loop
-runs over words, and no Python object is made for one.
+A word is a maximal run of bytes outside 0x20 and 0x09-0x0D of the UTF-8 text. Its
+hash is the sum, modulo 2**64, of one random number for each (byte, offset inside
+the word); a sum over a stretch is the difference of two running sums, so no Python
+loop runs over words. Numbers of different offsets are unrelated, so words that
+repeat a structure (powers, Thue-Morse words) collide no more often than others.
+Hashes of n words are combined pairwise through a finaliser for the same reason.
+A second, independent lane gives 128 bits where windows are compared across a corpus.
 """
 
 from __future__ import annotations
@@ -18,7 +20,6 @@ import pyarrow.compute as pc
 
 #: Bytes of text hashed at once; longer texts are cut at white space.
 PIECE = 1 << 20
-_BASE = np.uint64(0x9E3779B97F4A7C15)
 _WHITE = np.zeros(256, bool)
 _WHITE[[0x20, 0x09, 0x0A, 0x0B, 0x0C, 0x0D]] = True
 
@@ -31,20 +32,18 @@ def mix(x: np.ndarray) -> np.ndarray:
     return x ^ (x >> np.uint64(31))
 
 
-_TABLE = mix(np.arange(256, dtype=np.uint64) * np.uint64(0xD6E8FEB86659FD93) + np.uint64(7))
-_POWERS: dict[str, np.ndarray] = {}
-_TRIM = getattr(ctypes.CDLL(None), "malloc_trim", None)
+#: Offsets inside a word whose numbers are tabulated; those beyond are computed.
+NEAR = 32
+_LANES = (np.uint64(0xD6E8FEB86659FD93), np.uint64(0xA24BAED4963EE407))
+
+
+def _numbers(byte: np.ndarray, offset: np.ndarray, lane: int) -> np.ndarray:
+    """The random number of a byte at an offset."""
+    return mix(mix((offset.astype(np.uint64) << np.uint64(8) | byte.astype(np.uint64)) + _LANES[lane]) ^ _LANES[lane])
 
 
-def _powers(n: int) -> tuple[np.ndarray, np.ndarray]:
-    if len(_POWERS.get("up", ())) < n:
-        n = max(n, PIECE + 4096)
-        inverse = np.uint64(pow(int(_BASE), -1, 1 << 64))
-        for name, base in (("up", _BASE), ("down", inverse)):
-            p = np.full(n, base, np.uint64)
-            p[0] = 1
-            _POWERS[name] = np.cumprod(p, dtype=np.uint64)
-    return _POWERS["up"], _POWERS["down"]
+_TABLES = [_numbers(np.tile(np.arange(256), NEAR), np.repeat(np.arange(NEAR), 256), lane) for lane in range(2)]
+_TRIM = getattr(ctypes.CDLL(None), "malloc_trim", None)
 
 
 def as_bytes(column: pa.Array, lower: bool = False) -> list[bytes]:
@@ -80,9 +79,11 @@ def _pieces(texts: list[bytes]) -> Iterator[tuple[list[bytes], list[int]]]:
         yield parts, owners
 
 
-def word_hashes(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
-    """(hash of every word in order, words of each text)."""
-    hashes, counts = [], np.zeros(len(texts), np.int64)
+def word_hashes(texts: list[bytes], lane: int | tuple[int, ...] = 0) -> tuple[np.ndarray, np.ndarray]:
+    """(hash of every word in order, words of each text); several lanes give rows of hashes."""
+    lanes = (lane,) if isinstance(lane, int) else lane
+    hashes: list[list[np.ndarray]] = [[] for _ in lanes]
+    counts = np.zeros(len(texts), np.int64)
     for parts, owners in _pieces(texts):
         buf = np.frombuffer(b" ".join(parts) + b" ", np.uint8)
         white = _WHITE[buf]
@@ -92,29 +93,46 @@ def word_hashes(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
         if not len(edge):
             continue
         s, e = edge[0::2], edge[1::2]
-        up, down = _powers(len(buf) + 1)
-        total = np.zeros(len(buf) + 1, np.uint64)
-        np.cumsum(_TABLE[buf] * up[: len(buf)], out=total[1:])
-        hashes.append(mix((total[e] - total[s]) * down[s] + (e - s).astype(np.uint64)))
+        length = e - s
+        offset = np.arange(len(buf), dtype=np.int32)
+        gap = np.zeros(len(buf), np.int32)  # from the start of the word before to this word's start
+        gap[s] = np.diff(s, prepend=0)
+        offset -= np.cumsum(gap, dtype=np.int32)
+        offset[white] = 0
+        far = np.flatnonzero(offset >= NEAR) if length.max() > NEAR else None
+        at = np.minimum(offset, NEAR - 1) * np.int32(256) + buf
+        for out, k in zip(hashes, lanes, strict=True):
+            numbers = _TABLES[k][at]
+            if far is not None:
+                numbers[far] = _numbers(buf[far], offset[far], k)
+            total = np.zeros(len(buf) + 1, np.uint64)
+            np.cumsum(numbers, out=total[1:])
+            out.append(mix(total[e] - total[s] + length.astype(np.uint64)))
         ends = np.cumsum([len(p) + 1 for p in parts])
         per_part = np.bincount(np.searchsorted(ends, s, "right"), minlength=len(parts))
         np.add.at(counts, owners, per_part)
-    return (np.concatenate(hashes) if hashes else np.zeros(0, np.uint64)), counts
+    made = [np.concatenate(h) if h else np.zeros(0, np.uint64) for h in hashes]
+    return (made[0] if isinstance(lane, int) else np.stack(made)), counts
 
 
 def ngrams(w: np.ndarray, n: int) -> np.ndarray:
-    """Hash of the n words from every position (len(w) - n + 1 values), order-sensitive."""
+    """Hash of the n words from every position (len(w) - n + 1 values), order-sensitive.
+
+    Stretches of 1, 2, 4, ... words are made by joining two of half the length; the
+    stretches whose lengths add up to n are joined in the end. Every join is mixed.
+    """
     if len(w) < n:
         return np.zeros(0, np.uint64)
-    c = 0xC2B2AE3D27D4EB4F
+    join = lambda a, b: mix(a * np.uint64(0xC2B2AE3D27D4EB4F) + b)
     have, width, out, done = w, 1, None, 0
     while True:
         if n & width:
-            out = have if out is None else out[: len(w) - n + 1] * np.uint64(pow(c, width, 1 << 64)) + have[done : done + len(w) - n + 1]
+            part = have[done : done + len(w) - n + 1]
+            out = part if out is None else join(out, part)
             done += width
         if width * 2 > n:
-            return mix(out[: len(w) - n + 1])
-        have = have[:-width] * np.uint64(pow(c, width, 1 << 64)) + have[width:]
+            return mix(out)
+        have = join(have[:-width], have[width:])
         width *= 2
 
 
@@ -173,10 +191,11 @@ def lists(values: pa.Array, sizes: np.ndarray) -> pa.Array:
 
 
 def fresh(names: list[str], *wanted: str) -> list[str]:
-    """Names for helper columns that none of ``names`` has."""
-    out = []
+    """Names for helper columns that none of ``names`` has, in any case of letters."""
+    out, taken = [], {n.lower() for n in names}
     for w in wanted:
-        while w in names or w in out:
+        while w.lower() in taken:
             w = f"_{w}"
+        taken.add(w.lower())
         out.append(w)
     return out

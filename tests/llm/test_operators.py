@@ -13,7 +13,7 @@ from pyspark.sql import functions as F
 
 import __spark_entry__ as entry
 from sieve.llm import bpe, chat, fingerprints, licenses, mixing, neardup, quality, sharding, substrings, toxicity
-from sieve.llm.text import word_hashes
+from sieve.llm.text import ngrams, word_hashes
 
 SF = "/root/testdata/sf0.01"
 SMALL = "/root/testdata/sf0.001"
@@ -292,7 +292,7 @@ def brute_substrings(rows, least=20):
 
 
 def test_substrings(docs, rows):
-    got = substrings.dedup_substrings(docs)
+    got = substrings.dedup_substrings(docs).drop("factors")
     assert sorted(str(tuple(r)) for r in got.collect()) == brute_substrings(rows)
 
 
@@ -311,7 +311,7 @@ def test_substrings_random(spark, batch):
     before = spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch")
     spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", batch)
     try:
-        got = substrings.dedup_substrings(spark.createDataFrame(rows, "doc_id bigint, text string").repartition(5)).collect()
+        got = substrings.dedup_substrings(spark.createDataFrame(rows, "doc_id bigint, text string").repartition(5)).drop("factors").collect()
     finally:
         spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", before)
     assert sorted(str(tuple(r)) for r in got) == brute_substrings(rows)
@@ -326,31 +326,75 @@ def test_substrings_edit_beside_an_earlier_batch(spark):
         edited = [*t[:30], f"n{i}", *t[31:]]
         early.append((i + 5, " ".join(t)))
         late += [(i + 7, " ".join(edited)), (i + 10, " ".join(t))]
-        found = [list(zip(*(x.tolist() for x in substrings.runs(*word_hashes([" ".join(w).encode()]))[3:]))) for w in (edited, t)]
+        found = [list(zip(*(x.tolist() for x in substrings.runs(*word_hashes([" ".join(w).encode()], (0, 1)))[3:5]))) for w in (edited, t)]
         orders |= {np.int64(np.uint64(c).view(np.int64)) < np.uint64(d).view(np.int64) for a, c in found[0] for b, d in found[1] if a == b and c != d}
     assert orders == {True, False}  # either content may be the one that an anchor is told of
     parts = spark.sparkContext.parallelize(early, 1).union(spark.sparkContext.parallelize(late, 1))
-    got = substrings.dedup_substrings(spark.createDataFrame(parts, "doc_id bigint, text string")).collect()
+    got = substrings.dedup_substrings(spark.createDataFrame(parts, "doc_id bigint, text string")).drop("factors").collect()
     assert sorted(str(tuple(r)) for r in got) == brute_substrings(early + late)
 
 
 def test_a_marked_entry_opens_its_group_across_batches():
-    place = lambda start, flag=0: int(substrings.pack(np.array([start]), np.array([1]), np.array([3]), flag)[0])
-    rows = [(1, 4, 5, place(0), 5, place(0)), (1, 4, 6, place(0), 6, place(0)), (1, 4, 7, place(0, 2), 7, place(0)), (2, 9, 5, place(9), 5, place(9)), (2, 9, 8, place(9), 8, place(9))]
-    names = [x.split()[0] for x in substrings._ENTRY.split(", ")]
+    place = lambda start, flag=0: int(substrings.pack(np.array([start]), np.array([3]), flag)[0])
+    rows = [(1, 4, 4, 5, 0, place(0), 0, 0), (1, 4, 4, 6, 0, place(0), 0, 0), (1, 4, 4, 7, 0, place(0, 2), 0, 0), (2, 9, 9, 5, 0, place(9), 0, 0), (2, 9, 9, 8, 0, place(9), 0, 0)]
     for size in range(1, 6):
-        cut = [pa.RecordBatch.from_pylist([dict(zip(names, r)) for r in rows[a : a + size]]) for a in range(0, len(rows), size)]
+        cut = [pa.RecordBatch.from_pylist([dict(zip(substrings._NAMES, r)) for r in rows[a : a + size]]) for a in range(0, len(rows), size)]
         out = sorted((r["key"], r["doc"], r["place"] & 3, r["ref_doc"]) for b in substrings._match(iter(cut)) for r in b.to_pylist())
-        assert out == [(1, 5, 2, 5), (1, 6, 1, 5), (1, 7, 1, 5), (2, 8, 1, 5)]
+        assert out == [(1, 5, 2, 0), (1, 6, 1, 5), (1, 7, 1, 5), (2, 8, 1, 5)]
 
 
-def test_factors_are_longest_chains(spark):
+def test_factors_are_longest_copies(spark):
     rng = np.random.default_rng(9)
     source = [f"s{x}" for x in rng.integers(0, 10**9, 200)]
-    target = [f"t{x}" for x in rng.integers(0, 10**9, 30)] + source[50:120] + ["gap"] + source[130:155]
-    _, copies = substrings.factors(spark.createDataFrame([(1, " ".join(source)), (2, " ".join(target))], "doc_id bigint, text string"))
-    got = copies.toPandas()
-    assert substrings.merge(got.place.to_numpy(), got.ref_doc.to_numpy(), got.ref_place.to_numpy()) == [(30, 70, 1, 50), (101, 25, 1, 130)]
+    target = [f"t{x}" for x in rng.integers(0, 10**9, 30)] + source[50:120] + ["gap"] + source[130:155] + source[10:45]
+    out = substrings.dedup_substrings(spark.createDataFrame([(1, " ".join(source)), (2, " ".join(target))], "doc_id bigint, text string")).collect()
+    by = {r["doc_id"]: [tuple(f) for f in r["factors"]] for r in out}
+    assert by == {1: [], 2: [(30, 70, 1, 50), (101, 25, 1, 130), (126, 35, 1, 10)]}
+
+
+def test_parse_is_greedy_and_borders_are_checked():
+    """Factors reach as far as any match from their start; with border windows they cover all matches."""
+    rng = np.random.default_rng(0)
+    for _ in range(300):
+        n, k = int(rng.integers(25, 120)), int(rng.integers(1, 8))
+        start, width = rng.integers(0, n - 24, k), rng.integers(1, 5, k)
+        doc, ref = rng.integers(0, 2, k), rng.integers(0, 3, k) + start
+        place = substrings.pack(start, width, 1)
+        factors = substrings.parse(place, doc, ref)
+        want = np.zeros(n, bool)
+        for s, w in zip(start, width):
+            want[s : s + w + 19] = True
+        assert (substrings.spans(n, place, factors) == want).all()
+        at = 0
+        for s, words, d, r in factors:
+            own = {(i, j) for a, w, x, y in zip(start, width, doc, ref) if x == d and y - a == r - s for i in range(a, a + w + 19) for j in [i]}
+            assert s >= at and words >= 20 and all((i, i) in own for i in range(s, s + words)) and (s + words, s + words) not in own
+            at = s + words
+
+
+def thue_morse(n, a="a", b="b"):
+    return "".join((a, b)[bin(i).count("1") & 1] for i in range(n))
+
+
+def test_structured_words_have_their_own_hashes():
+    """Thue-Morse words and their complements share every polynomial hash modulo 2**64."""
+    for n in (1024, 2048, 4096, 100_000):
+        x, y = (thue_morse(n, *ab).encode() for ab in ("ab", "ba"))
+        h, counts = word_hashes([x, y, x + b" " + y], (0, 1))
+        assert counts.tolist() == [1, 1, 2]
+        assert all(lane[0] == lane[2] and lane[1] == lane[3] and lane[0] != lane[1] for lane in h)
+    words = [thue_morse(1 << k, "p", "q") for k in range(11)]
+    seq = [list(w) for w in (thue_morse(2048), thue_morse(2048, "b", "a"))]
+    grams = [ngrams(word_hashes([" ".join(s).encode()])[0], 2048)[0] for s in seq]
+    assert grams[0] != grams[1] and len(set(word_hashes([" ".join(words).encode()])[0].tolist())) == len(words)
+
+
+def test_structured_words_lose_nothing(spark):
+    rows = [(k + 1, " ".join([*(f"w{i}" for i in range(19)), thue_morse(1024, *ab)])) for k, ab in enumerate(("ab", "ba"))]
+    df = spark.createDataFrame(rows, "doc_id bigint, text string")
+    got = substrings.dedup_substrings(df).drop("factors")
+    assert sorted(str(tuple(r)) for r in got.collect()) == brute_substrings(rows) and {r["n_removed"] for r in got.collect()} == {0}
+    assert {r["n_shingles"] for r in neardup.near_duplicates(df, words=2).collect()} == {19}
 
 
 def tiny_codec():
