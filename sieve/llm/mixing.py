@@ -9,12 +9,13 @@ draw, seeded by the node, so every leaf gets a random mixture with exact totals
 any task can recompute the part of the tree it needs. Inside a shard rows are put in
 hash order.
 
-Only per-source figures reach the driver (two rows a source); the draw of a document
+Only per-source figures reach the driver (three rows a source); the draw of a document
 follows from its source's figures and its own hash, without a join.
 
 Cases: a null source is a source of its own, the last one; a null or empty text has
-size 0 and is taken with 0 words; a source of size 0 has target 0; repeated rows are
-drawn alike (at a source's last, partly taken block they can each be cut); an empty
+size 0 and is taken with 0 words; a source of size 0 has target 0; rows that repeat
+another in id, text and source are numbered first, and the number goes into the hash:
+they are dealt into blocks like other rows, and one of them at most is cut; an empty
 table gives an empty table; other columns are kept by ``mix`` and not read.
 """
 
@@ -37,9 +38,14 @@ from sieve.plans.scratch import materialize
 
 #: Documents in a block on average, blocks in an output shard on average, sources at most.
 BLOCK_ROWS, SHARD_BLOCKS, MOST_SOURCES = 1024, 8, 1_000_000
-#: Partitions of a mixture at most; beyond that shards share them evenly.
-MOST_PARTITIONS = 100_000
+#: Output shards at most, unless asked for; beyond that a shard has more blocks.
+MOST_SHARDS = 100_000
+#: Bytes of upper tree nodes that a worker remembers; the others are drawn again.
+MEMO_BYTES = 64 << 20
+#: Blocks whose sizes one task adds up; repeated rows known by a broadcast table at most.
+TASK_BLOCKS, FEW_REPEATED = 4096, 1_000_000
 WEIGHTS = (5, 2, 1)
+SEED = 17
 _NULL = "\0null"
 
 
@@ -105,40 +111,47 @@ class Tree:
     seed: int
     made: dict[tuple[int, int], np.ndarray] = field(default_factory=dict)
 
-    def left(self, lo: int, hi: int, quotas: np.ndarray) -> np.ndarray:
-        """The part of a node's quotas that goes to the first half of its shards."""
-        if (lo, hi) not in self.made:
-            total, mid = int(quotas.sum()), (lo + hi) // 2
-            take = total * (mid - lo) // (hi - lo)
-            rng = np.random.Generator(np.random.PCG64([self.seed & 0xFFFFFFFF, lo, hi]))
-            self.made[lo, hi] = rng.multivariate_hypergeometric(quotas, take, method="marginals") if total else quotas
-        return self.made[lo, hi]
+    def left(self, lo: int, hi: int, quotas: np.ndarray, depth: int) -> np.ndarray:
+        """The part of a node's quotas that goes to the first half of its shards.
+
+        Nodes of the upper levels are remembered, as many levels as MEMO_BYTES hold.
+        """
+        if (lo, hi) in self.made:
+            return self.made[lo, hi]
+        total, mid = int(quotas.sum()), (lo + hi) // 2
+        take = total * (mid - lo) // (hi - lo)
+        rng = np.random.Generator(np.random.PCG64([self.seed & 0xFFFFFFFF, lo, hi]))
+        part = rng.multivariate_hypergeometric(quotas, take, method="marginals") if total else quotas
+        if (2 << depth) * 8 * len(quotas) <= MEMO_BYTES:
+            self.made[lo, hi] = part
+        return part
 
     def shard(self, source: int, drawn: int) -> int:
         """The shard of a source's drawn block."""
-        lo, hi, quotas = 0, self.shards, np.array(self.quotas, np.int64)
+        lo, hi, quotas, depth = 0, self.shards, np.array(self.quotas, np.int64), 0
         while hi - lo > 1:
-            part, mid = self.left(lo, hi, quotas), (lo + hi) // 2
+            part, mid = self.left(lo, hi, quotas, depth), (lo + hi) // 2
             if drawn < part[source]:
                 hi, quotas = mid, part
             else:
                 drawn -= int(part[source])
                 lo, quotas = mid, quotas - part
+            depth += 1
         return lo
 
     def table(self) -> np.ndarray:
         """Quotas of every shard (rows) and source, for checks and reports."""
         out = np.zeros((self.shards, len(self.quotas)), np.int64)
 
-        def walk(lo: int, hi: int, quotas: np.ndarray) -> None:
+        def walk(lo: int, hi: int, quotas: np.ndarray, depth: int) -> None:
             if hi - lo == 1:
                 out[lo] = quotas
                 return
-            part, mid = self.left(lo, hi, quotas), (lo + hi) // 2
-            walk(lo, mid, part)
-            walk(mid, hi, quotas - part)
+            part, mid = self.left(lo, hi, quotas, depth), (lo + hi) // 2
+            walk(lo, mid, part, depth + 1)
+            walk(mid, hi, quotas - part, depth + 1)
 
-        walk(0, self.shards, np.array(self.quotas, np.int64))
+        walk(0, self.shards, np.array(self.quotas, np.int64), 0)
         return out
 
 
@@ -157,7 +170,7 @@ def _hash(key: str, text: str, seed: int) -> Column:
     return F.xxhash64(F.lit(seed), F.col(f"`{key}`"), F.col(f"`{text}`"))
 
 
-def sized(df: DataFrame, key: str = "doc_id", text: str = "text", source: str = "source", seed: int = 17) -> DataFrame:
+def sized(df: DataFrame, key: str = "doc_id", text: str = "text", source: str = "source", seed: int = SEED) -> DataFrame:
     """(doc_id, src, h, size): the narrow table that all planning reads."""
     picked = df.select(F.col(f"`{key}`").alias("doc_id"), F.coalesce(F.col(f"`{source}`"), F.lit(_NULL)).alias("src"), _hash(key, text, seed).alias("h"), F.coalesce(F.col(f"`{text}`"), F.lit("")).alias("text"))
     kind = picked.schema["doc_id"].dataType.simpleString()
@@ -171,6 +184,36 @@ def sized(df: DataFrame, key: str = "doc_id", text: str = "text", source: str =
     return picked.mapInArrow(run, f"doc_id {kind}, src string, h bigint, size bigint")
 
 
+def repeated(rows: DataFrame) -> tuple[DataFrame, int]:
+    """((src, h) of rows that occur more than once, their number)."""
+    found = materialize(rows.groupBy("src", "h").agg(F.count("*").alias("n")).filter("n > 1").select("src", "h"), "mixing-repeated")
+    return found, found.count()
+
+
+def numbered(df: DataFrame, found: DataFrame, n: int, src: str = "src", h: str = "h") -> DataFrame:
+    """``df`` with the number of a repeated row mixed into its hash ``h``.
+
+    Equal rows get the numbers 0, 1, 2, ..., whichever gets which: a place among those
+    of its partition, and an offset for each partition. No task sees a whole group.
+    """
+    if not n:
+        return df
+    part, row, at, before = fresh(df.columns, "part", "row", "at", "before")
+    found = found.select(F.col("src").alias(src), F.col("h").alias(h))
+    few = F.broadcast(found) if n <= FEW_REPEATED else found
+    once, again = df.join(few, [src, h], "left_anti"), df.join(few, [src, h], "left_semi")
+    again = materialize(again.withColumns({part: F.spark_partition_id(), row: F.monotonically_increasing_id()}), "mixing-again")
+    counts = again.groupBy(src, h, part).agg(F.count("*").alias(at))
+    earlier = F.sum(at).over(Window.partitionBy(src, h).orderBy(part).rowsBetween(Window.unboundedPreceding, -1))
+    offsets = counts.select(src, h, part, F.coalesce(earlier, F.lit(0)).alias(before))
+    place = F.row_number().over(Window.partitionBy(src, h, part).orderBy(row)) - 1
+    told = again.withColumn(at, place.cast("long")).join(offsets, [src, h, part])
+    number = F.col(at) + F.col(before)
+    told = told.withColumn(h, F.when(number == 0, F.col(h)).otherwise(F.xxhash64(h, number)))
+    names = [F.col(f"`{c}`") for c in df.columns]  # in their order: a join by name puts its keys first
+    return once.select(*names).unionByName(told.select(*names))
+
+
 def _blocks(h: np.ndarray, n: np.ndarray) -> np.ndarray:
     return (mix64(h.view(np.uint64)) % n.astype(np.uint64)).astype(np.int64)
 
@@ -215,7 +258,7 @@ _DRAWS = "array<struct<copy:int,words:bigint,shard:int,place:bigint>>"
 _DRAW = pa.list_(pa.struct([("copy", pa.int32()), ("words", pa.int64()), ("shard", pa.int32()), ("place", pa.int64())]))
 
 
-def make_plan(rows: DataFrame, weights: tuple[float, ...] = WEIGHTS, share: float = 1.5, most: float = 2.0, block_rows: int = BLOCK_ROWS, shards: int | None = None, seed: int = 17) -> Plan:
+def make_plan(rows: DataFrame, weights: tuple[float, ...] = WEIGHTS, share: float = 1.5, most: float = 2.0, block_rows: int = BLOCK_ROWS, shards: int | None = None, seed: int = SEED) -> Plan:
     """Targets, passes and cuts of every source, from the ``sized`` table."""
     totals = rows.groupBy("src").agg(F.sum("size").alias("size"), F.count("*").alias("n")).limit(MOST_SOURCES + 1).collect()
     if len(totals) > MOST_SOURCES:
@@ -227,7 +270,7 @@ def make_plan(rows: DataFrame, weights: tuple[float, ...] = WEIGHTS, share: floa
         passes = min(int(most), math.floor(round(t) / r["size"])) if r["size"] else 0
         plan.sources[r["src"]] = Source(i, r["size"], max(1, math.ceil(r["n"] / block_rows)), t, passes)
     _cut(rows, plan)
-    plan.shards = shards or max(1, math.ceil(sum(s.drawn for s in plan.sources.values()) / SHARD_BLOCKS))
+    plan.shards = shards or min(MOST_SHARDS, max(1, math.ceil(sum(s.drawn for s in plan.sources.values()) / SHARD_BLOCKS)))
     return plan
 
 
@@ -248,19 +291,32 @@ def _cut(rows: DataFrame, plan: Plan) -> None:
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(rank), pa.array(order), batch.column(2), left], [c.split()[0] for c in kind.split(", ")])
 
     placed = rows.select("src", "h", "size").mapInArrow(place, kind)
-    per_block = placed.groupBy("src", "rank").agg(F.sum("size").alias("words"), F.first("left").alias("left"))
-    run = F.sum("words").over(Window.partitionBy("src").orderBy("rank").rowsBetween(Window.unboundedPreceding, -1))
-    ends = per_block.withColumn("before", F.coalesce(run, F.lit(0))).filter("left > 0 AND before < left AND before + words >= left")
-    found = ends.collect()  # one row a source at most
+    per_block = materialize(placed.groupBy("src", "rank").agg(F.sum("size").alias("words"), F.first("left").alias("need")).filter("need > 0"), "mixing-blocks")
+    # A stretch of blocks, then the block, then the row: each level adds up a bounded number of sums.
+    stretch = F.floor(F.col("rank") / TASK_BLOCKS).cast("long")
+    wide = _where(per_block.groupBy("src", stretch.alias("at")).agg(F.sum("words").alias("words"), F.first("need").alias("need")))
+    inside = per_block.withColumn("stretch", stretch).drop("need").join(_told(rows, wide, "stretch"), ["src", "stretch"])
+    found = _where(inside.select("src", F.col("rank").alias("at"), "words", "need"))
     for r in found:
         s = plan.sources[r["src"]]
-        s.cut, s.part = (r["rank"] + 1, False) if r["before"] + r["words"] == r["left"] else (r["rank"], True)
-    parts = rows.sparkSession.createDataFrame([(r["src"], r["rank"], r["left"] - r["before"]) for r in found if plan.sources[r["src"]].part], "src string, rank bigint, need bigint")
-    inside = placed.select("src", "rank", "place", "size").join(F.broadcast(parts), ["src", "rank"])
-    sums = F.sum("size").over(Window.partitionBy("src").orderBy("place").rowsBetween(Window.unboundedPreceding, -1))
-    last = inside.withColumn("before", F.coalesce(sums, F.lit(0))).filter("before < need AND before + size >= need")
-    for r in last.collect():
-        plan.sources[r["src"]].last = (r["place"], r["need"] - r["before"])
+        s.cut, s.part = (r["at"] + 1, False) if r["words"] == r["need"] else (r["at"], True)
+    parts = _told(rows, [r for r in found if plan.sources[r["src"]].part], "rank")
+    inside = placed.select("src", "rank", "place", "size").join(parts, ["src", "rank"])
+    for r in _where(inside.groupBy("src", F.col("place").alias("at")).agg(F.sum("size").alias("words"), F.first("need").alias("need"))):
+        plan.sources[r["src"]].last = (r["at"], r["need"])
+
+
+def _where(sums: DataFrame) -> list:
+    """For each source the row (src, at, words, need) where the sum of words, by ``at``, reaches need; need becomes the rest."""
+    run = F.sum("words").over(Window.partitionBy("src").orderBy("at").rowsBetween(Window.unboundedPreceding, -1))
+    told = sums.withColumn("before", F.coalesce(run, F.lit(0))).filter("before < need AND before + words >= need")
+    return told.select("src", "at", "words", (F.col("need") - F.col("before")).alias("need")).collect()  # one row a source at most
+
+
+def _told(rows: DataFrame, found: list, name: str) -> DataFrame:
+    """The places found, as a table to broadcast: one row a source at most."""
+    made = [(r["src"], r["at"], r["need"]) for r in found]
+    return F.broadcast(rows.sparkSession.createDataFrame(made, f"src string, {name} bigint, need bigint"))
 
 
 def draws(rows: DataFrame, plan: Plan) -> DataFrame:
@@ -282,7 +338,8 @@ def draws(rows: DataFrame, plan: Plan) -> DataFrame:
 
 def mixture(df: DataFrame, key: str = "doc_id", text: str = "text", source: str = "source", **how) -> DataFrame:
     """(doc_id, size, source_size, target, draws) for every row of ``df``."""
-    rows = materialize(sized(df, key, text, source), "mixing-sized")
+    rows = materialize(sized(df, key, text, source, how.get("seed", SEED)), "mixing-sized")
+    rows = numbered(rows, *repeated(rows))
     return draws(rows, make_plan(rows, **how))
 
 
@@ -291,12 +348,14 @@ def mix(df: DataFrame, key: str = "doc_id", text: str = "text", source: str = "s
 
     A row drawn in part keeps its first words, joined by single spaces.
     """
-    rows = materialize(sized(df, key, text, source), "mixing-sized")
-    plan = make_plan(rows, **how)
-    seed = how.get("seed", 17)
+    seed = how.get("seed", SEED)
+    rows = materialize(sized(df, key, text, source, seed), "mixing-sized")
+    twice = repeated(rows)
+    plan = make_plan(numbered(rows, *twice), **how)
     names = df.columns
     src, h, shard, place = fresh(names, "src", "h", "shard", "place")
     keyed = df.withColumns({src: F.coalesce(F.col(f"`{source}`"), F.lit(_NULL)), h: _hash(key, text, seed)})
+    keyed = numbered(keyed, *twice, src, h)
     at, last = names.index(text), len(names)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -318,5 +377,5 @@ def mix(df: DataFrame, key: str = "doc_id", text: str = "text", source: str = "s
     fields = StructType([*[f for f in df.schema], StructField(shard, IntegerType()), StructField(place, LongType())])
     drawn = keyed.mapInArrow(run, fields)
     # A partition a shard, so that no two shards meet in one task by chance of hashing.
-    dealt = drawn.repartitionById(min(plan.shards, MOST_PARTITIONS), F.col(shard))
+    dealt = drawn.repartitionById(plan.shards, F.col(shard))
     return dealt.sortWithinPartitions(shard, place).select(*[F.col(f"`{c}`") for c in names])

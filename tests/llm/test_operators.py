@@ -248,6 +248,34 @@ def test_mixture(spark, docs, rows):
     assert sum(len(WORD.findall(r["text"] or "")) for r in out.select("text").collect()) == pytest.approx(got.taken.sum(), abs=2)
 
 
+@pytest.mark.parametrize("layout", [1, 6])
+def test_mixture_of_repeated_rows(spark, layout):
+    """1000 equal rows in one source: the target is met to the words of a row, and reruns agree."""
+    rows = [(7, " ".join("abcdefghij"), "a")] * 1000 + [(k, f"own text {k}", "b") for k in range(30)]
+    df = spark.createDataFrame(rows, "doc_id bigint, text string, source string").repartition(layout)
+    got = mixing.mixture(df, block_rows=16).toPandas()
+    got["taken"] = [sum(d["words"] for d in x) for x in got.draws]
+    by = got.groupby("source_size").agg(t=("target", "max"), k=("taken", "sum"))
+    assert (by.t - by.k).abs().max() <= 1 and (got.taken <= 2 * got["size"]).all()
+    assert ((got.taken % 10 > 0) & (got.source_size == 10_000)).sum() <= 1  # one copy at most is cut
+    shards = pd.DataFrame([(d["shard"]) for x in got.draws[got.source_size == 10_000] for d in x])[0]
+    assert shards.nunique() > 1  # copies are dealt into blocks like other rows
+    once = mixing.mixture(df.repartition(3), block_rows=16).toPandas()
+    key = lambda x: sorted(zip(x.doc_id, map(str, x.draws)))
+    assert key(got) == key(once)
+    out = mixing.mix(df, block_rows=16)
+    words = {r["source"]: r["n"] for r in out.groupBy("source").agg(F.sum(F.size(F.split("text", " "))).alias("n")).collect()}
+    assert words == {"a": by.k[10_000], "b": by.k[90]}
+
+
+def test_tree_remembers_a_bounded_number_of_nodes(monkeypatch):
+    want = mixing.Tree((4000, 900, 33), 200, 3).table()
+    monkeypatch.setattr(mixing, "MEMO_BYTES", 24 * 16)
+    tree = mixing.Tree((4000, 900, 33), 200, 3)
+    assert all(want[tree.shard(0, k)][0] for k in range(0, 4000, 37)) and len(tree.made) < 16
+    assert (tree.table() == want).all()
+
+
 def brute_quality(t):
     t = t or ""
     w = WORD.findall(t)
