@@ -1,8 +1,9 @@
 """Connected components by alternating large-star and small-star steps.
 
 Every step replaces a node's edges by edges to the least node it sees. A step is an
-aggregation (least neighbour) and a join back, so a hub's edges are never gathered
-in one task. Steps are written as scratch tables until the edge set is stable.
+aggregation (least neighbour) and a join back on the node. Nothing gathers the edges of
+a hub in memory: the join streams them, and adaptive execution deals a hub that makes
+its partition too large out to several tasks. Steps are written as scratch tables until the edge set is stable.
 """
 
 from __future__ import annotations

@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from sieve.llm.text import as_bytes, mix, shingles, slices, starts, word_hashes
+from sieve.llm.text import as_bytes, mix, shingles, slices, starts, whole, word_hashes
 from sieve.plans.scratch import materialize
 
 #: Bins and packed bits of a bin; words in a shingle.
@@ -138,7 +138,7 @@ def edited_neighbours(df: DataFrame, key: str = "doc_id", text: str = "text") ->
     compares all rows but its last. Its first and last rows, two a partition, are
     then matched across partitions as a table of their own.
     """
-    parts = df.select(F.col(f"`{key}`").cast("long").alias("doc_id"), F.coalesce(F.col(f"`{text}`"), F.lit("")).alias("text"))
+    parts = df.select(whole(df, key).alias("doc_id"), F.coalesce(F.col(f"`{text}`"), F.lit("")).alias("text"))
     order = [F.col("doc_id").desc_nulls_last(), F.col("text")]
     ordered = parts.repartitionByRange(order[0]).sortWithinPartitions(*order)
 

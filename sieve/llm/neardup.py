@@ -2,20 +2,26 @@
 
 1. One pass hashes every text to its shingle set, a 128-bit key of the set, and the
    band hashes of its densified one-permutation sketch. Equal sets collapse to one
-   key, so copies cost one aggregation whatever their number.
+   key, so copies cost one aggregation whatever their number. A node stands for a set:
+   the least id that has it, then the key, so that the least node of a component
+   begins with the component's id.
 2. Every bucket (band, value) with two sets or more gets two centres, the least and
    greatest key in it. Candidates are the star edges from members to centres: at
    most two an entry, never all pairs.
 3. Star edges are confirmed on the full shingle sets and joined into components.
-4. What the stars leave open is settled exactly: buckets that still hold more than
-   one component are cut into blocks of bounded shingles, and blocks are compared
-   pairwise on full sets, only between components. Links found there are added.
+4. What the stars leave open is settled exactly. Sets of a bucket that still holds more
+   than one component are parted by size (similar sets are of neighbouring sizes), then
+   into blocks of bounded rows and shingles; blocks are compared pairwise on full sets,
+   only between components. A part of more than SPLIT blocks is not compared as a whole:
+   its sets are first dealt out by their rarer shingles, of which similar sets share one
+   at least. Links found there are added.
 
 With R rows in each of B bands a pair of similarity s shares a bucket with
 probability 1 - (1 - s**R)**B: more than 0.9999999 at 0.8 for the defaults, so the
-components are those of all links, up to that chance.
+components are those of all links, up to that chance. Sets too small to be similar to
+any other set (of fewer than 4 shingles at 80 %) are left out of the buckets.
 
-Cases: null, empty and wordless texts have no shingle, link with nothing and are
+Cases: ids are whole numbers (other types are refused); null, empty and wordless texts have no shingle, link with nothing and are
 kept; a text of fewer words than a shingle is one shingle; rows with a null id take
 no part in links and are kept; repeated rows are copies of each other; an empty
 table gives an empty table; other columns are not read.
@@ -24,6 +30,7 @@ table gives an empty table; other columns are not read.
 from __future__ import annotations
 
 import hashlib
+import math
 from collections.abc import Iterator
 
 import numpy as np
@@ -31,16 +38,30 @@ import pandas as pd
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.window import Window
 
 from sieve.llm.components import components
 from sieve.llm.fingerprints import sketch
-from sieve.llm.text import as_bytes, lists, mix, shingles, signed, slices, starts, word_hashes
+from sieve.llm.text import as_bytes, fresh, lists, mix, shingles, signed, slices, starts, whole, word_hashes
 from sieve.plans.scratch import materialize
 
 #: Bands and rows of a band (their product is the number of bins), words in a shingle, percent.
 BANDS, ROWS, WORDS, PERCENT = 32, 4, 5, 80
-#: Shingles held in one block of the exact comparison.
-BLOCK = 250_000
+#: Shingles and sets of one block of the exact comparison, and blocks that are compared pairwise.
+BLOCK, BLOCK_SETS, SPLIT = 250_000, 1024, 8
+#: A shingle is frequent in a part where more than one set in so many has it.
+FREQUENT = 64
+_SIGN = -(1 << 63)
+
+
+def node(key: Column, k: Column) -> Column:
+    """24 bytes that sort by the id, then by the set's key."""
+    return F.concat(F.unhex(F.lpad(F.hex(key.bitwiseXOR(F.lit(_SIGN))), 16, "0")), k)
+
+
+def id_of(node: Column) -> Column:
+    """The id a node begins with."""
+    return F.conv(F.hex(F.substring(node, 1, 8)), 16, -10).cast("long").bitwiseXOR(F.lit(_SIGN))
 
 
 def _set_keys(hashes: np.ndarray, sizes: np.ndarray) -> list[bytes | None]:
@@ -58,8 +79,8 @@ def band_hashes(bins: np.ndarray, bands: int, rows: int) -> np.ndarray:
 
 
 def features(df: DataFrame, key: str, text: str, words: int, bands: int, rows: int, with_sets: bool = False) -> DataFrame:
-    """(doc_id, n, k, bands) of every row, or (k, n, shingles) with ``with_sets``."""
-    picked = df.select(F.col(f"`{key}`").cast("long").alias("doc_id"), F.coalesce(F.col(f"`{text}`"), F.lit("")).alias("text"))
+    """(doc_id, n, k, bands) of every row, or (doc_id, k, n, shingles) with ``with_sets``."""
+    picked = df.select(whole(df, key).alias("doc_id"), F.coalesce(F.col(f"`{text}`"), F.lit("")).alias("text"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -67,7 +88,7 @@ def features(df: DataFrame, key: str, text: str, words: int, bands: int, rows: i
                 hashes, sizes = shingles(*word_hashes(as_bytes(part.column(1), lower=True)), words)
                 keys = pa.array(_set_keys(hashes, sizes), pa.binary())
                 if with_sets:
-                    yield pa.RecordBatch.from_arrays([keys, pa.array(sizes), lists(signed(hashes), sizes)], ["k", "n", "shingles"])
+                    yield pa.RecordBatch.from_arrays([part.column(0), keys, pa.array(sizes), lists(signed(hashes), sizes)], ["doc_id", "k", "n", "shingles"])
                     continue
                 out = []
                 for a in range(0, len(sizes), 1024):
@@ -77,7 +98,7 @@ def features(df: DataFrame, key: str, text: str, words: int, bands: int, rows: i
                 bands_of = lists(signed(np.concatenate(out).reshape(-1)), np.full(len(sizes), bands))
                 yield pa.RecordBatch.from_arrays([part.column(0), pa.array(sizes), keys, bands_of], ["doc_id", "n", "k", "bands"])
 
-    return picked.mapInArrow(run, "k binary, n bigint, shingles array<bigint>" if with_sets else "doc_id bigint, n bigint, k binary, bands array<bigint>")
+    return picked.mapInArrow(run, "doc_id bigint, k binary, n bigint, shingles array<bigint>" if with_sets else "doc_id bigint, n bigint, k binary, bands array<bigint>")
 
 
 def _similar(inter: Column, a: Column, b: Column, percent: int) -> Column:
@@ -140,15 +161,50 @@ def _block_links(percent: int):
     return run
 
 
-def cross_links(members: DataFrame, roots: DataFrame, sets: DataFrame, percent: int, block: int = BLOCK) -> DataFrame:
+def _parts(rows: DataFrame, percent: int) -> DataFrame:
+    """Rows (part, k, n, root) of buckets parted by size; a set meets its own class and the next larger.
+
+    Similar sets are at most one class apart. Two parts under one number would be
+    compared together, which costs time and changes nothing.
+    """
+    step = math.log(100 / percent) * 1.000001 if percent < 100 else 1e-9
+    own = F.floor(F.log("n") / F.lit(step)).cast("long")
+    return rows.withColumn("own", own).withColumn("class", F.explode(F.array("own", F.col("own") - 1))).select(F.xxhash64("bucket", "class").alias("part"), "k", "n", "root")
+
+
+def _mixed(rows: DataFrame, block: int, sets: int) -> DataFrame:
+    """Rows of parts that hold several components, with the number of blocks their part makes."""
+    blocks = F.greatest(F.ceil(F.sum("n") / block), F.ceil(F.count("*") / sets)).cast("int")
+    found = rows.groupBy("part").agg(F.min("root").alias("r0"), F.max("root").alias("r1"), blocks.alias("blocks"), F.count("*").alias("rows"))
+    return rows.join(found.filter("r0 <> r1").select("part", "blocks", "rows"), "part")
+
+
+def _by_rare_shingle(rows: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+    """Rows (part, k, n, root) of large parts, dealt out by shingles.
+
+    In one common order of shingles, frequent ones last, two sets of similarity p share
+    one of the first n - ceil(p * n) + 1 shingles of either: each set goes to these.
+    """
+    each = materialize(rows.join(sets.select("k", "shingles"), "k").select("part", "k", "n", "root", "rows", F.explode("shingles").alias("s")), "neardup-shingles")
+    often = each.groupBy("part", "s").agg(F.count("*").alias("c"), F.first("rows").alias("rows")).filter(F.col("c") * FREQUENT > F.col("rows")).select("part", "s", F.lit(1).alias("often"))
+    told = each.join(often, ["part", "s"], "left")
+    place = F.row_number().over(Window.partitionBy("part", "k").orderBy(F.coalesce("often", F.lit(0)), "s"))
+    first = F.col("n") - F.ceil(F.col("n") * percent / 100) + 1
+    return told.withColumn("place", place).filter(F.col("place") <= first).select(F.xxhash64("part", "s").alias("part"), "k", "n", "root")
+
+
+def cross_links(members: DataFrame, roots: DataFrame, sets: DataFrame, percent: int, block: int = BLOCK, block_sets: int = BLOCK_SETS, split: int = SPLIT) -> DataFrame:
     """Links that join components inside a bucket; pairs within a component are not compared."""
     known = members.join(roots.withColumnRenamed("a", "k"), "k", "left").withColumn("root", F.coalesce("root", "k"))
     known = materialize(known.select("bucket", "k", "n", "root"), "neardup-known")
-    mixed = known.groupBy("bucket").agg(F.min("root").alias("r0"), F.max("root").alias("r1"), F.ceil(F.sum("n") / block).cast("int").alias("blocks")).filter("r0 <> r1").select("bucket", "blocks")
-    open_ = known.join(mixed, "bucket").withColumn("own", F.pmod(F.xxhash64("k"), F.col("blocks").cast("long")).cast("int"))
-    cells = open_.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).select("bucket", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "k", "root")
-    rows = cells.join(sets, "k")
-    return rows.groupBy("bucket", "i", "j").applyInPandas(_block_links(percent), "a binary, b binary")
+    open_ = materialize(_mixed(_parts(known, percent), block, block_sets), "neardup-open")
+    small, large = open_.filter(F.col("blocks") <= split), open_.filter(F.col("blocks") > split)
+    if not large.isEmpty():
+        small = small.unionByName(_mixed(_by_rare_shingle(large, sets, percent), block, block_sets))
+    own = F.pmod(F.xxhash64("k"), F.col("blocks").cast("long")).cast("int")
+    cells = small.withColumn("own", own).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+    cells = cells.select("part", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "k", "root")
+    return cells.join(sets.select("k", "n", "shingles"), "k").groupBy("part", "i", "j").applyInPandas(_block_links(percent), "a binary, b binary")
 
 
 def near_duplicates(df: DataFrame, key: str = "doc_id", text: str = "text", words: int = WORDS, percent: int = PERCENT, bands: int = BANDS, rows: int = ROWS) -> DataFrame:
@@ -159,25 +215,27 @@ def near_duplicates(df: DataFrame, key: str = "doc_id", text: str = "text", word
     docs = materialize(features(df, key, text, words, bands, rows), "neardup-docs")
     able = docs.filter("k IS NOT NULL AND doc_id IS NOT NULL")
     # One row a distinct set. The sketch follows from the set, so any row's bands do.
-    reps = materialize(able.groupBy("k").agg(F.min(F.struct("doc_id", "n", "bands")).alias("x")).select("k", F.col("x.doc_id").alias("rep"), F.col("x.n").alias("n"), F.col("x.bands").alias("bands")), "neardup-sets")
-    entries = reps.select("k", "n", F.explode("bands").alias("bucket"))
+    reps = able.groupBy("k").agg(F.min(F.struct("doc_id", "n", "bands")).alias("x")).select("k", F.col("x.doc_id").alias("rep"), F.col("x.n").alias("n"), F.col("x.bands").alias("bands"))
+    reps = materialize(reps.withColumn("set", F.col("k")).withColumn("k", node(F.col("rep"), F.col("k"))), "neardup-sets")
+    able_to_link = F.lit(100) * F.col("n") >= F.lit(percent) * (F.col("n") + 1)
+    entries = reps.filter(able_to_link).select("k", "n", F.explode("bands").alias("bucket"))
     full = entries.groupBy("bucket").agg(F.min("k").alias("c0"), F.max("k").alias("c1")).filter("c0 <> c1")
     members = materialize(entries.join(full, "bucket"), "neardup-members")
     wanted = members.select("k").distinct()
     ids = reps.join(wanted, "k", "left_semi").select(F.col("rep").alias("doc_id")).distinct()
-    source = df.select(F.col(f"`{key}`").cast("long").alias("doc_id"), F.col(f"`{text}`").alias("text")).join(ids, "doc_id", "left_semi")
-    sets = materialize(features(source, "doc_id", "text", words, bands, rows, with_sets=True).filter("k IS NOT NULL").dropDuplicates(["k"]), "neardup-full")
+    source = df.select(whole(df, key).alias("doc_id"), F.col(f"`{text}`").alias("text")).join(ids, "doc_id", "left_semi")
+    sets = features(source, "doc_id", "text", words, bands, rows, with_sets=True).filter("k IS NOT NULL")
+    sets = materialize(sets.select(node(F.col("doc_id"), F.col("k")).alias("k"), "n", "shingles").dropDuplicates(["k"]), "neardup-full")
 
     star = F.explode(F.array(F.struct(F.col("c0").alias("c")), F.struct(F.col("c1").alias("c"))))
     edges = members.select("k", star.alias("s")).select(F.col("s.c").alias("a"), F.col("k").alias("b")).filter("a <> b").distinct()
     links = materialize(confirm(edges, sets, percent), "neardup-links")
     roots = components(links)
     more = materialize(cross_links(members, roots, sets, percent), "neardup-cross")
-    if more.limit(1).count():
+    if not more.isEmpty():
         roots = components(links.unionByName(more))
-    named = reps.select("k", "rep").join(roots.withColumnRenamed("a", "k"), "k", "left").withColumn("root", F.coalesce("root", "k"))
-    least = named.groupBy("root").agg(F.min("rep").alias("component_id"))
-    per_set = named.join(least, "root").select("k", "component_id")
+    named = reps.select("k", "set").join(roots.withColumnRenamed("a", "k"), "k", "left")
+    per_set = named.select(F.col("set").alias("k"), id_of(F.coalesce("root", "k")).alias("component_id"))
     linked = able.select("doc_id", "n", "k").join(per_set, "k").select("doc_id", F.col("n").alias("n_shingles"), "component_id")
     alone = docs.filter("k IS NULL OR doc_id IS NULL").select("doc_id", F.col("n").alias("n_shingles"), F.col("doc_id").alias("component_id"))
     return linked.unionByName(alone).withColumn("kept", F.col("doc_id").eqNullSafe(F.col("component_id")))
@@ -188,10 +246,10 @@ def drop_near_duplicates(df: DataFrame, key: str = "doc_id", text: str = "text",
 
     Of rows that repeat an id, any one stays; rows with a null id all stay.
     """
-    found = materialize(near_duplicates(df, key, text, words, percent).filter("kept").select(F.col("doc_id").alias("__id")), "neardup-kept")
-    ids = found.distinct()
-    out = df.join(ids, F.col(f"`{key}`").cast("long").eqNullSafe(F.col("__id")), "left_semi")
-    known = found.filter("__id IS NOT NULL")
+    [name] = fresh(df.columns, "id")
+    found = materialize(near_duplicates(df, key, text, words, percent).filter("kept").select(F.col("doc_id").alias(name)), "neardup-kept")
+    out = df.join(found.distinct(), whole(df, key).eqNullSafe(F.col(name)), "left_semi")
+    known = found.filter(F.col(name).isNotNull())
     if known.count() == known.distinct().count():
         return out
     return out.filter(F.col(f"`{key}`").isNotNull()).dropDuplicates([key]).unionByName(out.filter(F.col(f"`{key}`").isNull()))

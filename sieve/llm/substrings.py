@@ -43,7 +43,7 @@ import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from sieve.llm.text import as_bytes, fresh, mix, ngrams, slices, starts, word_hashes
+from sieve.llm.text import as_bytes, fresh, mix, ngrams, slices, starts, whole, word_hashes
 from sieve.plans.scratch import materialize
 
 #: Words of a window (the least factor) and of an anchor.
@@ -241,14 +241,14 @@ def _matched(entries: DataFrame) -> DataFrame:
     return ordered.mapInArrow(_match, _ENTRY)
 
 
-def _identity(key: str, text: str) -> list[Column]:
+def _identity(df: DataFrame, key: str, text: str) -> list[Column]:
     """What tells documents apart: the id as a number, and 64 bits of the text."""
-    return [F.coalesce(F.col(f"`{key}`").cast("long"), F.lit(_NO_ID)), F.xxhash64(F.coalesce(F.col(f"`{text}`"), F.lit("")))]
+    return [F.coalesce(whole(df, key), F.lit(_NO_ID)), F.xxhash64(F.coalesce(F.col(f"`{text}`"), F.lit("")))]
 
 
 def copies(df: DataFrame, key: str = "doc_id", text: str = "text") -> tuple[DataFrame, DataFrame]:
     """(texts by doc, tag; matched runs as rows doc, tag, place, ref_doc, ref_start)."""
-    doc, tag = _identity(key, text)
+    doc, tag = _identity(df, key, text)
     texts = df.select(doc.alias("doc"), tag.alias("tag"), F.coalesce(F.col(f"`{text}`"), F.lit("")).alias("text"))
     found = materialize(_matched(texts.mapInArrow(_index, _ENTRY)).select("doc", "tag", "place", "ref_doc", "ref_start"), "substrings-found")
     flag = F.col("place").bitwiseAND(F.lit(3))
@@ -374,7 +374,7 @@ def strip_substrings(df: DataFrame, key: str = "doc_id", text: str = "text") ->
     names = df.columns
     doc, tag, found = fresh(names, "doc", "tag", "copies")
     _, matched = copies(df, key, text)
-    keyed = df.withColumns(dict(zip((doc, tag), _identity(key, text), strict=True)))
+    keyed = df.withColumns(dict(zip((doc, tag), _identity(df, key, text), strict=True)))
     both = _with_copies(keyed, matched, [doc, tag], found).select(*[F.col(f"`{c}`") for c in names], found)
     at, last = names.index(text), len(names)
 

@@ -17,6 +17,9 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
+from pyspark.sql import Column, DataFrame
+from pyspark.sql import functions as F
+from pyspark.sql.types import IntegralType
 
 #: Bytes of text hashed at once; longer texts are cut at white space.
 PIECE = 1 << 20
@@ -190,6 +193,14 @@ def lists(values: pa.Array, sizes: np.ndarray) -> pa.Array:
     return pa.ListArray.from_arrays(pa.array(starts(sizes).astype(np.int32)), values)
 
 
+def whole(df: DataFrame, key: str) -> Column:
+    """The id column as a 64-bit number; other than whole numbers are refused when the plan is made."""
+    kind = df.schema[key].dataType
+    if not isinstance(kind, IntegralType):
+        raise TypeError(f"column {key} holds ids and must be of a whole-number type, not {kind.simpleString()}")
+    return F.col(f"`{key}`").cast("long")
+
+
 def fresh(names: list[str], *wanted: str) -> list[str]:
     """Names for helper columns that none of ``names`` has, in any case of letters."""
     out, taken = [], {n.lower() for n in names}

@@ -100,7 +100,8 @@ def test_near_duplicates_chain_needs_cross_links(spark):
     assert sorted((str(a), int(b), str(c)) for a, b, c in got[["doc_id", "n_shingles", "component_id"]].itertuples(index=False)) == brute_components(rows, 2)
 
 
-def test_cross_links_alone_find_all_links(spark):
+@pytest.mark.parametrize("how", [{"block": 700}, {"block_sets": 9}, {"block": 700, "split": 0}, {"split": 0}])
+def test_cross_links_alone_find_all_links(spark, how):
     """With no star edges at all the exact comparison still gives the components."""
     rng = np.random.default_rng(6)
     rows = [(i, " ".join([*(f"g{i % 4}x{k}" for k in range(60)), *(f"e{rng.integers(10**9)}" for _ in range(rng.integers(1, 6)))])) for i in range(60)]
@@ -108,7 +109,7 @@ def test_cross_links_alone_find_all_links(spark):
     sets = neardup.features(df, "doc_id", "text", 2, 8, 4, with_sets=True).dropDuplicates(["k"])
     members = sets.select(F.lit(1).cast("long").alias("bucket"), "k", "n")
     roots = spark.createDataFrame([], "a binary, root binary")
-    links = neardup.cross_links(members, roots, sets, 80, block=700)
+    links = neardup.cross_links(members, roots, sets, 80, **how)
     from sieve.llm.components import components
 
     sizes = components(links).groupBy("root").count().toPandas()
@@ -116,6 +117,28 @@ def test_cross_links_alone_find_all_links(spark):
     assert sorted(sizes["count"]) == sorted(want[want > 1])
 
 
+def test_small_sets_and_common_phrases(spark):
+    """Thousands of short texts in one bucket: none can link, and none is compared."""
+    rows = [(i, f"thank you n{i}") for i in range(3000)] + [(9000 + i, f"thank you very much my dear friend n{i % 40}") for i in range(80)]
+    df = spark.createDataFrame(rows, "doc_id bigint, text string")
+    got = {r["doc_id"]: r["component_id"] for r in neardup.near_duplicates(df, words=2).collect()}
+    assert got == {i: i if i < 9000 else 9000 + (i - 9000) % 40 for i, _ in rows}
+
+
+def test_nodes_sort_by_id(spark):
+    ids = [-(1 << 63), -5, -1, 0, 1, 255, 1 << 40, (1 << 63) - 1]
+    df = spark.createDataFrame([(i, b"k") for i in ids], "i bigint, k binary").select("i", neardup.node(F.col("i"), F.col("k")).alias("n"))
+    rows = df.select("i", "n", neardup.id_of(F.col("n")).alias("back")).orderBy("n").collect()
+    assert [r["back"] for r in rows] == [r["i"] for r in rows] == ids
+
+
+def test_ids_are_whole_numbers(spark):
+    df = spark.createDataFrame([("x", "a b c")], "doc_id string, text string")
+    for f in (neardup.near_duplicates, fingerprints.edited_neighbours, substrings.dedup_substrings):
+        with pytest.raises(TypeError):
+            f(df)
+
+
 def test_sketch_estimates_similarity():
     rng = np.random.default_rng(1)
     for share in (0.2, 0.5, 0.8):
