@@ -34,7 +34,6 @@ import math
 from collections.abc import Iterator
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -113,70 +112,114 @@ def confirm(edges: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     return both.filter(_similar(F.size(F.array_intersect("sa", "sb")), F.col("na"), F.col("nb"), percent)).select("a", "b")
 
 
-def _block_links(percent: int):
-    """Links between components inside one pair of blocks, on full sets."""
-
-    def run(rows: pd.DataFrame) -> pd.DataFrame:
-        rows = rows.drop_duplicates("k").sort_values("k", ignore_index=True)
-        sizes = rows["n"].to_numpy(np.int64)
-        comp = pd.factorize(rows["root"])[0]
-        out_a: list[bytes] = []
-        out_b: list[bytes] = []
-        if len(set(comp)) > 1:
-            _, at = np.unique(np.concatenate(rows["shingles"].to_list()), return_inverse=True)
-            owner = np.repeat(np.arange(len(rows)), sizes)
-            often = np.bincount(at) > 1
-            column = np.cumsum(often) - 1
-            use = often[at]
-            owner, column = owner[use], column[at[use]]
-            largest = np.bincount(comp).argmax()
-            few = np.flatnonzero(comp != largest)
-            shared = np.zeros((len(few), len(rows)), np.float32)
-            order = np.argsort(column, kind="stable")
-            owner, column = owner[order], column[order]
-            wide = max(256, min(8192, (8 << 20) // max(1, len(rows))))
-            for c in range(0, int(often.sum()), wide):
-                a, b = np.searchsorted(column, [c, c + wide])
-                m = np.zeros((len(rows), wide), np.float32)
-                m[owner[a:b], column[a:b] - c] = 1
-                shared += m[few] @ m.T
-            union = sizes[few][:, None] + sizes[None, :] - shared
-            x, y = np.nonzero((100 * shared >= percent * union) & (comp[few][:, None] != comp[None, :]))
-            linked: dict[int, int] = {}
-
-            def root(v: int) -> int:
-                while linked.get(v, v) != v:
-                    v = linked[v]
-                return v
-
-            keys = rows["k"].to_list()
-            for i, j in zip(few[x], y, strict=True):  # a spanning forest of the components is enough
-                p, q = root(comp[i]), root(comp[j])
-                if p != q:
-                    linked[p] = q
-                    out_a.append(keys[i])
-                    out_b.append(keys[j])
-        return pd.DataFrame({"a": out_a, "b": out_b})
+def _shared(shingles: np.ndarray, sizes: np.ndarray, few: np.ndarray) -> np.ndarray:
+    """Numbers of common shingles of the sets ``few`` with all sets of a cell."""
+    rows = len(sizes)
+    _, at = np.unique(shingles, return_inverse=True)
+    often = np.bincount(at) > 1
+    column = np.cumsum(often) - 1
+    use = often[at]
+    owner, column = np.repeat(np.arange(rows), sizes)[use], column[at[use]]
+    order = np.argsort(column, kind="stable")
+    owner, column = owner[order], column[order]
+    shared = np.zeros((len(few), rows), np.float32)
+    wide = max(256, min(8192, (4 << 20) // rows))
+    for c in range(0, int(often.sum()), wide):
+        a, b = np.searchsorted(column, [c, c + wide])
+        m = np.zeros((rows, wide), np.float32)
+        m[owner[a:b], column[a:b] - c] = 1
+        shared += m[few] @ m.T
+    return shared
+
+
+def cell_links(keys: list[bytes], sizes: np.ndarray, roots: list[bytes], shingles: np.ndarray, percent: int) -> list[tuple[bytes, bytes]]:
+    """Links between the components of one cell, on full sets: a spanning forest of them is enough."""
+    names = {r: i for i, r in enumerate(sorted(set(roots)))}
+    comp = np.array([names[r] for r in roots])
+    if len(names) < 2:
+        return []
+    near = lambda inter, a, b: 100 * inter >= percent * (a + b - inter)
+    if len(keys) <= 4:
+        at = starts(sizes)
+        pairs = [(i, j) for i in range(len(keys)) for j in range(i) if comp[i] != comp[j] and near(min(sizes[i], sizes[j]), sizes[i], sizes[j])]
+        found = [(i, j) for i, j in pairs if near(len(np.intersect1d(shingles[at[i] : at[i + 1]], shingles[at[j] : at[j + 1]], True)), sizes[i], sizes[j])]
+    else:
+        few = np.flatnonzero(comp != np.bincount(comp).argmax())
+        inter = _shared(shingles, sizes, few)
+        x, y = np.nonzero(near(inter, sizes[few][:, None], sizes[None, :]) & (comp[few][:, None] != comp[None, :]))
+        found = zip(few[x], y, strict=True)
+    linked: dict[int, int] = {}
+
+    def root(v: int) -> int:
+        while linked.get(v, v) != v:
+            v = linked[v]
+        return v
+
+    out = []
+    for i, j in found:
+        p, q = root(comp[i]), root(comp[j])
+        if p != q:
+            linked[p] = q
+            out.append((keys[i], keys[j]))
+    return out
+
+
+def _links_of_cells(percent: int):
+    """Reads rows (part, i, j, k, root, n, shingles) sorted by cell; holds one cell at a time."""
+
+    def flush(held: list[pa.RecordBatch]) -> list[tuple[bytes, bytes]]:
+        cell = pa.Table.from_batches(held)
+        first: dict[bytes, int] = {}
+        for i, k in enumerate(cell.column("k").to_pylist()):
+            first.setdefault(k, i)  # a set may come to a cell by several ways
+        if len(first) < len(cell):
+            cell = cell.take(list(first.values()))
+        values = np.asarray(cell.column("shingles").combine_chunks().flatten())
+        return cell_links(list(first), np.asarray(cell.column("n")).astype(np.int64), cell.column("root").to_pylist(), values, percent)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: list[pa.RecordBatch] = []
+        last = None
+        for batch in batches:
+            cells = np.stack([np.asarray(batch.column(i)).astype(np.int64) for i in range(3)], 1)
+            if not len(cells):
+                continue
+            cuts = [0, *(np.flatnonzero((cells[1:] != cells[:-1]).any(axis=1)) + 1).tolist(), len(cells)]
+            out: list[tuple[bytes, bytes]] = []
+            for a, b in zip(cuts[:-1], cuts[1:], strict=True):
+                if held and tuple(cells[a]) != last:
+                    out += flush(held)
+                    held = []
+                held.append(batch.slice(a, b - a))
+                last = tuple(cells[a])
+            if out:
+                yield pa.RecordBatch.from_arrays([pa.array([x[i] for x in out], pa.binary()) for i in range(2)], ["a", "b"])
+        out = flush(held) if held else []
+        yield pa.RecordBatch.from_arrays([pa.array([x[i] for x in out], pa.binary()) for i in range(2)], ["a", "b"])
 
     return run
 
 
 def _parts(rows: DataFrame, percent: int) -> DataFrame:
-    """Rows (part, k, n, root) of buckets parted by size; a set meets its own class and the next larger.
+    """Rows (part, k, n, root, home) of buckets parted by size; a set meets its own class and the next larger.
 
     Similar sets are at most one class apart. Two parts under one number would be
     compared together, which costs time and changes nothing.
     """
     step = math.log(100 / percent) * 1.000001 if percent < 100 else 1e-9
-    own = F.floor(F.log("n") / F.lit(step)).cast("long")
-    return rows.withColumn("own", own).withColumn("class", F.explode(F.array("own", F.col("own") - 1))).select(F.xxhash64("bucket", "class").alias("part"), "k", "n", "root")
+    rows = rows.withColumn("own", F.floor(F.log("n") / F.lit(step)).cast("long"))
+    rows = rows.withColumn("class", F.explode(F.array("own", F.col("own") - 1)))
+    return rows.select(F.xxhash64("bucket", "class").alias("part"), "k", "n", "root", (F.col("own") == F.col("class")).alias("home"))
 
 
 def _mixed(rows: DataFrame, block: int, sets: int) -> DataFrame:
-    """Rows of parts that hold several components, with the number of blocks their part makes."""
+    """Rows of parts where several components meet, with the number of blocks their part makes.
+
+    A part needs a set that is at home there: others meet in the part of their own class.
+    """
     blocks = F.greatest(F.ceil(F.sum("n") / block), F.ceil(F.count("*") / sets)).cast("int")
-    found = rows.groupBy("part").agg(F.min("root").alias("r0"), F.max("root").alias("r1"), blocks.alias("blocks"), F.count("*").alias("rows"))
-    return rows.join(found.filter("r0 <> r1").select("part", "blocks", "rows"), "part")
+    found = rows.groupBy("part").agg(F.min("root").alias("r0"), F.max("root").alias("r1"), F.max("home").alias("any"), blocks.alias("blocks"), F.count("*").alias("rows"))
+    return rows.drop("home").join(found.filter("r0 <> r1 AND any").select("part", "blocks", "rows"), "part")
 
 
 def _by_rare_shingle(rows: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
@@ -190,7 +233,7 @@ def _by_rare_shingle(rows: DataFrame, sets: DataFrame, percent: int) -> DataFram
     told = each.join(often, ["part", "s"], "left")
     place = F.row_number().over(Window.partitionBy("part", "k").orderBy(F.coalesce("often", F.lit(0)), "s"))
     first = F.col("n") - F.ceil(F.col("n") * percent / 100) + 1
-    return told.withColumn("place", place).filter(F.col("place") <= first).select(F.xxhash64("part", "s").alias("part"), "k", "n", "root")
+    return told.withColumn("place", place).filter(F.col("place") <= first).select(F.xxhash64("part", "s").alias("part"), "k", "n", "root", F.lit(True).alias("home"))
 
 
 def cross_links(members: DataFrame, roots: DataFrame, sets: DataFrame, percent: int, block: int = BLOCK, block_sets: int = BLOCK_SETS, split: int = SPLIT) -> DataFrame:
@@ -204,7 +247,8 @@ def cross_links(members: DataFrame, roots: DataFrame, sets: DataFrame, percent:
     own = F.pmod(F.xxhash64("k"), F.col("blocks").cast("long")).cast("int")
     cells = small.withColumn("own", own).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
     cells = cells.select("part", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "k", "root")
-    return cells.join(sets.select("k", "n", "shingles"), "k").groupBy("part", "i", "j").applyInPandas(_block_links(percent), "a binary, b binary")
+    cells = cells.join(sets.select("k", "n", "shingles"), "k").repartition("part", "i", "j").sortWithinPartitions("part", "i", "j")
+    return cells.select("part", "i", "j", "k", "root", "n", "shingles").mapInArrow(_links_of_cells(percent), "a binary, b binary")
 
 
 def near_duplicates(df: DataFrame, key: str = "doc_id", text: str = "text", words: int = WORDS, percent: int = PERCENT, bands: int = BANDS, rows: int = ROWS) -> DataFrame:

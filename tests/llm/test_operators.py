@@ -117,6 +117,21 @@ def test_cross_links_alone_find_all_links(spark, how):
     assert sorted(sizes["count"]) == sorted(want[want > 1])
 
 
+def test_components_with_hubs(spark, monkeypatch):
+    """Stars, chains and a ring, with and without the broadcast of hubs."""
+    from sieve.llm import components as c
+
+    rng = np.random.default_rng(4)
+    edges = [(0, k) for k in range(1, 400)] + [(k, k + 1) for k in range(1000, 1040)] + [(2000 + k, 2000 + (k + 1) % 9) for k in range(9)] + [(399, 1500), (1500, 1501)]
+    edges = [(int(a), int(b)) if rng.random() < 0.5 else (int(b), int(a)) for a, b in edges] + [(5, 5), (0, 1)]
+    df = spark.createDataFrame(edges, "a bigint, b bigint").repartition(4)
+    want = {0: 402, 1000: 41, 2000: 9}
+    for least in (256, 1, 10**6):
+        monkeypatch.setattr(c, "LEAST_HUB", least)
+        got = c.components(df).toPandas()
+        assert got.groupby("root").size().to_dict() == want and got.a.is_unique
+
+
 def test_small_sets_and_common_phrases(spark):
     """Thousands of short texts in one bucket: none can link, and none is compared."""
     rows = [(i, f"thank you n{i}") for i in range(3000)] + [(9000 + i, f"thank you very much my dear friend n{i % 40}") for i in range(80)]
