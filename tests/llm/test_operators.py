@@ -558,12 +558,13 @@ def test_toxicity_held_out(spark):
 
 
 def test_toxicity_rows(spark, docs, none):
-    grammar = toxicity.fit([b"you are a moron", b"nice day"] * 10, [1, 0] * 10)
+    grammar = toxicity.Grammar({b"moron": 5.0}, {}, bias=-4.0)
     got = {r[0]: r[1] for r in toxicity.score(docs, grammar).collect()}
     assert got[1] == got[2] and all(0 <= x <= 1 for x in got.values())
     blank = toxicity.learn(docs, spark.createDataFrame([], "doc_id bigint, quality int, toxic int"))
     assert toxicity.score(docs, blank).count() == docs.count()
     assert toxicity.score(none, grammar).count() == 0
+    assert toxicity.learn(none, spark.createDataFrame([(1, 3, 1)], "doc_id bigint, quality int, toxic int")).score(b"x") < 0.5
 
 
 def test_toxicity_learns_from_whole_texts(spark):
@@ -574,28 +575,98 @@ def test_toxicity_learns_from_whole_texts(spark):
     assert b"zorgle" in grammar.words and grammar.score(long("zorgle").encode()) > 0.5 > grammar.score(long("friend").encode())
 
 
-def test_composition_multiplies():
+def test_toxicity_lexicon_is_counted_right(spark):
+    """The distributed counts against a count in one place, for both folds and all texts."""
+    rng = np.random.default_rng(12)
+    words = [f"{x}{y}" for x in ("grumb", "wobble", "tree") for y in ("le", "ly", "ling", "ed", "ish")]
+    rows = [(int(k % 2), int(k % 3 == 0), " ".join(rng.choice(words[: 15 if k % 3 == 0 else 5], 6)) + " common. word") for k in range(240)]
+    texts = spark.createDataFrame(rows, "fold int, toxic int, text string").repartition(3)
+    many = {(f, y): sum(r[:2] == (f, y) for r in rows) for f in (0, 1) for y in (0, 1)}
+    got = toxicity._lexicons(texts, many)
+    for fold in range(3):
+        own = [({w for c in toxicity.clauses(t.encode()) for w in c}, y) for f, y, t in rows if fold == 2 or f == fold]
+        count = lambda item, y: sum(y == label and any(item(w) for w in ws) for ws, label in own)  # noqa: E731, B023
+        n1, n0 = sum(y for _, y in own), sum(not y for _, y in own)
+        known = {w for ws, y in own for w in ws}
+        odds = lambda item: np.log((count(item, 1) + 0.5) / (n1 + 1)) - np.log((count(item, 0) + 0.5) / (n0 + 1))  # noqa: E731, B023
+        want_words = {w: odds(lambda x: x == w) for w in known if count(lambda x: x == w, 1) >= 4 and odds(lambda x: x == w) >= 3}  # noqa: B023
+        stems = {w[:n] for w in known for n in toxicity.STEM if n < len(w)}
+        begins = lambda s: lambda x: x.startswith(s) and len(x) > len(s)
+        forms = lambda s: len({w for ws, y in own if y for w in ws if begins(s)(w)})  # noqa: E731, B023
+        want_stems = {s: odds(begins(s)) for s in stems if count(begins(s), 1) >= 4 and odds(begins(s)) >= 3 and forms(s) >= 3}
+        assert got[fold][0] == pytest.approx(want_words) and got[fold][1] == pytest.approx(want_stems)
+    assert got[2][0] and got[2][1]
+
+
+def brute_patterns(classes):
+    """Labels of every attack in a clause, from the words of the rules alone."""
+    t = toxicity
+    out = []
+    for i, c in enumerate(classes):
+        if c in t.ATTACKS:
+            labels = t.NEGATED * any(x == t.NOT for x in classes[max(0, i - 3) : i]) | t.TOLD * (t.REPORT in classes[:i])
+            out.append((i, labels | {t.THREAT: t.THREATENED, t.VERB: t.BARE}.get(c, 0) | t.AIMED * (t.TARGET in classes)))
+    return out
+
+
+def test_patterns_against_every_short_clause():
+    """All clauses of up to five classes, and random longer ones, against the rules in words."""
+    import itertools
+
+    words = [b"other", b"you", b"not", b"said", b"moron", b"kill", b"stab"]
+    g = toxicity.Grammar({b"moron": 3.0, b"kill": 5.0}, {})
+    assert [g.symbol(w)[0] for w in words] == list(toxicity.CLASSES)
+    rng = np.random.default_rng(0)
+    longer = [tuple(rng.integers(0, 7, rng.integers(6, 15)).tolist()) for _ in range(2000)]
+    for classes in itertools.chain(*(itertools.product(toxicity.CLASSES, repeat=n) for n in range(1, 6)), longer):
+        want = {}
+        for i, labels in brute_patterns(classes):
+            if not labels & toxicity.BARE or labels & toxicity.AIMED:
+                want[labels] = want.get(labels, 0) + {4: 3.0, 5: 5.0, 6: toxicity.THREAT_WEIGHT}[classes[i]]
+        assert g.clause([words[c] for c in classes]) == want
+
+
+def test_composition_unites_what_the_parts_write():
     t = toxicity
     rng = np.random.default_rng(0)
     for _ in range(200):
-        word = rng.integers(0, 6, rng.integers(0, 12)).tolist()
+        word = rng.integers(0, 7, rng.integers(0, 12)).tolist()
 
         def walk(m):
-            q, factors = 0, []
-            for c in word:
+            q, labels = 0, []
+            for c in word:  # noqa: B023
                 q, f = m.step[q][c]
-                factors.append(f)
-            return np.array(factors), m.final[q]
+                labels.append(f)
+            return np.array(labels, int), m.final[q]
 
-        parts = [walk(m) for m in (t.NEGATION, t.REPORTED, t.AIMED, t.THREATENING)]
+        parts = [walk(m) for m in (t.NEGATION, t.REPORTED, t.AIM, t.THREATENING)]
         whole = walk(t.CLAUSE)
-        assert np.allclose(whole[0], np.prod([p[0] for p in parts], axis=0)) and np.isclose(whole[1], np.prod([p[1] for p in parts]))
+        assert (whole[0] == np.bitwise_or.reduce([p[0] for p in parts])).all() and whole[1] == np.bitwise_or.reduce([p[1] for p in parts])
+
 
+def test_clauses_decide_and_not_words():
+    """One insult, four clauses: the pattern moves the score over the line, and without the machine it does not."""
+    g = toxicity.Grammar({b"moron": 5.0}, {}, bias=-4.5)
+    for text, toxic in ((b"You moron.", True), (b"They are not a moron.", False), (b"She said moron.", False), (b"I will kill you.", True), (b"Kill the process.", False), (b"moral", False)):
+        assert (g.score(text) >= 0.5) == toxic, text
+    plain = toxicity.Grammar({b"moron": 5.0}, {}, bias=-4.5, machine=toxicity.transducer(1, lambda q, c: (0, 0)))
+    assert plain.score(b"They are not a moron.") >= 0.5
+    many = b"They are not a moron. " * 400
+    assert g.score(many) > g.score(b"They are not a moron.")  # every clause counts
 
-def test_grammar_composes():
-    g = toxicity.Grammar({b"moron": 4.0}, {}, (1.0, 0.0))
-    plain = g.clause(b"the moron spoke".split())
-    assert g.clause(b"you moron".split()) > plain > g.clause(b"he said moron".split()) and g.clause(b"not a moron".split()) < plain and g.clause([b"moral"]) == 0
+
+def test_pattern_weights_follow_the_labels():
+    """Negated insults that are labelled clean lose their weight; a pattern never seen stays near its prior."""
+    rng = np.random.default_rng(3)
+    n = 400
+    x = np.zeros((n, toxicity.PATTERNS))
+    y = (np.arange(n) % 2).astype(float)
+    x[y == 1, toxicity.AIMED] = 5 + rng.random(n // 2)
+    x[y == 0, toxicity.AIMED | toxicity.NEGATED] = 5 + rng.random(n // 2)
+    weights, bias = toxicity.weigh(x, y)
+    assert weights[toxicity.AIMED | toxicity.NEGATED] < 0.5 * weights[toxicity.AIMED] and bias < 0
+    scale = weights[toxicity.TOLD] / toxicity.prior(toxicity.TOLD)
+    assert weights[toxicity.TOLD | toxicity.NEGATED] == pytest.approx(scale * toxicity.prior(toxicity.TOLD | toxicity.NEGATED))
 
 
 @pytest.mark.parametrize("s", ["", "<|im_end|>", "<\\|", "<\\\\|x<|", "a<", "\\", "\n", "<|im_end|><|im_start|>assistant ok"])
