@@ -27,7 +27,7 @@ import regex
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from sieve.llm.text import lists, slices
+from sieve.llm.text import fresh, lists, slices
 
 #: Pre-tokens of a generation that a worker remembers; there are two generations.
 REMEMBERED = 350_000
@@ -204,7 +204,8 @@ def encode(df: DataFrame, path: str, pattern: str, text: str = "text", keep: tup
     ``path``: rank file, installed with the tokenizer package on every node.
     ``decoded``: a further column, the SHA-256 of what the ids decode to.
     """
-    picked = df.select(*[F.col(f"`{c}`") for c in keep], F.coalesce(F.col(f"`{text}`"), F.lit("")).alias("__text"))
+    [own] = fresh([*keep, ids, decoded or ids], "text")
+    picked = df.select(*[F.col(f"`{c}`") for c in keep], F.coalesce(F.col(f"`{text}`"), F.lit("")).alias(own))
     fields = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in picked.schema.fields[:-1])
     at = len(keep)
 
@@ -227,7 +228,8 @@ def encode(df: DataFrame, path: str, pattern: str, text: str = "text", keep: tup
 def decode(df: DataFrame, path: str, pattern: str, ids: str = "ids", out: str = "decoded") -> DataFrame:
     """Replaces the ids column by the bytes they stand for; null ids stay null."""
     others = [c for c in df.columns if c != ids]
-    picked = df.select(*[F.col(f"`{c}`") for c in others], F.col(f"`{ids}`").alias("__ids"))
+    [own] = fresh([*others, out], "ids")
+    picked = df.select(*[F.col(f"`{c}`") for c in others], F.col(f"`{ids}`").alias(own))
     fields = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in picked.schema.fields[:-1])
     at = len(others)
 

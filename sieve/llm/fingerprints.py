@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from sieve.llm.text import as_bytes, mix, shingles, slices, starts, whole, word_hashes
+from sieve.llm.text import as_bytes, fresh, mix, shingles, slices, starts, whole, word_hashes
 from sieve.plans.scratch import materialize
 
 #: Bins and packed bits of a bin; words in a shingle.
@@ -98,7 +98,8 @@ def fingerprints_of(texts: list[bytes], words: int = WORDS, bins: int = BINS, bi
 
 def fingerprint(df: DataFrame, text: str = "text", keep: tuple[str, ...] = ("doc_id",), words: int = WORDS, bins: int = BINS, bits: int = BITS, out: str = "fingerprint") -> DataFrame:
     """``keep`` columns and the fingerprint of each text. One pass, no shuffle."""
-    picked = df.select(*[F.col(f"`{c}`") for c in keep], F.coalesce(F.col(f"`{text}`"), F.lit("")).alias("__text"))
+    [own] = fresh([*keep, out], "text")
+    picked = df.select(*[F.col(f"`{c}`") for c in keep], F.coalesce(F.col(f"`{text}`"), F.lit("")).alias(own))
     fields = "".join(f"`{f.name}` {f.dataType.simpleString()}, " for f in picked.schema.fields[:-1])
     at = len(keep)
 

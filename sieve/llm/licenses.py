@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from sieve.llm.text import as_bytes, slices
+from sieve.llm.text import as_bytes, fresh, slices
 
 #: Phrases looked for at every place, with their labels.
 PHRASES = (
@@ -236,7 +236,8 @@ _KINDS = {"n_words": pa.int64(), "n_base": pa.int64(), "first_word": pa.int64(),
 
 def scan(df: DataFrame, text: str = "text", keep: tuple[str, ...] = ("doc_id",), templates: tuple = TEMPLATES, phrases: tuple = PHRASES) -> DataFrame:
     """``keep`` columns with phrase places, labels, score and covered template spans."""
-    picked = df.select(*[F.col(f"`{c}`") for c in keep], F.coalesce(F.col(f"`{text}`"), F.lit("")).alias("__text"))
+    [own] = fresh([*keep, *_KINDS], "text")
+    picked = df.select(*[F.col(f"`{c}`") for c in keep], F.coalesce(F.col(f"`{text}`"), F.lit("")).alias(own))
     fields = "".join(f"`{f.name}` {f.dataType.simpleString()}, " for f in picked.schema.fields[:-1])
     at = len(keep)
 

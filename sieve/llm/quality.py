@@ -1,8 +1,8 @@
 """Quality rules as a short-circuit cascade.
 
-Each rule needs one or more measures of a text. The cascade first runs every
-rule on a bounded sample, times its measures and counts its rejections, and
-orders the rules by rejections per second. Over the whole table a rule then sees
+Each rule needs one or more measures of a text. Every rule is first run on a random
+sample of whole texts, on the executors; its measures are timed and its rejections
+counted, and the rules are ordered by rejections per second. Over the whole table a rule then sees
 only the texts that every rule before it has kept. A text is rejected if any rule
 rejects it, so the order moves cost and never the verdict.
 
@@ -22,12 +22,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from sieve.llm.text import as_bytes, ngrams, slices, starts, word_hashes
+from sieve.llm.text import as_bytes, fresh, ngrams, slices, starts, word_hashes
 
 _NO_SYMBOLS = b"#*$%&|<>"
 _WHITE = b" \t\n\r\x0b\x0c"
-#: Rows and characters of a row that the order is estimated on; no verdict depends on it.
-SAMPLE_ROWS, SAMPLE_CHARS = 2000, 20_000
+#: Rows that the order is estimated on, about; no verdict depends on it.
+SAMPLE_ROWS = 2000
 
 
 class Measures:
@@ -103,33 +103,47 @@ RULES = (
 )
 
 
-def estimate(texts: list[bytes], rules: tuple[Rule, ...] = RULES) -> list[tuple[str, float, float]]:
-    """(rule, seconds a text, share rejected) on a sample, best rejection per cost first."""
+def trial(texts: list[bytes], rules: tuple[Rule, ...] = RULES) -> list[tuple[float, int]]:
+    """(seconds, texts rejected) of every rule on its own."""
     found = []
-    for i, rule in enumerate(rules):
+    for rule in rules:
         m = Measures(texts)
         t = time.perf_counter()
         bad = rule.rejects(*map(m.get, rule.needs))
-        cost = (time.perf_counter() - t) / max(1, len(texts))
-        found.append((i, rule.name, cost, float(np.mean(bad)) if len(texts) else 0.0))
-    found.sort(key=lambda x: (-x[3] / max(x[2], 1e-12), x[0]))
-    return [x[1:] for x in found]
+        found.append((time.perf_counter() - t, int(np.count_nonzero(bad))))
+    return found
+
+
+def best_first(found: list[tuple[float, int]]) -> list[int]:
+    """Numbers of the rules, most rejections per second first."""
+    return sorted(range(len(found)), key=lambda i: (-found[i][1] / max(found[i][0], 1e-12), i))
 
 
 def order_rules(df: DataFrame, text: str = "text", rules: tuple[Rule, ...] = RULES, sample_rows: int = SAMPLE_ROWS) -> tuple[Rule, ...]:
-    """The rules by rejection per cost on at most ``sample_rows`` rows of ``df``."""
-    rows = df.select(F.substring(F.col(f"`{text}`"), 1, SAMPLE_CHARS).alias("t")).limit(sample_rows).collect()
-    texts = [(r.t or "").encode() for r in rows]
-    by = {r.name: r for r in rules}
-    return tuple(by[x[0]] for x in estimate(texts, rules)) if texts else tuple(rules)
+    """The rules by rejection per cost on about ``sample_rows`` rows of ``df``, drawn at random."""
+    rows = df.count()
+    if not rows:
+        return tuple(rules)
+    picked = df.sample(min(1.0, sample_rows / rows), seed=11).select(F.coalesce(F.col(f"`{text}`"), F.lit("")).alias("t"))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for part in slices(batch, 0):
+                found = trial(as_bytes(part.column(0)), rules)
+                columns = [range(len(found)), [x[0] for x in found], [x[1] for x in found]]
+                yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(columns, (pa.int32(), pa.float64(), pa.int64()), strict=True)], ["rule", "seconds", "rejected"])
+
+    told = picked.mapInArrow(run, "rule int, seconds double, rejected bigint").groupBy("rule").agg(F.sum("seconds").alias("s"), F.sum("rejected").alias("n"))
+    by = {r["rule"]: (r["s"], r["n"]) for r in told.collect()}  # one row a rule
+    return tuple(rules[i] for i in best_first([by.get(i, (0.0, 0)) for i in range(len(rules))]))
 
 
-def cascade(texts: list[bytes], rules: tuple[Rule, ...]) -> tuple[np.ndarray, np.ndarray, list[int]]:
-    """(kept mask, index of the rejecting rule or -1, texts each rule looked at)."""
+def cascade(texts: list[bytes], rules: tuple[Rule, ...], known: Measures | None = None) -> tuple[np.ndarray, np.ndarray, list[int]]:
+    """(kept mask, index of the rejecting rule or -1, texts each rule looked at); ``known`` is used, not made again."""
     alive = np.arange(len(texts))
     by = np.full(len(texts), -1)
     looked = []
-    m = Measures(texts)
+    m = known or Measures(texts)
     for k, rule in enumerate(rules):
         looked.append(len(alive))
         bad = rule.rejects(*map(m.get, rule.needs))
@@ -153,10 +167,11 @@ def m_subset(m: Measures, keep: np.ndarray) -> Measures:
 def judge(df: DataFrame, rules: tuple[Rule, ...], text: str = "text", keep: tuple[str, ...] = ("doc_id",), report: tuple[str, ...] = (), verdict: str = "kept") -> DataFrame:
     """``keep`` columns, the measures in ``report`` for every row, and the verdict.
 
-    Measures that are reported are made for all rows; the others only as far as
-    the cascade asks for them.
+    Measures that are reported are made for all rows, once; the others only as far
+    as the cascade asks for them.
     """
-    picked = df.select(*[F.col(f"`{c}`") for c in keep], F.coalesce(F.col(f"`{text}`"), F.lit("")).alias("__text"))
+    [own] = fresh([*keep, *report, verdict], "text")
+    picked = df.select(*[F.col(f"`{c}`") for c in keep], F.coalesce(F.col(f"`{text}`"), F.lit("")).alias(own))
     fields = "".join(f"`{f.name}` {f.dataType.simpleString()}, " for f in picked.schema.fields[:-1])
     at, names = len(keep), [*keep, *report, verdict]
 
@@ -164,9 +179,9 @@ def judge(df: DataFrame, rules: tuple[Rule, ...], text: str = "text", keep: tupl
         for batch in batches:
             for part in slices(batch, at):
                 texts = as_bytes(part.column(at))
-                ok, _, _ = cascade(texts, rules)
                 m = Measures(texts)
-                yield pa.RecordBatch.from_arrays([*part.columns[:at], *(pa.array(m.get(x)) for x in report), pa.array(ok)], names)
+                told = [pa.array(m.get(x)) for x in report]
+                yield pa.RecordBatch.from_arrays([*part.columns[:at], *told, pa.array(cascade(texts, rules, m)[0])], names)
 
     return picked.mapInArrow(run, fields + "".join(f"`{x}` bigint, " for x in report) + f"`{verdict}` boolean")
 

@@ -337,9 +337,12 @@ def test_cascade_order_moves_cost_not_verdicts():
     a, _, looked = quality.cascade(texts, quality.RULES)
     b, _, other = quality.cascade(texts, quality.RULES[::-1])
     assert (a == b).all() and looked[0] == other[0] == len(texts) and looked[-1] < len(texts)
-    told = quality.estimate(texts)
-    rates = [share / cost for _, cost, share in told]
-    assert rates == sorted(rates, reverse=True)
+    found = quality.trial(texts)
+    rates = [found[i][1] / found[i][0] for i in quality.best_first(found)]
+    assert rates == sorted(rates, reverse=True) and quality.best_first([(1.0, 2), (1.0, 9), (0.1, 2)]) == [2, 1, 0]
+    m = quality.Measures(texts)
+    m.get("n_repeat_words")
+    assert (quality.cascade(texts, quality.RULES, m)[0] == a).all()
 
 
 def brute_substrings(rows, least=20):
@@ -696,6 +699,36 @@ def test_deep_chain(spark):
     assert [t for _, t in chat.parse(got["formatted"])] == [f"t{k}" for k in range(75)]
 
 
+def test_rules_are_ordered_on_whole_texts_of_any_part(spark):
+    """Rows that are rejected stand at the end of the table, and the fault at the end of a text."""
+    rows = [(i, "a fine and plain text of more than ten words, all told, " + ("" if i < 300 else "x " * 20_000 + "# $ % & " * 9000)) for i in range(400)]
+    df = spark.createDataFrame(rows, "doc_id bigint, text string").repartitionByRange(8, "doc_id")
+    rules = tuple(r for r in quality.RULES if r.name in ("few_words", "symbols"))
+    assert [r.name for r in quality.order_rules(df, rules=rules)] == ["symbols", "few_words"]
+
+
+def test_clashing_columns(spark, docs, none):
+    """Columns with the names that operators use inside, in other letters too."""
+    import public_tokenizers as P
+
+    path = P.path("byte_bpe_multi_50k.tiktoken")
+    odd = {n: F.lit(7) for n in ("TEXT_", "_text", "__text", "id", "_id", "__id", "ids", "__ids", "SRC", "h", "shard_", "place", "Doc", "tag", "copies", "part", "row", "at", "before", "k", "n", "root")}
+    df = docs.withColumns(odd)
+    grammar = toxicity.Grammar({b"moron": 5.0}, {}, bias=-4.0)
+    keep = ("doc_id", "text", "_text", "__text", "ids", "__ids")
+    n = docs.count()
+    made = [
+        licenses.scan(df, keep=keep), fingerprints.fingerprint(df, keep=keep), quality.judge(df, quality.RULES, keep=keep, report=("n_words",)), toxicity.score(df, grammar, keep=keep),
+        bpe.decode(bpe.encode(df, path, P.PATTERN, keep=keep, ids="codes"), path, P.PATTERN, ids="codes"), mixing.mixture(df), sharding.shard_documents(df), neardup.near_duplicates(df), substrings.dedup_substrings(df), fingerprints.edited_neighbours(df),
+    ]
+    assert [x.count() for x in made] == [n] * len(made)
+    for f in (neardup.drop_near_duplicates, substrings.strip_substrings, mixing.mix, lambda d: quality.passing(d, quality.order_rules(d))):
+        out = f(df)
+        assert out.columns == df.columns and 0 < out.count() <= 2 * n
+        empty = f(none.withColumns(odd))
+        assert empty.columns == df.columns and empty.count() == 0
+
+
 def test_empty_tables(spark, none):
     import public_tokenizers as P
 

@@ -80,3 +80,14 @@ def test_bpe_stage_decodes(stages):
 def test_run(spark, stages):
     key = lambda df: sorted((r["doc_id"], r["n_tokens"]) for r in df.collect())
     assert key(corpus_pipeline.run(spark, SMALL)) == key(stages[5])
+
+
+def test_pipeline_on_awkward_and_empty_tables(spark, tmp_path):
+    """Nulls, repeated rows, clashing columns; then no rows at all."""
+    long = " ".join(f"w{i}" for i in range(60))
+    rows = [(1, long, None, "a", None, 1), (1, long, None, "a", None, 1), (2, None, "en", None, 3, 2), (None, long + " more words here", "en", "b", 1, 3), (4, "", None, None, None, None), (5, long.upper() + " tail", "de", "a", 9, 5)]
+    df = spark.createDataFrame(rows, "doc_id bigint, text string, lang string, source string, n_chars bigint, `__id` int")
+    for name, table in (("some", df), ("none", df.limit(0))):
+        table.write.parquet(f"{tmp_path}/{name}/documents.parquet")
+        out = corpus_pipeline.run(spark, f"{tmp_path}/{name}").collect()
+        assert (len(out) > 0) == (name == "some") and all(r["n_tokens"] == len(r["ids"]) for r in out)
