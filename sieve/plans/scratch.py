@@ -16,10 +16,12 @@ _RUN = uuid.uuid4().hex[:12]
 
 
 def scratch_root(spark: SparkSession) -> str:
-    """The shared folder; a local one is set only where the session names none (tests)."""
+    """The shared folder. Under a local master that names none, a temporary one is set."""
     sc = spark.sparkContext
     root = sc.getConf().get("spark.checkpoint.dir") or sc.getCheckpointDir()
     if not root:
+        if not sc.master.startswith("local"):
+            raise ValueError("spark.checkpoint.dir must name a folder that all executors share")
         root = tempfile.mkdtemp(prefix="sieve-scratch-")
         sc.setCheckpointDir(root)
         root = f"file://{root}"
