@@ -68,6 +68,13 @@ def low(x: np.ndarray) -> np.ndarray:
     return x & np.uint64(LOW32)
 
 
+def first_segment(a: np.ndarray, seg_len: int, seg_count: int, arity: int, layout: str) -> np.ndarray:
+    """The segment a key's first cell is about in: what keys are put in order by."""
+    if layout == "overlap":
+        return reduce32(high(a), (seg_count - arity) * seg_len + 1) // seg_len
+    return reduce32(high(a), seg_count - arity + 1)
+
+
 def locations(a: np.ndarray, b: np.ndarray, seg_len: int, seg_count: int, arity: int, layout: str) -> np.ndarray:
     """Cells of every key, one column a cell (int64)."""
     out = np.empty((len(a), arity), np.int64)

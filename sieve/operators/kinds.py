@@ -13,13 +13,14 @@ from dataclasses import dataclass, field
 import numpy as np
 
 from sieve.functions import sizing
-from sieve.functions.hashing import fingerprint, high, locations, low, reduce32, seeded, words
+from sieve.functions.hashing import fingerprint, first_segment, high, locations, low, reduce32, seeded, words
 from sieve.operators.peel import Layers, assign, peel, peeled
 from sieve.schema import Spec
 
 #: The eight odd lane multipliers of the public split-block Bloom scheme.
 LANES = (0x47B6137B, 0x44974D91, 0x8824AD5B, 0xA2B7289D, 0x705495C7, 0x2DF1424B, 0x9EFC4947, 0x5C6BFB31)
-MAX_KICKS = 500
+#: Rounds of the random walk of a cuckoo table.
+MAX_ROUNDS = 1000
 
 
 @dataclass
@@ -33,15 +34,15 @@ class Payload:
     extra: dict[str, str] = field(default_factory=dict)
 
 
-def _peelable(keys: np.ndarray, seed: int, s: Spec, seg_len: int, seg_count: int) -> tuple[np.ndarray, np.ndarray, Layers, int] | None:
+def _peelable(keys: np.ndarray, seed: int, s: Spec, seg_len: int, seg_count: int, late: int | None = None) -> tuple[np.ndarray, np.ndarray, Layers, int] | None:
     a, b = words(keys, seed)
-    loc = locations(a, b, seg_len, seg_count, s.arity, s.layout)
     cells = seg_len * seg_count
     if s.presort and s.layout != "blocks":  # keys by starting segment: the arrays are walked forwards
-        start = (loc[:, 0] // seg_len).astype(np.uint16 if seg_count < 1 << 16 else np.int32)
-        order = np.argsort(start, kind="stable")  # a radix sort for 16-bit numbers: linear, one pass a byte
-        a, loc = a[order], loc[order]
-    layers = peel(loc, cells, s.order)
+        start = first_segment(a, seg_len, seg_count, s.arity, s.layout)
+        order = np.argsort(start.astype(np.uint16) if seg_count < 1 << 16 else start, kind="stable")  # a radix sort for 16-bit numbers
+        a, b = a.take(order), b.take(order)
+    loc = locations(a, b, seg_len, seg_count, s.arity, s.layout)
+    layers = peel(loc, cells, s.order, late)
     if peeled(layers) < len(keys):
         return None
     return a, loc, layers, cells
@@ -69,9 +70,13 @@ def build_fuse(keys: np.ndarray, seed: int, s: Spec) -> Payload | None:
 
 
 def build_xorplus(keys: np.ndarray, seed: int, s: Spec) -> Payload | None:
-    """Xor whose third block keeps only its used cells, behind a bitmap with running counts."""
+    """Xor whose third block keeps only its used cells, behind a bitmap with running counts.
+
+    Keys own cells of the first two blocks as long as there are any, so that few of the
+    third block's are used.
+    """
     seg_len, seg_count = fuse_shape(len(keys), s)
-    found = _peelable(keys, seed, s, seg_len, seg_count)
+    found = _peelable(keys, seed, s, seg_len, seg_count, late=2 * seg_len)
     if found is None:
         return None
     a, loc, layers, cells = found
@@ -131,36 +136,53 @@ def cuckoo_jump(fp_bits: int, seed: int, buckets: int) -> np.ndarray:
     return reduce32(high(seeded(seed, np.arange(1 << fp_bits, dtype=np.uint64))), buckets)
 
 
+def ranks(groups: np.ndarray) -> np.ndarray:
+    """The place of every entry among those of its group, in order."""
+    order = np.argsort(groups, kind="stable")
+    g = groups[order]
+    first = np.flatnonzero(np.concatenate(([True], g[1:] != g[:-1]))) if len(g) else np.zeros(0, np.int64)
+    out = np.empty(len(g), np.int64)
+    out[order] = np.arange(len(g)) - np.repeat(first, np.diff(np.append(first, len(g))))
+    return out
+
+
 def build_cuckoo(keys: np.ndarray, seed: int, s: Spec) -> Payload | None:
+    """All keys at once: into the first bucket, then the second; the rest walk in rounds.
+
+    In a round one key a full bucket takes the place of a random one there, which goes to
+    its other bucket; keys that found their bucket taken wait for the next round.
+    """
     m = sizing.cuckoo_buckets(len(keys), s.max_load, s.power_of_two)
     a, _ = words(keys, seed)
     fps, first = cuckoo_places(a, seed, s.fp_bits, m)
     jump = cuckoo_jump(s.fp_bits, seed, m)
-    second = ((jump[fps] - first) % m).tolist()
-    jump = jump.tolist()
-    rng = random.Random(seed)
-    table: list[list[int]] = [[] for _ in range(m)]
+    rng = np.random.Generator(np.random.PCG64(seed & 0xFFFFFFFFFFFFFFFF))
     slots = sizing.CUCKOO_SLOTS
-    for fp, i, j in zip(fps.tolist(), first.tolist(), second, strict=True):
-        if len(table[i]) < slots:
-            table[i].append(fp)
-        elif len(table[j]) < slots:
-            table[j].append(fp)
-        else:
-            at = j
-            for _ in range(MAX_KICKS):
-                k = rng.randrange(slots)
-                fp, table[at][k] = table[at][k], fp
-                at = (jump[fp] - at) % m
-                if len(table[at]) < slots:
-                    table[at].append(fp)
-                    break
-            else:
-                return None
-    out = np.zeros((m, slots), np.uint16)
-    for i, x in enumerate(table):
-        out[i, : len(x)] = x
-    return Payload(m * slots * s.fp_bits, cells=out.ravel(), array_len=m * slots, seg_count=m)
+    table, load = np.zeros((m, slots), np.uint16), np.zeros(m, np.int64)
+
+    def put(fp: np.ndarray, at: np.ndarray) -> np.ndarray:
+        """Mask of the keys that found no free slot."""
+        slot = load[at] + ranks(at)
+        fits = slot < slots
+        table[at[fits], slot[fits]] = fp[fits]
+        np.add.at(load, at[fits], 1)
+        return ~fits
+
+    left = put(fps, first)
+    fp, at = fps[left], first[left]
+    for _ in range(MAX_ROUNDS):
+        at = (jump[fp] - at) % m
+        left = put(fp, at)
+        fp, at = fp[left], at[left]
+        if not len(fp):
+            return Payload(m * slots * s.fp_bits, cells=table.ravel(), array_len=m * slots, seg_count=m)
+        alone = ranks(at) == 0
+        k = rng.integers(0, slots, int(alone.sum()))
+        out = table[at[alone], k].astype(np.int64)
+        table[at[alone], k] = fp[alone]
+        fp = np.concatenate((out, fp[~alone]))
+        at = np.concatenate((at[alone], (jump[fp[len(out) :]] - at[~alone]) % m))  # those that wait come to the same bucket again
+    return None
 
 
 def ribbon_rows(a: np.ndarray, b: np.ndarray, seed: int, slots: int, bits: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -218,19 +240,26 @@ def build_vqf(keys: np.ndarray, seed: int, s: Spec) -> Payload | None:
     """Puts a tag in the emptier of two blocks; a block is 48 tags and 80 unary bucket sizes."""
     blocks = max(2, -(-len(keys) * 100 // int(sizing.VQF_TAGS * s.max_load * 100)))
     a, b = words(keys, seed)
-    if s.presort and s.kind == "vqf" and s.order == "sorted":
+    in_order = s.presort and s.order == "sorted"
+    if in_order:
         order = np.argsort(high(a), kind="stable")
         a, b = a[order], b[order]
     one, two, bucket, tag = vqf_places(a, b, seed, blocks)
-    load = [0] * blocks
+    load = np.zeros(blocks, np.int64)
     where = np.empty(len(keys), np.int64)
-    for k, (i, j) in enumerate(zip(one.tolist(), two.tolist(), strict=True)):
-        if load[j] < load[i]:
-            i = j
-        if load[i] >= sizing.VQF_TAGS:
-            return None
-        load[i] += 1
-        where[k] = i
+    batch = max(64, blocks // 8)  # so few that loads hardly move while a batch chooses
+    for k in range(0, len(keys), batch):
+        i, j = one[k : k + batch], two[k : k + batch]
+        at = np.where(load[j] < load[i], j, i)
+        # Keys in order of block all choose among few blocks: there every key sees the loads as they are.
+        over = np.full(len(at), in_order) | (load[at] + ranks(at) >= sizing.VQF_TAGS)
+        np.add.at(load, at[~over], 1)
+        for x in np.flatnonzero(over).tolist():  # the emptier block as it is now
+            at[x] = i[x] if load[i[x]] <= load[j[x]] else j[x]
+            if load[at[x]] >= sizing.VQF_TAGS:
+                return None
+            load[at[x]] += 1
+        where[k : k + batch] = at
     order = np.lexsort((tag, bucket, where))
     at = where[order]
     rank = np.arange(len(at)) - np.searchsorted(at, at)

@@ -31,36 +31,67 @@ def key_masks(loc: np.ndarray, keys: np.ndarray, cells: int) -> tuple[np.ndarray
     return count, mask
 
 
-def seed_frontier(count: np.ndarray) -> np.ndarray:
-    """Cells with a single key, in order."""
-    return np.flatnonzero(count == 1)
+#: One key in the packed count of a cell: the count stands above the sum of row numbers.
+ONE = np.int64(1) << np.int64(32)
+ROW = ONE - 1
 
 
+def packed(loc: np.ndarray, cells: int) -> np.ndarray:
+    """Number and row sum of every cell's keys in one word; with one key the sum is its row.
+
+    A sum that runs over its half only adds to the count, so one key is still told.
+    """
+    weight = np.arange(len(loc), dtype=np.float64) + float(ONE)  # exact below 2**20 keys a cell
+    out = np.bincount(loc[:, 0], weights=weight, minlength=cells)
+    for j in range(1, loc.shape[1]):
+        out += np.bincount(loc[:, j], weights=weight, minlength=cells)
+    return out.astype(np.int64)
+
+
+def single(held: np.ndarray) -> np.ndarray:
+    """Mask of packed cells with exactly one key."""
+    return (held >> np.int64(32)) == 1
+
+
+#: Of the late cells that wait, one in so many is taken at a time, and so many at least.
+PATIENCE, LEAST_LATE = 8, 16
+
 Layers = list[tuple[np.ndarray, np.ndarray]]
 
 
-def peel_layers(loc: np.ndarray, cells: int) -> Layers:
-    """Rounds of (rows, own cells); all rows are there exactly if peeling succeeds."""
-    count, mask = accumulate(loc, cells)
-    arity = loc.shape[1]
+def peel_layers(loc: np.ndarray, cells: int, late: int | None = None) -> Layers:
+    """Rounds of (rows, own cells); all rows are there exactly if peeling succeeds.
+
+    ``late``: cells from this one on are owned only in rounds that find no other cell,
+    and then some of them only: what they free may spare the rest.
+    """
+    held, arity = packed(loc, cells), loc.shape[1]
     owner = np.empty(len(loc), np.int64)  # of each row, the cell written last
-    seen = np.empty(cells, np.int32)  # of each cell, the place in the touched list written last
-    frontier = seed_frontier(count)
+    frontier = np.flatnonzero(single(held))
+    waiting = np.zeros(0, np.int64)
     layers: Layers = []
-    while len(frontier):
-        rows = mask[frontier]
+    while len(frontier) or len(waiting):
+        if late is not None:
+            waiting = np.concatenate((waiting, frontier[frontier >= late]))
+            frontier = frontier[frontier < late]
+            if not len(frontier):
+                waiting = np.unique(waiting[single(held[waiting])])
+                take = max(len(waiting) // PATIENCE, min(len(waiting), LEAST_LATE))
+                frontier, waiting = waiting[:take], waiting[take:]
+                if not len(frontier):
+                    continue
+        rows = held[frontier] & ROW
         owner[rows[::-1]] = frontier[::-1]  # frontier is in order: a row keeps its lowest cell
         first = owner[rows] == frontier
-        rows, own = rows[first], frontier[first]
-        layers.append((rows, own))
-        touched = loc[rows].ravel()
-        np.subtract.at(count, touched, 1)
-        np.bitwise_xor.at(mask, touched, np.repeat(rows, arity))
-        touched = touched[count[touched] == 1]
-        place = np.arange(len(touched), dtype=np.int32)
-        seen[touched] = place
-        frontier = touched[seen[touched] == place]
+        if not first.all():
+            rows, frontier = rows[first], frontier[first]
+        layers.append((rows, frontier))
+        touched = loc.take(rows, axis=0).ravel()
+        np.subtract.at(held, touched, np.repeat(rows + ONE, arity))
+        frontier = touched[single(held.take(touched))]
         frontier.sort()
+        if len(frontier) > 1:
+            frontier = frontier[np.concatenate(([True], frontier[1:] != frontier[:-1]))]
     return layers
 
 
@@ -85,8 +116,8 @@ def peel_stack(loc: np.ndarray, cells: int) -> Layers:
     return [(np.array([r]), np.array([c])) for r, c in zip(rows, own, strict=True)]
 
 
-def peel(loc: np.ndarray, cells: int, order: str = "layer") -> Layers:
-    return (peel_layers if order == "layer" else peel_stack)(loc, cells)
+def peel(loc: np.ndarray, cells: int, order: str = "layer", late: int | None = None) -> Layers:
+    return peel_layers(loc, cells, late) if order == "layer" else peel_stack(loc, cells)
 
 
 def peeled(layers: Layers) -> int:
@@ -97,9 +128,9 @@ def assign(layers: Layers, loc: np.ndarray, prints: np.ndarray, cells: int) -> n
     """The cell values: last round first, every key's cells then xor to its fingerprint."""
     out = np.zeros(cells, prints.dtype)
     for rows, own in reversed(layers):
-        value = prints[rows]
+        value, at = prints.take(rows), loc.take(rows, axis=0)
         for j in range(loc.shape[1]):
-            value = value ^ out[loc[rows, j]]
+            value ^= out.take(at[:, j])
         out[own] = value
     return out
 
