@@ -7,32 +7,27 @@ import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
 
-from sieve.functions.hashing import shift_right
 from sieve.operators.build import Filter
-from sieve.operators.contains import Loaded
-from sieve.schema import FILTERS
+from sieve.operators.contains import among, received, ship
 
 
-def held(f: Filter) -> dict[int, dict]:
-    """The filter's rows by shard; callers check ``size_bytes`` first."""
-    return {r["shard"]: {c.name: r[c.name] for c in FILTERS if c.name != "params"} for r in f.table.collect()}
+#: Payload bytes of a filter that a function may carry.
+MOST_BYTES = 512 << 20
 
 
 def probe_udf(spark: SparkSession, f: Filter):
-    """A vectorised function key64 -> boolean over a broadcast payload; null keys are false."""
-    shared, s, bits = spark.sparkContext.broadcast(held(f)), f.spec, f.shard_bits
+    """A vectorised function key64 -> boolean over a broadcast payload; null keys are false.
+
+    The filter's size is checked; it travels as one Arrow stream and is made ready once a worker.
+    """
+    shared, s, bits = spark.sparkContext.broadcast(ship(f, MOST_BYTES)), f.spec, f.shard_bits
 
     @F.pandas_udf("boolean")
     def sieve_probe(key: pd.Series) -> pd.Series:
         there = key.notna().to_numpy()
         x = key.fillna(0).to_numpy(np.int64)
         at = ((x.view(np.uint64) >> np.uint64(1)) >> np.uint64(63 - bits)).astype(np.int64)
-        out = np.zeros(len(x), bool)
-        for k in np.unique(at[there]).tolist():
-            if k in shared.value:
-                mine = (at == k) & there
-                out[mine] = Loaded(shared.value[k], s).contains(x[mine])
-        return pd.Series(out)
+        return pd.Series(among(received(shared.value), s, x, at, there))
 
     return sieve_probe
 
@@ -55,5 +50,3 @@ def register_occupancy(spark: SparkSession) -> None:
 
     spark.udtf.register("sieve_occupancy", Occupancy)
 
-
-__all__ = ["held", "probe_udf", "register_contains", "register_occupancy", "shift_right"]

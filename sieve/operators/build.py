@@ -20,9 +20,8 @@ from sieve.operators.kinds import Payload, build_payload
 from sieve.plans.scratch import materialize
 from sieve.schema import FILTERS, Spec, spec
 
-#: Keys in a shard; the kinds that insert one key after another take smaller shards.
+#: Keys in a shard: 2**20 to 2**21 of them.
 SHARD_LOG2 = 20
-SEQUENTIAL_LOG2 = 16
 
 
 @dataclass(frozen=True)
@@ -86,34 +85,41 @@ def key_table(df: DataFrame, keys: list[str], shard_bits: int, family: str = "xx
 
 
 def _distinct_in_batches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Every key once a batch: of a key in a third of all rows, one row a batch travels."""
     for batch in batches:
         at, keys = np.asarray(batch.column(0)), np.asarray(batch.column(1))
         u, first = np.unique(keys, return_index=True)
         yield pa.RecordBatch.from_arrays([pa.array(at[first]), pa.array(u)], ["shard", "key64"])
 
 
-def build(df: DataFrame, keys: str | list[str], kind: str = "fuse3", *, seed: int = 1, n_hint: int | None = None, shard_bits: int | None = None, filter_id: str = "f", engine: str = "arrow", predistinct: bool = False, keep: bool = True, **how) -> Filter:
+def build(df: DataFrame, keys: str | list[str], kind: str = "fuse3", *, seed: int = 1, n_hint: int | None = None, shard_bits: int | None = None, filter_id: str = "f", engine: str = "arrow", predistinct: bool = True, keep: bool = True, **how) -> Filter:
     """Builds a filter of the given kind over the distinct keys of ``df``.
 
-    n_hint: about how many keys; without it (and without shard_bits) one approximate
-    count decides the number of shards. Sizes never use it: each shard counts its own.
+    n_hint: about how many keys; without it (and without shard_bits) the distinct keys are
+    written as a scratch table first, so ``df`` is read once, and their number decides the
+    number of shards. Sizes never use it: each shard counts its own.
     engine: "sql" builds bloom and blocked by aggregation alone.
-    predistinct: collapse repeated keys in every map batch before the shuffle.
+    predistinct: collapse repeated keys in every map batch before the shuffle; after it
+    they are collapsed in any case, before a shard's keys are gathered.
     keep: write the filter rows as a scratch table, so that probes do not rebuild.
     Null keys are dropped; repeated keys count once; no key gives no row.
     """
     keys = [keys] if isinstance(keys, str) else list(keys)
     s = spec(kind, **how)
+    known = n_hint is not None or shard_bits is not None
+    if not known:
+        own = df.select(key64(*keys, family=s.family).alias("key64")).filter("key64 IS NOT NULL").distinct()
+        own = materialize(own, "keys")
+        n_hint = own.count()
     if shard_bits is None:
-        if n_hint is None:
-            n_hint = df.select(F.approx_count_distinct(key64(*keys, family=s.family))).first()[0]
-        shard_bits = sizing.shard_bits(n_hint, SEQUENTIAL_LOG2 if s.kind in ("cuckoo", "ribbon", "vqf") else SHARD_LOG2)
-    rows = key_table(df, keys, shard_bits, s.family)
+        shard_bits = sizing.shard_bits(n_hint, SHARD_LOG2)
+    rows = key_table(df, keys, shard_bits, s.family) if known else own.select(shard(F.col("key64"), shard_bits).alias("shard"), "key64")
     if engine == "sql":
         table = build_by_aggregation(rows, s, seed, shard_bits, filter_id)
     else:
-        if predistinct:
-            rows = rows.mapInArrow(_distinct_in_batches, "shard int, key64 bigint")
+        if known:
+            rows = rows.mapInArrow(_distinct_in_batches, "shard int, key64 bigint") if predistinct else rows
+            rows = rows.repartition("shard").distinct()  # behind the one exchange, by streaming aggregation
 
         def shard_row(table: pa.Table) -> pa.Table:
             at = int(table.column(0)[0].as_py())

@@ -2,9 +2,11 @@
 
 from __future__ import annotations
 
+import uuid
 from functools import reduce
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column
 from pyspark.sql import functions as F
 
@@ -88,6 +90,48 @@ def condition(key64: Column, f: str, s: Spec) -> Column:
     return found.bitwiseXOR(a).bitwiseAND(F.lit(mask)) == 0
 
 
+def ship(f, limit: int) -> bytes:
+    """A name and a filter's rows as one Arrow stream, to be broadcast; refused beyond ``limit`` bytes of payload."""
+    if f.size_bytes() > limit:
+        raise ValueError(f"a filter of more than {limit} bytes is not broadcast")
+    table = f.table.drop("params").toArrow()
+    sink = pa.BufferOutputStream()
+    sink.write(uuid.uuid4().bytes)
+    with pa.ipc.new_stream(sink, table.schema) as out:
+        out.write_table(table)
+    return sink.getvalue().to_pybytes()
+
+
+_RECEIVED: dict[bytes, dict] = {}
+
+
+def received(blob: bytes) -> dict[int, dict]:
+    """The rows of a shipped filter by shard, arrays without a copy; kept for the last few filters of a worker."""
+    name = blob[:16]
+    if name not in _RECEIVED:
+        while len(_RECEIVED) >= 4:
+            _RECEIVED.pop(next(iter(_RECEIVED)))
+        table = pa.ipc.open_stream(pa.py_buffer(blob).slice(16)).read_all()
+        rows = {}
+        for i in range(len(table)):
+            row = {c: table.column(c)[i] for c in table.column_names}
+            rows[row["shard"].as_py()] = {c: v.values.to_numpy() if isinstance(v, (pa.ListScalar, pa.LargeListScalar)) and v.is_valid else v.as_py() for c, v in row.items()}
+        _RECEIVED[name] = rows
+    return _RECEIVED[name]
+
+
+def among(held: dict[int, dict], s: Spec, keys: np.ndarray, at: np.ndarray, there: np.ndarray) -> np.ndarray:
+    """A flag for every key by its shard; a shard's filter is made ready once a worker."""
+    flag = np.zeros(len(keys), bool)
+    for k in np.unique(at[there]).tolist():
+        if k in held:
+            if "loaded" not in held[k]:
+                held[k]["loaded"] = Loaded(held[k], s)
+            mine = np.flatnonzero((at == k) & there)
+            flag[mine] = held[k]["loaded"].contains(keys[mine])
+    return flag
+
+
 class Loaded:
     """One shard's filter in numpy."""
 

@@ -13,6 +13,7 @@ from pyspark.sql.window import Window
 
 from sieve.operators import probe
 from sieve.operators.build import Filter, build
+from sieve.plans.names import fresh
 
 #: What a gate on the left side may do: drop its sure non-members, or only route them.
 LEGAL = {"inner": "drop", "left_semi": "drop", "right_outer": "drop", "left_outer": "route", "left_anti": "route", "full_outer": "route"}
@@ -46,8 +47,9 @@ def gated(fact: DataFrame, dim: DataFrame, on, how: str = "inner", kind: str = "
     r = dim.alias("r")
     if legal_prefilter(how) == "drop":
         return probe.semi(fact, f, left, plan).alias("l").join(r, _test(pairs), how)
-    flagged = probe.contains(fact, f, left, "__maybe", plan)
-    maybe, sure = flagged.filter("__maybe").drop("__maybe"), flagged.filter("NOT __maybe").drop("__maybe")
+    [flag] = fresh(fact.columns, "maybe")
+    flagged = probe.contains(fact, f, left, flag, plan)
+    maybe, sure = flagged.filter(F.col(flag)).drop(flag), flagged.filter(~F.col(flag)).drop(flag)
     if how == "left_anti":
         return maybe.alias("l").join(r, _test(pairs), "left_anti").unionByName(sure)
     joined = maybe.alias("l").join(r, _test(pairs), how)

@@ -7,7 +7,6 @@ a shard that retries costs no shuffle.
 
 from __future__ import annotations
 
-import random
 from dataclasses import dataclass, field
 
 import numpy as np
@@ -191,42 +190,81 @@ def ribbon_rows(a: np.ndarray, b: np.ndarray, seed: int, slots: int, bits: int)
     return reduce32(high(a), slots - 63), b | np.uint64(1), rhs
 
 
+def eliminate(start: np.ndarray, coeff: np.ndarray, rhs: np.ndarray, slots: int) -> tuple[np.ndarray, np.ndarray] | None:
+    """Rows (coefficients, right-hand sides) by slot, in rounds over all equations that are left.
+
+    In a round the first equation at every empty slot settles there; the others add
+    the row at their slot and move on to their next coefficient. None if one contradicts.
+    """
+    row_c, row_r = np.zeros(slots, np.uint64), np.zeros(slots, np.uint64)
+    owner = np.empty(slots, np.int64)
+    i, c, r = start, coeff, rhs
+    while len(i):
+        free = np.flatnonzero(row_c[i] == 0)
+        owner[i[free][::-1]] = free[::-1]
+        put = free[owner[i[free]] == free]
+        row_c[i[put]], row_r[i[put]] = c[put], r[put]
+        stay = np.ones(len(i), bool)
+        stay[put] = False
+        i, c, r = i[stay], c[stay], r[stay]
+        c, r = c ^ row_c[i], r ^ row_r[i]
+        gone = c == 0
+        if gone.any():
+            if r[gone].any():
+                return None
+            i, c, r = i[~gone], c[~gone], r[~gone]
+        step = np.bitwise_count((c & (~c + np.uint64(1))) - np.uint64(1))
+        i, c = i + step, c >> step.astype(np.uint64)
+    return row_c, row_r
+
+
+def solve(row_c: np.ndarray, row_r: np.ndarray, free: np.ndarray, bits: int) -> np.ndarray:
+    """Solution words (bits x blocks of 64 slots) of rows by slot; empty slots take their ``free`` value.
+
+    Within a block of 64 slots rows are reduced until each has its own slot and slots of
+    the next block alone, in all blocks at once; then blocks are solved from the last.
+    """
+    blocks = -(-len(row_c) // 64)
+    pad = blocks * 64 - len(row_c)
+    c = np.pad(row_c, (0, pad)).reshape(blocks, 64)
+    r = np.pad(np.where(row_c > 0, row_r, free), (0, pad)).reshape(blocks, 64)
+    place = np.arange(64, dtype=np.uint64)
+    ahead = np.empty((blocks, 64), np.uint64)
+    value = np.empty((blocks, bits, 64), np.uint8)
+    one, plane = np.uint64(1), np.arange(bits, dtype=np.uint64)[None, :, None]
+    for k in range(0, blocks, 256):  # stays in cache
+        own = np.ascontiguousarray((c[k : k + 256] << place).T)
+        after = np.ascontiguousarray(((c[k : k + 256] >> one) >> (np.uint64(63) - place)).T)
+        right = np.ascontiguousarray(r[k : k + 256].T)
+        for j in range(63, 0, -1):
+            adds = ~(((own[:j] >> np.uint64(j)) & one) - one)  # all ones where the row has slot j
+            after[:j] ^= adds & after[j]
+            right[:j] ^= adds & right[j]
+        ahead[k : k + 256] = after.T
+        value[k : k + 256] = (right.T[:, None, :] >> plane) & one
+    out = np.zeros((blocks + 1, bits), np.uint64)
+    for k in range(blocks - 1, -1, -1):
+        odd = (np.bitwise_count(ahead[k] & out[k + 1][:, None]) & np.uint8(1)) ^ value[k]
+        out[k] = np.packbits(odd, axis=1, bitorder="little").view(np.uint64).ravel()
+    return out[:blocks].T
+
+
 def build_ribbon(keys: np.ndarray, seed: int, s: Spec, attempt: int = 0) -> Payload | None:
     slots = sizing.ribbon_slots(len(keys), attempt)
     a, b = words(keys, seed)
     start, coeff, rhs = ribbon_rows(a, b, seed, slots, s.fp_bits)
     order = np.argsort(start, kind="stable")
-    homogeneous = s.homogeneous
-    row_c, row_r = [0] * slots, [0] * slots
-    for i, c, r in zip(start[order].tolist(), coeff[order].tolist(), rhs[order].tolist(), strict=True):
-        if homogeneous:
-            r = 0
-        while row_c[i]:
-            c ^= row_c[i]
-            r ^= row_r[i]
-            if not c:
-                if r:
-                    return None
-                break
-            step = (c & -c).bit_length() - 1
-            i += step
-            c >>= step
-        else:
-            row_c[i], row_r[i] = c, r
-    rng = random.Random(seed)
-    windows = [0] * s.fp_bits  # of each plane, the 64 solution bits after the slot
+    found = eliminate(start[order], coeff[order], np.zeros_like(rhs) if s.homogeneous else rhs[order], slots)
+    if found is None:
+        return None
+    free = np.zeros(slots, np.uint64)
+    if s.homogeneous:
+        free = np.random.Generator(np.random.PCG64(seed & 0xFFFFFFFFFFFFFFFF)).integers(0, 1 << s.fp_bits, slots, dtype=np.uint64)
     n_words = slots // 64 + 2
-    planes = np.zeros((s.fp_bits, n_words * 64), np.uint8)
-    full = (1 << 64) - 1
-    for i in range(slots - 1, -1, -1):
-        c, r = row_c[i], row_r[i]
-        free = rng.getrandbits(s.fp_bits) if homogeneous and not c else 0
-        for p in range(s.fp_bits):
-            bit = (((c >> 1) & windows[p]).bit_count() + (r >> p)) & 1 if c else (free >> p) & 1
-            windows[p] = ((windows[p] << 1) | bit) & full
-            planes[p, i] = bit
-    packed = np.packbits(planes.ravel(), bitorder="little").view(np.uint64)
-    return Payload(slots * s.fp_bits, words=packed, array_len=slots, seg_len=n_words)
+    planes = np.zeros((s.fp_bits, n_words), np.uint64)
+    solved = solve(*found, free, s.fp_bits)
+    planes[:, : solved.shape[1]] = solved
+    return Payload(slots * s.fp_bits, words=planes.ravel(), array_len=slots, seg_len=n_words)
 
 
 def vqf_places(a: np.ndarray, b: np.ndarray, seed: int, blocks: int) -> tuple[np.ndarray, ...]:

@@ -14,13 +14,18 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from sieve.functions.keys import key64, shard
 from sieve.operators.build import Filter
-from sieve.operators.contains import Loaded, condition, native
+from sieve.operators.contains import Loaded, among, condition, native, received, ship
+from sieve.plans.names import fresh
+from sieve.schema import FILTERS
 
 #: Payload bytes that are broadcast at most; larger filters are met by a shuffle.
 BROADCAST_BYTES = 512 << 20
+#: Tasks that share the probes of a shard where filters are met by a shuffle through Arrow.
+SALTS = 8
 
 
 def strategy(f: Filter, limit: int = BROADCAST_BYTES) -> str:
@@ -30,8 +35,11 @@ def strategy(f: Filter, limit: int = BROADCAST_BYTES) -> str:
     return "broadcast" if native(f.spec) else "arrow"
 
 
-def _keyed(df: DataFrame, f: Filter, keys: list[str]) -> DataFrame:
-    return df.withColumn("__key", key64(*keys, family=f.spec.family)).withColumn("__shard", shard(F.col("__key"), f.shard_bits))
+def _keyed(df: DataFrame, f: Filter, keys: list[str]) -> tuple[DataFrame, str, str]:
+    """``df`` with two more columns, and their names: the key and its shard."""
+    key, at = fresh(df.columns, "key", "shard")
+    rows = df.withColumn(key, key64(*keys, family=f.spec.family))
+    return rows.withColumn(at, shard(F.col(key), f.shard_bits)), key, at
 
 
 def _payload(f: Filter) -> DataFrame:
@@ -44,59 +52,65 @@ def _payload(f: Filter) -> DataFrame:
 
 
 def _joined(df: DataFrame, f: Filter, keys: list[str], how: str, plan: str) -> DataFrame:
-    rows = _keyed(df, f, keys).alias("p")
+    rows, key, at = _keyed(df, f, keys)
     side = _payload(f)
     side = (F.broadcast(side) if plan == "broadcast" else side.hint("shuffle_hash")).alias("f")
-    test = (F.col("p.__shard") == F.col("f.shard")) & condition(F.col("p.__key"), "f", f.spec)
-    return rows.join(side, test, how)
+    test = (F.col(f"p.`{at}`") == F.col("f.shard")) & condition(F.col(f"p.`{key}`"), "f", f.spec)
+    joined = rows.alias("p").join(side, test, how)
+    return joined.drop(key, at) if how in ("left_semi", "left_anti") else joined
 
 
 def contains_arrow(df: DataFrame, f: Filter, keys: list[str], out: str = "maybe_member") -> DataFrame:
-    """Adds a flag by numpy gathers over a broadcast payload (size checked by ``strategy``)."""
-    from sieve.schema import FILTERS
-
-    held = {r["shard"]: {c.name: r[c.name] for c in FILTERS if c.name not in ("params",)} for r in f.table.collect()}
-    shared, s = df.sparkSession.sparkContext.broadcast(held), f.spec
-    rows = _keyed(df, f, keys)
-    schema = df.schema.simpleString()[7:-1]
+    """Adds a flag by numpy gathers over a broadcast payload, whose size is checked."""
+    shared, s = df.sparkSession.sparkContext.broadcast(ship(f, BROADCAST_BYTES)), f.spec
+    rows, _, _ = _keyed(df, f, keys)
     names = df.columns
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        loaded: dict[int, Loaded] = {}
+        held = received(shared.value)
         for batch in batches:
-            key = batch.column(len(names))
+            key, at = batch.column(len(names)), np.asarray(batch.column(len(names) + 1).fill_null(-1))
             there = ~np.asarray(key.is_null())
-            values = np.asarray(key.fill_null(0)).astype(np.int64)
-            at = np.asarray(batch.column(len(names) + 1).fill_null(-1))
-            flag = np.zeros(len(values), bool)
-            for k in np.unique(at[there]).tolist():
-                if k in shared.value:
-                    if k not in loaded:
-                        loaded[k] = Loaded(shared.value[k], s)
-                    mine = np.flatnonzero((at == k) & there)
-                    flag[mine] = loaded[k].contains(values[mine])
+            flag = among(held, s, np.asarray(key.fill_null(0)).astype(np.int64), at, there)
             yield pa.RecordBatch.from_arrays([*batch.columns[: len(names)], pa.array(flag)], [*names, out])
 
-    return rows.mapInArrow(run, f"{schema}, `{out}` boolean" if names else f"`{out}` boolean")
+    return rows.mapInArrow(run, T.StructType([*df.schema, T.StructField(out, T.BooleanType())]))
 
 
-def contains_cogroup(df: DataFrame, f: Filter, keys: list[str], out: str = "maybe_member") -> DataFrame:
-    """Adds a flag where probe rows meet their shard's filter row in a cogroup."""
-    s, names = f.spec, df.columns
-    rows = _keyed(df, f, keys)
-    schema = f"{df.schema.simpleString()[7:-1]}, `{out}` boolean"
+def contains_cogroup(df: DataFrame, f: Filter, keys: list[str], out: str = "maybe_member", salts: int = SALTS) -> DataFrame:
+    """Adds a flag where probe rows meet their shard's filter row, sorted before them.
 
-    def run(probes: pa.Table, filters: pa.Table) -> pa.Table:
-        key = probes.column("__key")
-        flag = np.zeros(len(probes), bool)
-        if len(filters) and len(probes):
-            there = ~np.asarray(key.is_null())
-            values = np.asarray(key.fill_null(0)).astype(np.int64)
-            flag[there] = Loaded({k: v for k, v in filters.to_pylist()[0].items() if k != "params"}, s).contains(values[there])
-        return probes.select(names).append_column(out, pa.array(flag))
+    Rows stream past one filter at a time; a shard's probes are dealt to ``salts`` tasks
+    and no group of them is gathered.
+    """
+    s, names = f.spec, df.columns
+    rows, key, at = _keyed(df, f, keys)
+    salt, row, side = fresh(rows.columns, "salt", "row", "side")
+    payload = T.StructType([x for x in FILTERS if x.name != "params"])
+    spread = F.pmod(F.xxhash64(*[F.col(f"`{c}`") for c in (*keys, at)], F.spark_partition_id()), F.lit(salts)).cast("int")
+    probes = rows.select(F.col(f"`{at}`"), spread.alias(salt), F.col(f"`{key}`"), F.struct(*[F.col(f"`{c}`") for c in names]).alias(row), F.lit(None).cast(payload).alias(side))
+    filters = f.table.select(F.col("shard").alias(at), F.explode(F.sequence(F.lit(0), F.lit(salts - 1))).alias(salt), F.lit(None).cast("long").alias(key), F.lit(None).cast(probes.schema[row].dataType).alias(row), F.struct(*payload.names).alias(side))
+    both = filters.unionByName(probes).repartition(at, salt).sortWithinPartitions(at, salt, F.col(side).isNull())
 
-    side = f.table.withColumnRenamed("shard", "__shard").drop("params")
-    return rows.groupBy("__shard").cogroup(side.groupBy("__shard")).applyInArrow(run, schema)
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: tuple[int, Loaded] | None = None
+        for batch in batches:
+            shards, values = batch.column(0).fill_null(-1), batch.column(2)
+            there = ~np.asarray(values.is_null())
+            at_, key_ = np.asarray(shards), np.asarray(values.fill_null(0)).astype(np.int64)
+            is_filter, flag = ~np.asarray(batch.column(4).is_null()), np.zeros(len(batch), bool)
+            cuts = [0, *np.flatnonzero(is_filter).tolist(), len(batch)]
+            for a, b in zip(cuts[:-1], cuts[1:], strict=True):
+                if a < b and is_filter[a]:
+                    held = (int(at_[a]), Loaded(batch.column(4)[a].as_py(), s))
+                mine = a + np.flatnonzero(there[a:b] & (at_[a:b] == (held[0] if held else -2)))
+                if len(mine):
+                    flag[mine] = held[1].contains(key_[mine])
+            own = np.flatnonzero(~is_filter)
+            struct = batch.column(3).take(pa.array(own))
+            yield pa.RecordBatch.from_arrays([*(struct.field(i) for i in range(len(names))), pa.array(flag[own])], [*names, out])
+
+    return both.mapInArrow(run, T.StructType([*df.schema, T.StructField(out, T.BooleanType())]))
 
 
 def contains(df: DataFrame, f: Filter, keys: str | list[str], out: str = "maybe_member", plan: str | None = None) -> DataFrame:
@@ -111,13 +125,19 @@ def contains(df: DataFrame, f: Filter, keys: str | list[str], out: str = "maybe_
     return joined.select(*[F.col(f"p.`{c}`") for c in df.columns], F.col("f.shard").isNotNull().alias(out))
 
 
+def _flagged(df: DataFrame, f: Filter, keys: list[str], plan: str, wanted: bool) -> DataFrame:
+    [flag] = fresh(df.columns, "maybe")
+    told = contains(df, f, keys, flag, plan)
+    return told.filter(F.col(flag) if wanted else ~F.col(flag)).drop(flag)
+
+
 def semi(df: DataFrame, f: Filter, keys: str | list[str], plan: str | None = None) -> DataFrame:
     """Rows that may be members; all members are among them."""
     keys = [keys] if isinstance(keys, str) else list(keys)
     plan = plan or strategy(f)
     if plan in ("arrow", "cogroup"):
-        return contains(df, f, keys, "__maybe", plan).filter("__maybe").drop("__maybe")
-    return _joined(df, f, keys, "left_semi", plan).drop("__key", "__shard")
+        return _flagged(df, f, keys, plan, True)
+    return _joined(df, f, keys, "left_semi", plan)
 
 
 def anti(df: DataFrame, f: Filter, keys: str | list[str], plan: str | None = None) -> DataFrame:
@@ -125,8 +145,8 @@ def anti(df: DataFrame, f: Filter, keys: str | list[str], plan: str | None = Non
     keys = [keys] if isinstance(keys, str) else list(keys)
     plan = plan or strategy(f)
     if plan in ("arrow", "cogroup"):
-        return contains(df, f, keys, "__maybe", plan).filter("NOT __maybe").drop("__maybe")
-    return _joined(df, f, keys, "left_anti", plan).drop("__key", "__shard")
+        return _flagged(df, f, keys, plan, False)
+    return _joined(df, f, keys, "left_anti", plan)
 
 
 def all_of(df: DataFrame, gates: list[tuple[Filter, str | list[str]]], pass_rates: list[float] | None = None) -> DataFrame:
@@ -140,11 +160,12 @@ def all_of(df: DataFrame, gates: list[tuple[Filter, str | list[str]]], pass_rate
 def any_of(df: DataFrame, gates: list[tuple[Filter, str | list[str]]]) -> DataFrame:
     """Rows that pass at least one gate."""
     names = df.columns
-    for i, (f, keys) in enumerate(gates):
-        df = contains(df, f, keys, f"__any{i}")
+    flags = fresh(names, *(f"any{i}" for i in range(len(gates))))
+    for flag, (f, keys) in zip(flags, gates, strict=True):
+        df = contains(df, f, keys, flag)
     test: Column = F.lit(False)
-    for i in range(len(gates)):
-        test = test | F.col(f"__any{i}")
+    for flag in flags:
+        test = test | F.col(flag)
     return df.filter(test).select(*[F.col(f"`{c}`") for c in names])
 
 

@@ -303,3 +303,52 @@ def test_probes_tell_small_errors_apart():
         eps = 2.0**-bits
         n = invariants.outside_probes(eps)
         assert n >= (10**7 if bits >= 15 else 200_000) and 0 < eps * n - 5 * (eps * n) ** 0.5 and eps * n + 5 * (eps * n) ** 0.5 < 1.5 * eps * n
+
+
+# --- safety at scale ---------------------------------------------------------------
+
+
+@pytest.mark.parametrize("plan", ["broadcast", "shuffle", "arrow", "cogroup"])
+def test_clashing_columns_survive_every_plan(spark, plan):
+    names = ["k", "__key", "key", "Shard", "__shard", "maybe", "__maybe", "salt", "row", "side", "f", "p"]
+    df = spark.createDataFrame([(i if i % 7 else None, *range(1, len(names))) for i in range(200)], ", ".join(f"`{n}` bigint" for n in names))
+    f = build(spark.range(0, 100).withColumnRenamed("id", "k"), "k", shard_bits=2)
+    for got in (probe.semi(df, f, "k", plan), probe.anti(df, f, "k", plan)):
+        assert got.columns == names
+    members = [r for r in probe.semi(df, f, "k", plan).collect() if r["k"] is not None]
+    assert {r["k"] for r in members} >= {i for i in range(100) if i % 7} and all(tuple(r)[1:] == tuple(range(1, len(names))) for r in members)
+    assert probe.semi(df, f, "k", plan).count() + probe.anti(df, f, "k", plan).count() == 200
+    assert probe.any_of(df.withColumnRenamed("f", "any0"), [(f, "k"), (f, "key")]).columns == [n if n != "f" else "any0" for n in names]
+
+
+def test_a_hot_key_is_collapsed_before_its_shard_is_gathered(spark):
+    hot = spark.range(0, 400_000).select(F.when(F.col("id") % 100 > 0, F.lit(5)).otherwise(F.col("id")).alias("k"))
+    want = spark.range(0, 400_000, 100).withColumnRenamed("id", "k").unionByName(spark.createDataFrame([(5,)], "k bigint"))
+    for how in ({"shard_bits": 1}, {"shard_bits": 1, "predistinct": False}, {"n_hint": 4000}, {}):
+        a, b = build(hot, "k", **how), build(want, "k", **how)
+        cells = lambda f: sorted((r["shard"], r["n"], r["cells8"]) for r in f.table.collect())
+        assert cells(a) == cells(b)
+    lazy = build(hot, "k", shard_bits=1, keep=False)
+    plan = lazy.table._jdf.queryExecution().executedPlan().toString()
+    assert plan.count("Exchange hashpartitioning") == 1 and plan.index("HashAggregate") < plan.index("Exchange")
+
+
+def test_index_asks_files_without_a_product_join(spark, tmp_path):
+    from sieve.sources import index
+
+    spark.range(0, 4000).repartitionByRange(8, "id").write.parquet(str(tmp_path / "t"))
+    made = index.build_index(spark, str(tmp_path / "t"), "id")
+    values = spark.createDataFrame([(3,), (3999,), (10**9,)], "id bigint")
+    assert "NestedLoop" not in index.candidates(made, values, "id")._jdf.queryExecution().executedPlan().toString()
+    assert 2 <= index.candidates(made, values, "id").count() <= 4
+    for most in (10, 1):
+        assert sorted(r[0] for r in index.read_skipping(spark, str(tmp_path / "t"), made, values, "id", most).collect()) == [3, 3999]
+
+
+def test_large_filters_are_not_shipped(spark):
+    from sieve.operators.contains import received, ship
+
+    f = build(spark.range(0, 5000).withColumnRenamed("id", "k"), "k", shard_bits=2)
+    assert sorted(received(ship(f, 1 << 20))) == [0, 1, 2, 3]
+    with pytest.raises(ValueError):
+        ship(f, 1000)
