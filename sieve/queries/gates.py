@@ -38,7 +38,8 @@ KINDS = {
     "xor8_semi": ("xor", {}), "xor16_semi": ("xor", {"fp_bits": 16}), "bloom12_semi": ("bloom", {"bits_per_key": 12.0}), "bloom16_semi": ("bloom", {"bits_per_key": 16.0}), "blocked_semi": ("blocked", {}),
     "cuckoo12_semi": ("cuckoo", {"fp_bits": 12}), "cuckoo16_semi": ("cuckoo", {"fp_bits": 16}), "ribbon8_std_semi": ("ribbon", {"fp_bits": 8}), "ribbon15_std_semi": ("ribbon", {"fp_bits": 15}),
     "ribbon8_homog_semi": ("ribbon", {"fp_bits": 8, "homogeneous": True}), "ribbon15_homog_semi": ("ribbon", {"fp_bits": 15, "homogeneous": True}), "vqf_semi": ("vqf", {"max_load": 0.93}), "xorplus_semi": ("xorplus", {}),
-    "bloom_by_aggregation_semi": ("bloom", {"engine": "sql"}), "blocked_by_aggregation_semi": ("blocked", {"engine": "sql"}), "fuse5_semi": ("fuse5", {"size_factor": 1.35}), "overlap_semi": ("fuse3", {"layout": "overlap", "size_factor": 1.4}),
+    "bloom_by_aggregation_semi": ("bloom", {"engine": "sql"}), "blocked_by_aggregation_semi": ("blocked", {"engine": "sql"}), "fuse5_semi": ("fuse5", {"size_factor": 1.35}),
+    "fuse6_semi": ("fuse6", {"size_factor": 1.5}), "fuse7_semi": ("fuse7", {"size_factor": 1.65}), "fuse8_semi": ("fuse8", {"size_factor": 1.8}), "overlap_semi": ("fuse3", {"layout": "overlap", "size_factor": 1.4}),
     "plain_fuse_semi": ("fuse3", {"layout": "plain"}), "fuse3_32bit_semi": ("fuse3", {"fp_bits": 32}), "cuckoo_pow2_semi": ("cuckoo", {"power_of_two": True, "max_load": 0.96}), "murmur_family_semi": ("fuse3", {"family": "murmur64"}), "md5_family_semi": ("fuse3", {"family": "md5"}),
 }
 _QUARTER = "SELECT l_returnflag, count(*) AS n_lines, count(DISTINCT l_orderkey) AS n_orders FROM lineitem WHERE l_orderkey IN (SELECT o_orderkey FROM orders WHERE o_orderkey % 4 = 0) GROUP BY l_returnflag"
@@ -165,18 +166,21 @@ def composite_key_gate(spark, sf_dir):
     return joins.semi(lines, members, [(k, k) for k in keys]).groupBy("l_returnflag").agg(F.count("*").alias("n_lines"))
 
 
-_GRAMS = "SELECT {id} AS id, unnest(list_transform(range(1, len(w) - 6), lambda i: array_to_string(w[i:i + 7], ' '))) AS g FROM (SELECT {id}, list_filter(string_split_regex(lower(text), '[^a-z]+'), lambda x: x <> '') AS w FROM {t})"
+_GRAMS = "SELECT source, id, unnest(list_transform(range(1, len(w) - 6), lambda i: array_to_string(w[i:i + 7], ' '))) AS g FROM (SELECT {source} AS source, {id} AS id, list_filter(string_split_regex(lower({text}), '[^a-z]+'), lambda x: x <> '') AS w FROM {t})"
 
 
-def _grams(df: DataFrame, key: str) -> DataFrame:
+def _grams(df: DataFrame, key: str, text: str = "text") -> DataFrame:
     """(id, g): runs of eight words."""
-    w = F.filter(F.split(F.lower("text"), "[^a-z]+"), lambda x: x != "")
+    w = F.filter(F.split(F.lower(text), "[^a-z]+"), lambda x: x != "")
     n = F.size("w")
     grams = F.when(n >= 8, F.transform(F.sequence(F.lit(1), n - 7), lambda i: F.array_join(F.slice("w", i, 8), " ")))
     return df.select(F.col(key).alias("id"), w.alias("w")).select("id", F.explode(grams).alias("g"))
 
 
-@_query(f"SELECT id AS doc_id, count(*) AS n_hits, count(DISTINCT g) AS n_grams FROM ({_GRAMS.format(id='doc_id', t='documents')}) WHERE g IN (SELECT g FROM ({_GRAMS.format(id='item_id', t='benchmark')})) GROUP BY id")
+_BENCH = _GRAMS.format(source="'benchmark'", id="item_id", text="text", t="benchmark")
+
+
+@_query(f"SELECT id AS doc_id, count(*) AS n_hits, count(DISTINCT g) AS n_grams FROM ({_GRAMS.format(source="'documents'", id='doc_id', text='text', t='documents')}) WHERE g IN (SELECT g FROM ({_BENCH})) GROUP BY id")
 def contamination_shingles(spark, sf_dir):
     """Documents with eight-word runs of the benchmark: the shipped filter probes every run."""
     runs = _grams(table(spark, sf_dir, "documents"), "doc_id")
@@ -184,6 +188,21 @@ def contamination_shingles(spark, sf_dir):
     return kept.groupBy(F.col("id").alias("doc_id")).agg(F.count("*").alias("n_hits"), F.count_distinct("g").alias("n_grams"))
 
 
+_OTHERS = " UNION ALL ".join(_GRAMS.format(source=f"'{t}'", id=i, text=x, t=t) for t, i, x in (("pages", "page_id", "html"), ("conversations", "conv_id", "text")))
+
+
+@_query(f"SELECT source, id, count(*) AS n_hits, count(DISTINCT g) AS n_grams FROM ({_OTHERS}) WHERE g IN (SELECT g FROM ({_BENCH})) GROUP BY source, id")
+def contamination_of_other_sources(spark, sf_dir):
+    """The same filter, built once, probed by the runs of pages and of conversations."""
+    members = _grams(table(spark, sf_dir, "benchmark"), "item_id").select("g")
+    f, out = build(members, "g", fp_bits=16), None
+    for name, key, text in (("pages", "page_id", "html"), ("conversations", "conv_id", "text")):
+        runs = _grams(table(spark, sf_dir, name), key, text)
+        kept = joins.gated(runs, members, "g", "left_semi", f=f).groupBy(F.lit(name).alias("source"), "id").agg(F.count("*").alias("n_hits"), F.count_distinct("g").alias("n_grams"))
+        out = kept if out is None else out.unionByName(kept)
+    return out
+
+
 @_query("SELECT count(*) AS n_lines FROM (SELECT nullif(l_orderkey, 0) AS k FROM lineitem) WHERE k IN (SELECT nullif(o_orderkey, 0) FROM orders WHERE o_orderkey % 2 = 0 AND nullif(o_orderkey, 0) IS NOT NULL)")
 def null_key_policy(spark, sf_dir):
     """A null key is never a member and never passes."""

@@ -12,7 +12,7 @@ from sieve.functions import measures, theory
 from sieve.functions.hashing import locations, words
 from sieve.functions.keys import key64
 from sieve.operators import joins, probe, relational
-from sieve.operators.build import build, build_keys
+from sieve.operators.build import build, build_keys, key_table
 from sieve.operators.kinds import fuse_shape
 from sieve.operators.peel import assign, lookup, peel, peeled
 from sieve.plans.scratch import materialize
@@ -332,33 +332,80 @@ def bloom_for_target_error(spark, sf_dir):
     return spark.createDataFrame(rows, "eps double, within boolean")
 
 
-@_query("SELECT kind, true AS ordered FROM (VALUES ('blocked over bloom'), ('bloom over xor'), ('vqf over xor'), ('xor over fuse3'), ('fuse3 over fuse4')) t(kind)")
+@_query("SELECT kind, true AS ordered FROM (VALUES ('blocked over bloom'), ('bloom over xor'), ('vqf over xor'), ('xor over xorplus'), ('xor over fuse3'), ('fuse3 over fuse4'), ('xorplus at its published size')) t(kind)")
 def space_order(spark, sf_dir):
     """Overhead over the information bound, worst first, at the error each filter measures."""
-    rows = {r["filter"]: r["overhead"] for r in measure(np.arange(1 << 17, dtype=np.int64), ["blocked-12", "bloom-12", "vqf-8", "xor-8", "fuse3-8", "fuse4-8"], n_probe=400_000, repeats=1)}
-    pairs = (("blocked-12", "bloom-12"), ("bloom-12", "xor-8"), ("vqf-8", "xor-8"), ("xor-8", "fuse3-8"), ("fuse3-8", "fuse4-8"))
-    return spark.createDataFrame([(f"{a.split('-')[0]} over {b.split('-')[0]}", bool(rows[a] > rows[b])) for a, b in pairs], "kind string, ordered boolean")
+    measured = measure(np.arange(1 << 17, dtype=np.int64), ["blocked-12", "bloom-12", "vqf-8", "xor-8", "xorplus-8", "fuse3-8", "fuse4-8"], n_probe=1_000_000, repeats=1)
+    rows = {r["filter"]: r["overhead"] for r in measured}
+    pairs = (("blocked-12", "bloom-12"), ("bloom-12", "xor-8"), ("vqf-8", "xor-8"), ("xor-8", "xorplus-8"), ("xor-8", "fuse3-8"), ("fuse3-8", "fuse4-8"))
+    told = [(f"{a.split('-')[0]} over {b.split('-')[0]}", bool(rows[a] > rows[b])) for a, b in pairs]
+    plus = next(r["bits_per_key"] for r in measured if r["filter"] == "xorplus-8")
+    told.append(("xorplus at its published size", bool(abs(plus - (1.0824 * 8 + 0.5125)) <= 0.05)))
+    return spark.createDataFrame(told, "kind string, ordered boolean")
 
 
 @_query(None)
 def size_sweep_table(spark, sf_dir):
-    """Build time and bits per key of xor and fuse filters as the set grows."""
-    from sieve.plans.workloads import size_sweep
+    """Build time and bits per key of xor and fuse filters as the set grows: key sets of the tables, then generated keys."""
+    from sieve.plans.workloads import size_sweep, table_key_sets
 
-    return size_sweep(spark, [10_000, 100_000, 1_000_000])
+    return size_sweep(spark, table_key_sets(spark, sf_dir), [1 << 20, 1 << 21])
 
 
 @_query(None)
-def parallelism_table(spark, sf_dir):
-    """Build seconds of one member set cut into more and more shards, which build in parallel."""
-    import time
+def failure_curve(spark, sf_dir):
+    """Share of first seeds that fail, by kind and number of keys, no size left out: 100 seeds each."""
+    jobs = [(kind, n, seed) for kind in ("fuse3", "fuse4", "xor") for n in (5, 10, 30, 100, 300, 1000, 3000, 10_000, 30_000) for seed in range(100)]
+
+    def run(batches):
+        import pandas as pd
 
+        for x in batches:
+            sets = {n: np.random.default_rng(n).integers(-(2**63), 2**63 - 1, n, dtype=np.int64) for n in set(x["n"])}
+            tries = [build_keys(np.unique(sets[n]), spec(k), int(seed) + 10_000)[2] for k, n, seed in zip(x["kind"], x["n"], x["seed"], strict=True)]
+            yield pd.DataFrame({"kind": x["kind"], "n": x["n"], "tries": tries})
+
+    tried = spark.createDataFrame(jobs, "kind string, n long, seed int").repartition(32).mapInPandas(run, "kind string, n long, tries int")
+    return tried.groupBy("kind", "n").agg(F.avg((F.col("tries") > 1).cast("double")).alias("failure_rate"), F.max("tries").alias("most_tries"))
+
+
+@_query("SELECT shards, (SELECT count(*) FROM lineitem) AS n FROM (VALUES (1), (4), (16)) t(shards)")
+def sharded_builds_have_all_keys(spark, sf_dir):
+    """One member set cut into more and more shards, which build in parallel; every key is in one of them."""
     lines, rows = table(spark, sf_dir, "lineitem"), []
     for bits in (0, 2, 4):
-        began = time.perf_counter()
-        n = build(lines, ["l_orderkey", "l_partkey", "l_suppkey", "l_linenumber"], shard_bits=bits).keys()
-        rows.append((1 << bits, n, time.perf_counter() - began))
-    return spark.createDataFrame(rows, "shards int, n bigint, seconds double")
+        rows.append((1 << bits, build(lines, ["l_orderkey", "l_partkey", "l_suppkey", "l_linenumber"], shard_bits=bits).keys()))
+    return spark.createDataFrame(rows, "shards int, n bigint")
+
+
+@_query(None)
+def parallelism_table(spark, sf_dir):
+    """Build seconds of one member set of 16 shards by the number of tasks that run at once.
+
+    A session's cores are fixed; the shards are dealt to 1, 2, 4 ... tasks instead, each of
+    which builds its shards one after the other. Spark runs no more tasks than it has cores.
+    """
+    import time
+
+    lines = table(spark, sf_dir, "lineitem").select("l_orderkey", "l_partkey", "l_suppkey", "l_linenumber")
+    rows = materialize(key_table(lines, lines.columns, 4), "parallel-keys")
+    s, out, cores = spec("fuse3"), [], spark.sparkContext.defaultParallelism
+    tasks = 1
+    while tasks <= min(16, cores):
+
+        def run(batches):
+            import pandas as pd
+
+            x = pd.concat(list(batches))
+            began = time.perf_counter()
+            n = sum(build_keys(np.unique(g.to_numpy()), s, 1, int(at))[0].array_len for at, g in x.groupby("shard")["key64"])
+            yield pd.DataFrame({"n_cells": [n], "seconds": [time.perf_counter() - began]})
+
+        dealt = rows.repartitionById(tasks, F.pmod("shard", F.lit(tasks)).cast("int"))
+        r = dealt.mapInPandas(run, "n_cells long, seconds double").agg(F.sum("n_cells").alias("n_cells"), F.max("seconds").alias("longest_s"), F.sum("seconds").alias("all_s")).first()
+        out.append((tasks, r["n_cells"], r["longest_s"], r["all_s"]))
+        tasks *= 2
+    return spark.createDataFrame(out, "tasks int, n_cells bigint, longest_s double, all_s double")
 
 
 @_query("SELECT p_partkey, p_size FROM part WHERE p_partkey IN (7, 77, 777)")
@@ -375,5 +422,7 @@ def parquet_own_bloom(spark, sf_dir):
 @_query("SELECT CAST(count(DISTINCT user_id) AS BIGINT) AS n_users FROM events")
 def approx_distinct_plans_shards(spark, sf_dir):
     """An approximate count chooses the shards; the filter's own count stays exact."""
-    f = build(table(spark, sf_dir, "events"), "user_id")
+    events = table(spark, sf_dir, "events")
+    about = events.agg(F.approx_count_distinct("user_id")).first()[0]
+    f = build(events, "user_id", n_hint=about)
     return f.table.agg(F.sum("n").alias("n_users"))

@@ -141,3 +141,64 @@ def ranking_windows(spark, sf_dir):
     w = Window.partitionBy("user_id").orderBy("ts", "event_id")
     events = table(spark, sf_dir, "events")
     return events.select("user_id", "event_id", F.rank().over(w).cast("bigint").alias("place"), F.ntile(4).over(w).cast("bigint").alias("quarter"), F.round(F.sum("value").over(w.rowsBetween(-2, 0)), 4).alias("recent"))
+
+
+@_query("SELECT user_id, event_id, count(*) OVER (w RANGE BETWEEN INTERVAL 1 DAY PRECEDING AND CURRENT ROW) AS in_a_day, round(percent_rank() OVER (PARTITION BY event_type ORDER BY value, event_id), 6) AS standing FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts)")
+def range_frames(spark, sf_dir):
+    """A frame by time rather than by rows, and standing among all events of a type."""
+    micros = F.unix_micros(F.col("ts").cast("timestamp"))
+    day = Window.partitionBy("user_id").orderBy(micros).rangeBetween(-86_400_000_000, 0)
+    standing = F.percent_rank().over(Window.partitionBy("event_type").orderBy("value", "event_id"))
+    return table(spark, sf_dir, "events").select("user_id", "event_id", F.count("*").over(day).alias("in_a_day"), F.round(standing, 6).alias("standing"))
+
+
+@_query("SELECT o_orderpriority, count(*) AS n_sample, CAST(min(o_orderkey) AS BIGINT) AS least FROM orders WHERE ('0x' || substr(md5(CAST(o_orderkey AS VARCHAR)), 1, 8))::BIGINT % 10 = 3 GROUP BY o_orderpriority")
+def hash_sample(spark, sf_dir):
+    """A sampling operator: a tenth of the keys by a portable hash, the same in every run and table."""
+    share = F.conv(F.substring(F.md5(F.col("o_orderkey").cast("string").cast("binary")), 1, 8), 16, 10).cast("long") % 10
+    picked = table(spark, sf_dir, "orders").filter(share == 3)
+    return picked.groupBy("o_orderpriority").agg(F.count("*").alias("n_sample"), F.min("o_orderkey").alias("least"))
+
+
+@_query("SELECT o_orderpriority, count(*) AS n FROM orders WHERE o_orderpriority IN ('1-URGENT', '2-HIGH') GROUP BY o_orderpriority")
+def stratified_sample(spark, sf_dir):
+    """Sampling by stratum: all of two priorities, none of the others."""
+    orders = table(spark, sf_dir, "orders")
+    return orders.sampleBy("o_orderpriority", {"1-URGENT": 1.0, "2-HIGH": 1.0}, seed=5).groupBy("o_orderpriority").agg(F.count("*").alias("n"))
+
+
+@_query("SELECT k, n FROM (SELECT k, count(*) AS n FROM (SELECT l_orderkey AS k FROM lineitem EXCEPT ALL SELECT o_orderkey FROM orders) GROUP BY k) ORDER BY n DESC, k LIMIT 50 OFFSET 10")
+def except_all_offset(spark, sf_dir):
+    """Bag difference, then the second page of a report."""
+    lines, orders = table(spark, sf_dir, "lineitem").select(F.col("l_orderkey").alias("k")), table(spark, sf_dir, "orders").select(F.col("o_orderkey").alias("k"))
+    return lines.exceptAll(orders).groupBy("k").agg(F.count("*").alias("n")).orderBy(F.desc("n"), "k").offset(10).limit(50)
+
+
+@_query("""SELECT event_type, '{"k":' || json_extract_string(props, '$.k') || ',"t":"' || event_type || '"}' AS again, count(*) AS n FROM events GROUP BY ALL""")
+def json_round_trip(spark, sf_dir):
+    """A column of JSON read by a schema and written again."""
+    events = table(spark, sf_dir, "events").select("event_type", F.from_json("props", "k int").alias("p"))
+    again = F.to_json(F.struct(F.col("p.k").alias("k"), F.col("event_type").alias("t")))
+    return events.groupBy("event_type", again.alias("again")).agg(F.count("*").alias("n"))
+
+
+@_query("WITH a AS (SELECT nullif(o_custkey % 50, 7) AS k FROM orders), b AS (SELECT nullif(c_custkey % 50, 7) AS k, c_mktsegment FROM customer WHERE c_custkey < 50) SELECT c_mktsegment, count(*) AS n FROM a JOIN b ON a.k IS NOT DISTINCT FROM b.k GROUP BY c_mktsegment")
+def null_safe_join(spark, sf_dir):
+    """Null keys that meet each other: no gate stands before such a join."""
+    a = table(spark, sf_dir, "orders").select(F.expr("nullif(o_custkey % 50, 7)").alias("k"))
+    b = table(spark, sf_dir, "customer").filter("c_custkey < 50").select(F.expr("nullif(c_custkey % 50, 7)").alias("m"), "c_mktsegment")
+    return a.join(b, a.k.eqNullSafe(b.m)).groupBy("c_mktsegment").agg(F.count("*").alias("n"))
+
+
+@_query("SELECT p_size, count(*) AS n FROM lineitem JOIN part ON l_partkey = p_partkey WHERE regexp_matches(p_name, '^[a-m].*t$') AND p_size BETWEEN 10 AND 20 GROUP BY p_size")
+def rlike_between_gate(spark, sf_dir):
+    """Members chosen by a pattern and a range; both reach the scan of the small side."""
+    parts = table(spark, sf_dir, "part").filter(F.col("p_name").rlike("^[a-m].*t$") & F.col("p_size").between(10, 20)).select("p_partkey", "p_size")
+    return joins.gated(table(spark, sf_dir, "lineitem").select("l_partkey"), parts, ("l_partkey", "p_partkey")).groupBy("p_size").agg(F.count("*").alias("n"))
+
+
+@_query("SELECT l_returnflag, quantile_disc(l_quantity, 0.5) AS median, quantile_disc(l_quantity, 0.9) AS tail FROM lineitem GROUP BY l_returnflag")
+def percentiles(spark, sf_dir):
+    """Quantiles by the engine's sketch, at an accuracy that makes them exact here."""
+    q = lambda p: F.percentile_approx("l_quantity", p, 1_000_000)
+    return table(spark, sf_dir, "lineitem").groupBy("l_returnflag").agg(q(0.5).alias("median"), q(0.9).alias("tail"))

@@ -44,6 +44,8 @@ MEASUREMENTS = T.StructType(
         T.StructField("overhead", T.DoubleType()),
         T.StructField("build_ns_per_key", T.DoubleType()),
         T.StructField("probe_ns_per_key", T.DoubleType()),
+        T.StructField("build_spread", T.DoubleType()),
+        T.StructField("build_query_ratio", T.DoubleType()),
         T.StructField("attempts", T.IntegerType()),
         T.StructField("repeat", T.IntegerType()),
         T.StructField("note", T.StringType()),
