@@ -21,6 +21,10 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.types import IntegralType
 
+from sieve.plans.names import fresh
+
+__all__ = ["as_bytes", "fresh", "lists", "mix", "ngrams", "release", "shingles", "signed", "slices", "starts", "whole", "word_hashes"]
+
 #: Bytes of text hashed at once; longer texts are cut at white space.
 PIECE = 1 << 20
 _WHITE = np.zeros(256, bool)
@@ -199,14 +203,3 @@ def whole(df: DataFrame, key: str) -> Column:
     if not isinstance(kind, IntegralType):
         raise TypeError(f"column {key} holds ids and must be of a whole-number type, not {kind.simpleString()}")
     return F.col(f"`{key}`").cast("long")
-
-
-def fresh(names: list[str], *wanted: str) -> list[str]:
-    """Names for helper columns that none of ``names`` has, in any case of letters."""
-    out, taken = [], {n.lower() for n in names}
-    for w in wanted:
-        while w.lower() in taken:
-            w = f"_{w}"
-        taken.add(w.lower())
-        out.append(w)
-    return out
