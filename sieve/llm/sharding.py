@@ -1,7 +1,7 @@
 """Sharding by balanced label propagation.
 
 Documents with equal texts are linked. Every document starts in the shard its hash
-names. A round looks at cells of a text in a shard and their counts: a cell moves
+names. Rounds go on until two in a row leave no fewer links cut, or nothing moves. A round looks at cells of a text in a shard and their counts: a cell moves
 towards the shard that holds most of its text, if that shard has room; admission is
 by hash bucket until the room is used up, so no shard ever passes its quota. After
 the rounds each shard keeps its linked documents first and then others up to its
@@ -18,14 +18,16 @@ slots; an empty table gives an empty table; other columns are not read.
 
 from __future__ import annotations
 
+import itertools
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from sieve.plans.scratch import materialize
 
-#: Rounds at most; admission buckets; rows numbered by one task on average.
-ROUNDS, BUCKETS, TASK_ROWS = 8, 64, 50_000
+#: Admission buckets; rows numbered by one task on average.
+BUCKETS, TASK_ROWS = 64, 50_000
 #: Cells of a text in each first shard: a large group moves in parts that fit.
 PARTS = 8
 
@@ -37,14 +39,17 @@ def _narrow(df: DataFrame, key: str, text: str, shards: int) -> DataFrame:
     return out.withColumn("h", h).withColumn("start", F.pmod(F.xxhash64(F.lit(1), "h"), F.lit(shards * PARTS)).cast("int"))
 
 
-def propagate(cells: DataFrame, shards: int, room: int, rounds: int = ROUNDS) -> tuple[DataFrame, list[int]]:
+def propagate(cells: DataFrame, shards: int, room: int, rounds: int | None = None) -> tuple[DataFrame, list[int]]:
     """Moves cells (group, start, n); gives (group, start, shard) and the counts of cut rows by round.
 
-    ``room``: linked documents a shard may hold at most.
+    ``room``: linked documents a shard may hold at most. ``rounds``: stop after so many
+    (otherwise when the cut no longer falls: it is a whole number and falls or ends).
     """
     state = materialize(cells.select("group", "start", F.pmod("start", F.lit(shards)).cast("int").alias("shard"), "n"), "sharding-state")
     cut: list[int] = []
-    for turn in range(rounds):
+    for turn in itertools.count():
+        if turn == rounds or (len(cut) > 2 and cut[-1] >= min(cut[:-2])) and cut[-2] >= min(cut[:-2]):
+            break
         held = state.groupBy("group", "shard").agg(F.sum("n").alias("m"))
         load = {r["shard"]: r["n"] for r in state.groupBy("shard").agg(F.sum("n").alias("n")).collect()}  # one row a shard
         free = {s: room - load.get(s, 0) for s in range(shards)}
@@ -80,7 +85,7 @@ def _number(rows: DataFrame, by: list[str], bucket: Column, tie: list) -> DataFr
     return rows.withColumn("__p", place).join(offsets, [*by, "__b"]).withColumn("at", F.col("__o") + F.col("__p") - 1).drop("__b", "__o", "__p")
 
 
-def shard_documents(df: DataFrame, shards: int = 40, key: str = "doc_id", text: str = "text", rounds: int = ROUNDS) -> DataFrame:
+def shard_documents(df: DataFrame, shards: int = 40, key: str = "doc_id", text: str = "text", rounds: int | None = None) -> DataFrame:
     """(doc_id, size, text_crc32, shard, slot) for every row; shard counts at most one apart."""
     rows = materialize(_narrow(df, key, text, shards), "sharding-rows")
     total = rows.count()
