@@ -133,15 +133,17 @@ _NAMES = [x.split()[0] for x in _ROW.split(", ")]
 def edited_neighbours(df: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
     """Fingerprints of texts, of the texts edited with their next one, and likenesses.
 
-    The next text is that of the next smaller key (ties: any order of equal rows,
-    by text), after the least key the greatest (null keys come last). The rows are
-    range-partitioned once by key and sorted inside the partitions; each partition
-    compares all rows but its last. Its first and last rows, two a partition, are
+    The next text is that of the next smaller key (rows of one key: by the hash of their
+    text, so equal rows stand together), after the least key the greatest (null keys come
+    last). The rows are range-partitioned once by key, hash and place in the input, so that
+    many rows of one key go to several tasks, and sorted inside the partitions; each
+    partition compares all rows but its last. Its first and last rows, two a partition, are
     then matched across partitions as a table of their own.
     """
     parts = df.select(whole(df, key).alias("doc_id"), F.coalesce(F.col(f"`{text}`"), F.lit("")).alias("text"))
-    order = [F.col("doc_id").desc_nulls_last(), F.col("text")]
-    ordered = parts.repartitionByRange(order[0]).sortWithinPartitions(*order)
+    parts = parts.withColumns({"hash": F.xxhash64("text"), "row": F.monotonically_increasing_id()})
+    order = [F.col("doc_id").desc_nulls_last(), F.col("hash"), F.col("row")]
+    ordered = parts.repartitionByRange(*order).sortWithinPartitions(*order).select("doc_id", "text")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: list | None = None  # the last row so far: id, text, fingerprint
