@@ -1,12 +1,13 @@
 """Byte-level BPE by a hierarchical-bitmap rank queue.
 
-The text is cut into pre-tokens by the tokenizer's pattern. Inside a pre-token
-the live tokens form a doubly linked list over byte offsets. A bucket per merge
-rank holds the list positions whose pair has that rank; two levels of bitmaps say
-which buckets are in use, so find-first-set gives the lowest rank in two steps,
-whatever the pre-token's length. A merge makes at most two new
-pairs; entries whose pair changed meanwhile are recognised as stale when popped.
-The cost is O(merges) queue steps instead of a scan of the list per merge.
+The text is cut into pre-tokens by the tokenizer's pattern. The pre-tokens of a batch
+that are not known yet are laid out one after the other, with a wall between them that
+no token crosses; a very long one has a layout to itself. The live tokens form a doubly
+linked list over byte offsets. A bucket per merge rank holds the list positions whose
+pair has that rank; two levels of bitmaps say which buckets are in use, so
+find-first-set gives the lowest rank in two steps, whatever the length. A merge makes
+at most two new pairs; entries whose pair changed meanwhile are recognised as stale
+when popped. The cost is O(merges) queue steps instead of a scan of the list per merge.
 
 Cases: null and empty texts give no ids (decoded: empty bytes); texts of any
 length are encoded whole; repeated rows repeat their result; an empty table gives
@@ -18,6 +19,7 @@ from __future__ import annotations
 import base64
 import hashlib
 import re
+from bisect import bisect_right
 from collections.abc import Iterator
 
 import numpy as np
@@ -31,6 +33,8 @@ from sieve.llm.text import fresh, lists, slices
 
 #: Pre-tokens of a generation that a worker remembers; there are two generations.
 REMEMBERED = 350_000
+#: Bytes of pre-tokens laid out for one run of the queue; a longer pre-token has its own.
+LAYOUT = 1 << 14
 
 
 class RankQueue:
@@ -58,12 +62,20 @@ class _Known(dict):
         ids = self.older.get(piece)
         if ids is None:
             ids = self.make(piece.encode("utf-8"))
+        return self.put(piece, ids)
+
+    def put(self, piece: str, ids: bytes) -> bytes:
         if len(self) >= REMEMBERED:
             self.older = self.copy()  # a plain dict
             self.clear()
         self[piece] = ids
         return ids
 
+    def wanted(self, pieces: list[str]) -> list[str]:
+        """Those of the pieces that are not known, each once."""
+        older = self.older
+        return [p for p in set(pieces) if p not in self and p not in older]
+
 
 def _ascii_split(pattern: str):
     """The pattern for texts of ASCII alone, where properties are plain ranges; None if unsure."""
@@ -85,13 +97,21 @@ class Codec:
         # White space as a Unicode property: the module's \s also takes U+001C-U+001F.
         self.split_any = regex.compile(pattern.replace(r"\s", r"\p{White_Space}").replace(r"\S", r"\P{White_Space}")).findall
         self.split_ascii = _ascii_split(pattern) or self.split_any
-        self.pairs = [-1] * 65536
+        self.pairs = np.full(65536, -1, np.int64)
+        self.single = np.full(256, -1, np.int64)
+        walls = set(range(256))
         for word, rank in ranks.items():
+            if len(word) == 1:
+                self.single[word[0]] = rank
+                continue
+            walls.difference_update(word)
             if len(word) == 2:
                 self.pairs[word[0] << 8 | word[1]] = rank
+        #: A byte that no longer token has stands between pre-tokens; without one, each is laid out alone.
+        self.wall = bytes([max(walls)]) if walls else b""
         self.queue = RankQueue(size)
         self.raw = [k.to_bytes(4, "little") for k in range(size)]
-        self.known = _Known(self.piece)
+        self.known = _Known(lambda b: self.pieces([b])[0])
         spans = np.zeros(size + 1, np.int64)
         for word, rank in ranks.items():
             spans[rank + 1] = len(word)
@@ -99,49 +119,78 @@ class Codec:
         self.length = spans[1:]
         self.blob = np.frombuffer(b"".join(w for w, _ in sorted(ranks.items(), key=lambda x: x[1])), np.uint8)
 
-    def piece(self, b: bytes) -> bytes:
-        """Ids of one pre-token, four bytes each."""
-        get, queue, pairs, raw = self.ranks.get, self.queue, self.pairs, self.raw
-        if (whole := get(b)) is not None:
-            return raw[whole]
-        n = len(b)
-        words, buckets, bit, summary = queue.words, queue.buckets, _BIT, 0
+    def pieces(self, pieces: list[bytes]) -> list[bytes]:
+        """Ids of pre-tokens, four bytes each."""
+        get, raw = self.ranks.get, self.raw
+        out: list[bytes] = [b""] * len(pieces)
+        held: list[int] = []
+        room = LAYOUT if self.wall else 0
+        for k, b in enumerate(pieces):
+            if (whole := get(b)) is not None:
+                out[k] = raw[whole]
+                continue
+            if held and room < len(b) + 1:
+                self._fill(pieces, held, out)
+                held, room = [], LAYOUT if self.wall else 0
+            held.append(k)
+            room -= len(b) + 1
+        if held:
+            self._fill(pieces, held, out)
+        return out
+
+    def _fill(self, pieces: list[bytes], held: list[int], out: list[bytes]) -> None:
+        """Merges the held pre-tokens in one layout and writes their ids."""
+        ids, sizes = self._merge(self.wall.join(pieces[k] for k in held), [len(pieces[k]) for k in held])
+        data, at = ids.astype("<i4").tobytes(), 0
+        for k, n in zip(held, sizes.tolist(), strict=True):
+            out[k] = data[at : at + 4 * n]
+            at += 4 * n
+
+    def _merge(self, b: bytes, lengths: list[int]) -> tuple[np.ndarray, np.ndarray]:
+        """(ids of all pre-tokens of a layout, how many each has)."""
+        get, queue, bit, summary = self.ranks.get, self.queue, _BIT, 0
+        words, buckets = queue.words, queue.buckets
+        n, buf = len(b), np.frombuffer(b, np.uint8)
+        starts = np.cumsum([0, *lengths[:-1]]) + np.arange(len(lengths))
+        ends = (starts + lengths).tolist()  # where walls stand, or the layout ends
+        first = np.append(self.pairs[buf[:-1].astype(np.int64) << 8 | buf[1:]], -1)
+        at = np.flatnonzero(first >= 0)
+        at = at[np.argsort(first[at], kind="stable")]
+        in_use, begin = np.unique(first[at], return_index=True)
+        for rank, own in zip(in_use.tolist(), np.split(at, begin[1:]) if len(at) else (), strict=True):
+            buckets[rank] = own.tolist()
+            word = rank >> 8
+            summary |= bit[word]
+            words[word] |= bit[rank & 255]
         after = list(range(1, n + 2))  # start of the next live token
         before = list(range(-1, n))
-        pair = [pairs[x << 8 | y] for x, y in zip(b, b[1:], strict=False)]  # rank of the pair that starts here
-        pair.append(-1)
-        fresh = [(r, i) for i, r in enumerate(pair) if r >= 0]  # pairs to put into their buckets
-        while True:
-            for r, i in fresh:
-                if r in buckets:
-                    buckets[r].append(i)
-                else:
-                    buckets[r] = [i]
-                    at = r >> 8
-                    if not words[at]:
-                        summary |= bit[at]
-                    words[at] |= bit[r & 255]
-            if not summary:
-                break
+        pair = first.tolist()  # rank of the pair that starts here
+        token = self.single[buf].tolist()  # id of the token that starts here; -1 where none does
+        while summary:
             # Find first set, twice: the lowest rank in use.
             at = (summary & -summary).bit_length() - 1
             word = words[at]
-            first = word & -word
-            words[at] = word = word ^ first
+            low = word & -word
+            words[at] = word = word ^ low
             if not word:
                 summary ^= bit[at]
-            rank = (at << 8) + first.bit_length() - 1
+            rank = (at << 8) + low.bit_length() - 1
             bucket = buckets.pop(rank)
             if len(bucket) > 1:
                 bucket.sort()
-            fresh = []
-            for k, i in enumerate(bucket):
+            fresh = []  # pairs to put into their buckets
+            hold = -1  # up to here, a pre-token has a pair that goes before this bucket's rest
+            for i in bucket:
                 if pair[i] != rank:
                     continue  # stale: merged meanwhile, or its pair has changed
+                if i < hold:
+                    fresh.append((rank, i))
+                    continue
                 j = after[i]
                 end = after[j]
                 after[i] = end
-                pair[j] = -1
+                pair[j] = token[j] = -1
+                token[i] = rank
                 r = q = -1
                 if end < n:
                     before[end] = i
@@ -154,23 +203,32 @@ class Codec:
                     pair[p] = q = get(b[p:end], -1)
                     if q >= 0:
                         fresh.append((q, p))
-                if 0 <= r <= rank or 0 <= q <= rank:  # a new pair goes before the rest of this bucket
-                    fresh += [(rank, i) for i in bucket[k + 1 :] if pair[i] == rank]
-                    break
-        out, i = [], 0
-        while i < n:
-            end = after[i]
-            out.append(raw[get(b[i:end])])
-            i = end
-        return b"".join(out)
-
-    def encode_raw(self, text: str) -> bytes:
-        """Ids of a text, four bytes each."""
-        split = self.split_ascii if text.isascii() else self.split_any
-        return b"".join(map(self.known.__getitem__, split(text)))
+                if 0 <= r <= rank or 0 <= q <= rank:
+                    hold = ends[bisect_right(ends, i)]
+            for r, i in fresh:
+                if r in buckets:
+                    buckets[r].append(i)
+                else:
+                    buckets[r] = [i]
+                    at = r >> 8
+                    if not words[at]:
+                        summary |= bit[at]
+                    words[at] |= bit[r & 255]
+        made = np.array(token, np.int64)
+        made[ends[:-1]] = -1  # walls
+        live = np.flatnonzero(made >= 0)
+        return made[live], np.diff(np.searchsorted(live, np.append(starts, n)))
+
+    def encode_all(self, texts: list[str]) -> list[bytes]:
+        """Ids of texts, four bytes each; what is not known is made for all of them at once."""
+        cut = [(self.split_ascii if t.isascii() else self.split_any)(t) for t in texts]
+        new = self.known.wanted([p for c in cut for p in c])
+        for piece, ids in zip(new, self.pieces([p.encode("utf-8") for p in new]), strict=True):
+            self.known.put(piece, ids)
+        return [b"".join(map(self.known.__getitem__, c)) for c in cut]
 
     def encode(self, text: str) -> list[int]:
-        return np.frombuffer(self.encode_raw(text), "<i4").tolist()
+        return np.frombuffer(self.encode_all([text])[0], "<i4").tolist()
 
     def decode_all(self, ids: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """(bytes of all ids one after the other, bytes of each id)."""
@@ -213,7 +271,7 @@ def encode(df: DataFrame, path: str, pattern: str, text: str = "text", keep: tup
         c = codec(path, pattern)
         for batch in batches:
             for part in slices(batch, at, 2 << 20):
-                made = [c.encode_raw(t) for t in part.column(at).to_pylist()]
+                made = c.encode_all(part.column(at).to_pylist())
                 values = np.frombuffer(b"".join(made), "<i4")
                 out = lists(pa.array(values, pa.int32()), np.array([len(x) // 4 for x in made], np.int64))
                 columns, names = [*part.columns[:at], out], [*keep, ids]

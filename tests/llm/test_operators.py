@@ -491,7 +491,7 @@ def test_bpe_against_the_library():
         assert ours.decode(ids) == t.encode()
 
 
-def test_bpe_merges_lowest_rank_leftmost():
+def test_bpe_merges_lowest_rank_leftmost(monkeypatch):
     c = tiny_codec()
 
     def slow(b):
@@ -509,6 +509,24 @@ def test_bpe_merges_lowest_rank_leftmost():
         b = bytes(rng.choice([97, 98], int(n)))
         assert c.encode(b.decode()) == ([c.ranks[b]] if b in c.ranks else slow(b))
     assert not any(c.queue.words) and not c.queue.buckets
+    # Many pre-tokens in one layout, in layouts of a few, and each alone where no byte can be a wall.
+    pieces = [bytes(rng.choice([97, 98], int(n))) for n in rng.integers(1, 60, 400)]
+    want = [np.array([c.ranks[b]] if b in c.ranks else slow(b), "<i4").tobytes() for b in pieces]
+    assert c.pieces(pieces) == want
+    for room, wall in ((40, c.wall), (1 << 14, b"")):
+        monkeypatch.setattr(bpe, "LAYOUT", room)
+        c.wall = wall
+        assert c.pieces(pieces) == want
+    assert c.encode_all(["ab ba", "", "abab  b"]) == [np.array(c.encode(t), "<i4").tobytes() for t in ("ab ba", "", "abab  b")]
+    assert not any(c.queue.words) and not c.queue.buckets
+
+
+def test_bpe_remembers_two_generations(monkeypatch):
+    monkeypatch.setattr(bpe, "REMEMBERED", 5)
+    c = tiny_codec()
+    text = " ".join(["ab" * k for k in range(1, 30)])
+    want = tiny_codec().encode(text)
+    assert c.encode(text) == want and c.encode(text) == want and len(c.known) <= 5 and len(c.known.older) <= 6
 
 
 def test_bpe_tables(spark, docs, rows):
