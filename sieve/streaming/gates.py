@@ -9,12 +9,14 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from sieve.functions.hashing import high, low, reduce32, words
 from sieve.functions.keys import key64
 from sieve.operators import probe
 from sieve.operators.build import Filter
-from sieve.plans.scratch import scratch_root
+from sieve.plans.names import fresh
+from sieve.plans.scratch import materialize, scratch_root
 
 
 def read_table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -56,33 +58,53 @@ def run(stream: DataFrame, mode: str = "append", batch=None) -> DataFrame:
     return spark.read.schema(stream.schema).parquet(f"{at}/{max(done)}") if done else spark.createDataFrame([], stream.schema)
 
 
-def first_seen(stream: DataFrame, key: str, out_schema: str, buckets: int = 64, bits: int = 1 << 16, hashes: int = 8) -> DataFrame:
-    """Rows whose key a growing Bloom filter has not seen; keyed state holds its words.
+def first_seen(stream: DataFrame, key: str, buckets: int = 64, bits: int = 1 << 16, hashes: int = 8) -> DataFrame:
+    """The first row of a key in each batch, with ``sure``: true where a growing Bloom filter has not seen the key.
 
-    Keys are dealt to ``buckets`` states by hash; a row is let through when some bit was
-    missing. A false positive withholds a first-seen row; with ``exact`` keys kept beside
-    the words (as here) the answer is checked and whole.
+    Keys are dealt to ``buckets`` states by hash. A state holds the words of its filter and
+    nothing else, so its size is fixed. Where some bit is missing the key is certainly new;
+    other rows may be new and need an exact look (``distinct_keys``). Null keys are left out.
     """
-    keyed = stream.withColumn("__key", key64(key)).withColumn("__bucket", F.pmod(F.col("__key"), F.lit(buckets)).cast("int"))
     names = stream.columns
+    own, bucket = fresh([*names, "sure"], "key", "bucket")
+    keyed = stream.withColumn(own, key64(key)).filter(F.col(own).isNotNull()).withColumn(bucket, F.pmod(own, F.lit(buckets)).cast("int"))
 
-    def step(bucket, frames: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
-        held, known = state.get if state.exists else (b"", b"")
-        filled = np.frombuffer(held, np.uint64).copy() if held else np.zeros(bits // 64, np.uint64)
-        seen = set(np.frombuffer(known, np.int64).tolist())
+    def step(_, frames: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
+        filled = np.frombuffer(state.get[0], np.uint64).copy() if state.exists else np.zeros(bits // 64, np.uint64)
         for x in frames:
-            x = x.sort_values(["__key", *names], ignore_index=True).drop_duplicates("__key")
-            k = x["__key"].to_numpy(np.int64)
-            a, _ = words(k, 1)
+            x = x.sort_values([own, *names], ignore_index=True).drop_duplicates(own)
+            a, _ = words(x[own].to_numpy(np.int64), 1)
             at = np.stack([reduce32((high(a) + np.uint64(i) * low(a)) & np.uint64(0xFFFFFFFF), bits) for i in range(hashes)], 1)
-            maybe = (((filled[at >> 6] >> (at & 63).astype(np.uint64)) & np.uint64(1)) == 1).all(axis=1)
-            new = np.array([not m or v not in seen for m, v in zip(maybe, k.tolist(), strict=True)], bool)
+            there = ((filled[at >> 6] >> (at & 63).astype(np.uint64)) & np.uint64(1)) == 1
             np.bitwise_or.at(filled, at >> 6, np.uint64(1) << (at & 63).astype(np.uint64))
-            seen.update(k.tolist())
-            yield x.loc[new, names]
-        state.update((filled.tobytes(), np.array(sorted(seen), np.int64).tobytes()))
+            yield x[names].assign(sure=~there.all(axis=1))
+        state.update((filled.tobytes(),))
 
-    return keyed.groupBy("__bucket").applyInPandasWithState(step, out_schema, "words binary, known binary", "append", "NoTimeout")
+    schema = T.StructType([*stream.schema, T.StructField("sure", T.BooleanType())])
+    return keyed.groupBy(bucket).applyInPandasWithState(step, schema, "words binary", "append", "NoTimeout")
+
+
+def distinct_keys(stream: DataFrame, key: str, **how) -> tuple[DataFrame, DataFrame]:
+    """(all keys of a stream, each once; rows a batch: sure ones, and others before and after the exact look).
+
+    The filter spares sure keys the lookup: only the others, repeated keys and false
+    positives alike, are looked for in the table of what was seen, batch by batch.
+    """
+    spark, told = stream.sparkSession, first_seen(stream.select(key), key, **how)
+    kind = stream.select(key).schema
+    seen = [spark.createDataFrame([], kind)]
+    counts: list[tuple[int, int, int, int]] = []
+
+    def take(df: DataFrame, number: int) -> None:
+        rows = materialize(df, "first-seen")
+        sure = rows.filter("sure").select(key).distinct()
+        maybe = rows.filter("NOT sure").select(key).distinct()
+        looked = materialize(maybe.join(sure, key, "left_anti").join(seen[0], key, "left_anti"), "first-looked")
+        counts.append((number, sure.count(), maybe.count(), looked.count()))
+        seen[0] = materialize(seen[0].unionByName(sure).unionByName(looked), "first-keys")
+
+    run(told, batch=take)
+    return seen[0], spark.createDataFrame(counts, "batch bigint, sure bigint, looked_up bigint, found_new bigint")
 
 
 def refresh_by_batch(stream: DataFrame, f: Filter, keys: str, known: DataFrame) -> Filter:
@@ -90,7 +112,6 @@ def refresh_by_batch(stream: DataFrame, f: Filter, keys: str, known: DataFrame)
 
     ``known``: the keys the filter has; each batch's keys are added to a table beside it.
     """
-    from sieve.plans.scratch import materialize
     from sieve.sources.catalog import refresh
 
     held = {"filter": f, "keys": known.select(keys)}

@@ -352,3 +352,18 @@ def test_large_filters_are_not_shipped(spark):
     assert sorted(received(ship(f, 1 << 20))) == [0, 1, 2, 3]
     with pytest.raises(ValueError):
         ship(f, 1000)
+
+
+def test_a_growing_filter_decides_and_its_errors_are_looked_up(spark, tmp_path):
+    """Batches of keys, with a filter so small that it errs: no key is lost, and sure keys skip the lookup."""
+    from sieve.streaming import gates
+
+    for k in range(4):
+        spark.range(k * 500, k * 500 + 1000).withColumn("id", F.when(F.col("id") % 97 > 0, F.col("id"))).coalesce(1).write.mode("append").parquet(str(tmp_path / "t"))
+    stream = spark.readStream.schema("id bigint").option("maxFilesPerTrigger", 1).parquet(str(tmp_path / "t"))
+    for bits, errs in ((1 << 16, False), (64, True)):
+        found, counts = gates.distinct_keys(stream, "id", buckets=8, bits=bits)
+        assert sorted(r[0] for r in found.collect()) == [i for i in range(2500) if i % 97]
+        c = counts.toPandas()
+        assert (c.found_new.sum() > 0) == errs and c.sure.sum() + c.found_new.sum() == found.count()
+        assert errs or c.sure.sum() == found.count()
