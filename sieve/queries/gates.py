@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from sieve.operators import joins, probe
@@ -169,12 +169,40 @@ def composite_key_gate(spark, sf_dir):
 _GRAMS = "SELECT source, id, unnest(list_transform(range(1, len(w) - 6), lambda i: array_to_string(w[i:i + 7], ' '))) AS g FROM (SELECT {source} AS source, {id} AS id, list_filter(string_split_regex(lower({text}), '[^a-z]+'), lambda x: x <> '') AS w FROM {t})"
 
 
-def _grams(df: DataFrame, key: str, text: str = "text") -> DataFrame:
-    """(id, g): runs of eight words."""
-    w = F.filter(F.split(F.lower(text), "[^a-z]+"), lambda x: x != "")
-    n = F.size("w")
-    grams = F.when(n >= 8, F.transform(F.sequence(F.lit(1), n - 7), lambda i: F.array_join(F.slice("w", i, 8), " ")))
-    return df.select(F.col(key).alias("id"), w.alias("w")).select("id", F.explode(grams).alias("g"))
+#: Words of a run.
+RUN = 8
+
+
+def _words(text: str) -> Column:
+    return F.filter(F.split(F.lower(text), "[^a-z]+"), lambda x: x != "")
+
+
+def _places(w: Column, made) -> Column:
+    """``made(place)`` for every place of ``w`` where a run begins."""
+    return F.when(F.size(w) >= RUN, F.transform(F.sequence(F.lit(1), F.size(w) - (RUN - 1)), made))
+
+
+def _run_hashes(df: DataFrame, key: str, text: str = "text") -> DataFrame:
+    """(id, text_hash, place, h): runs by the hash of their words' hashes; no run is written out as a string."""
+    w = F.col("w")
+    hashed = df.select(F.col(key).alias("id"), F.xxhash64(text).alias("text_hash"), F.transform(_words(text), lambda x: F.xxhash64(x)).alias("w"))
+    return hashed.select("id", "text_hash", F.explode(_places(w, lambda i: F.struct(i.alias("place"), F.xxhash64(F.slice(w, i, RUN)).alias("h")))).alias("x")).select("id", "text_hash", "x.place", "x.h")
+
+
+def _grams(df: DataFrame, key: str, text: str = "text", places: str | None = None) -> DataFrame:
+    """(id, g): runs of words as strings, of all places or of those in a column."""
+    w = F.col("w")
+    made = lambda i: F.array_join(F.slice(w, i, RUN), " ")
+    chosen = F.transform(F.col(places), made) if places else _places(w, made)
+    rows = df.select(F.col(key).alias("id"), _words(text).alias("w"), *([places] if places else []))
+    return rows.select("id", F.explode(chosen).alias("g"))
+
+
+def _contaminated(df: DataFrame, f, members: DataFrame, key: str, text: str) -> DataFrame:
+    """(id, n_hits, n_grams): the gate takes hashes; only runs that pass are written out and compared."""
+    passed = probe.semi(_run_hashes(df, key, text), f, "h").groupBy("id", "text_hash").agg(F.collect_set("place").alias("places"))
+    few = df.select(F.col(key).alias("id"), text, F.xxhash64(text).alias("text_hash")).join(passed, ["id", "text_hash"])
+    return joins.exact_semi(_grams(few, "id", text, "places"), members, "g").groupBy("id").agg(F.count("*").alias("n_hits"), F.count_distinct("g").alias("n_grams"))
 
 
 _BENCH = _GRAMS.format(source="'benchmark'", id="item_id", text="text", t="benchmark")
@@ -183,9 +211,10 @@ _BENCH = _GRAMS.format(source="'benchmark'", id="item_id", text="text", t="bench
 @_query(f"SELECT id AS doc_id, count(*) AS n_hits, count(DISTINCT g) AS n_grams FROM ({_GRAMS.format(source="'documents'", id='doc_id', text='text', t='documents')}) WHERE g IN (SELECT g FROM ({_BENCH})) GROUP BY id")
 def contamination_shingles(spark, sf_dir):
     """Documents with eight-word runs of the benchmark: the shipped filter probes every run."""
-    runs = _grams(table(spark, sf_dir, "documents"), "doc_id")
-    kept = joins.semi(runs, _grams(table(spark, sf_dir, "benchmark"), "item_id").select("g"), "g", fp_bits=16)
-    return kept.groupBy(F.col("id").alias("doc_id")).agg(F.count("*").alias("n_hits"), F.count_distinct("g").alias("n_grams"))
+    items = table(spark, sf_dir, "benchmark")
+    f = build(_run_hashes(items, "item_id").select("h"), "h", fp_bits=16)
+    found = _contaminated(table(spark, sf_dir, "documents"), f, _grams(items, "item_id").select("g"), "doc_id", "text")
+    return found.withColumnRenamed("id", "doc_id")
 
 
 _OTHERS = " UNION ALL ".join(_GRAMS.format(source=f"'{t}'", id=i, text=x, t=t) for t, i, x in (("pages", "page_id", "html"), ("conversations", "conv_id", "text")))
@@ -194,12 +223,12 @@ _OTHERS = " UNION ALL ".join(_GRAMS.format(source=f"'{t}'", id=i, text=x, t=t) f
 @_query(f"SELECT source, id, count(*) AS n_hits, count(DISTINCT g) AS n_grams FROM ({_OTHERS}) WHERE g IN (SELECT g FROM ({_BENCH})) GROUP BY source, id")
 def contamination_of_other_sources(spark, sf_dir):
     """The same filter, built once, probed by the runs of pages and of conversations."""
-    members = _grams(table(spark, sf_dir, "benchmark"), "item_id").select("g")
-    f, out = build(members, "g", fp_bits=16), None
+    items = table(spark, sf_dir, "benchmark")
+    f, out = build(_run_hashes(items, "item_id").select("h"), "h", fp_bits=16), None
     for name, key, text in (("pages", "page_id", "html"), ("conversations", "conv_id", "text")):
-        runs = _grams(table(spark, sf_dir, name), key, text)
-        kept = joins.gated(runs, members, "g", "left_semi", f=f).groupBy(F.lit(name).alias("source"), "id").agg(F.count("*").alias("n_hits"), F.count_distinct("g").alias("n_grams"))
-        out = kept if out is None else out.unionByName(kept)
+        found = _contaminated(table(spark, sf_dir, name), f, _grams(items, "item_id").select("g"), key, text)
+        found = found.select(F.lit(name).alias("source"), "id", "n_hits", "n_grams")
+        out = found if out is None else out.unionByName(found)
     return out
 
 
