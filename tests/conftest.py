@@ -43,7 +43,9 @@ def duck():
 
 def rows_of(df, columns):
     """Sorted rows of a pandas frame with every value as text."""
-    shown = lambda v: "NULL" if v is None or v != v else f"{v:.9g}" if isinstance(v, float) else str(v)
+    import pandas as pd
+
+    shown = lambda v: "NULL" if pd.api.types.is_scalar(v) and pd.isna(v) else f"{v:.9g}" if isinstance(v, float) else str(v)
     return sorted(tuple(shown(v) for v in r) for r in df[columns].itertuples(index=False))
 
 
