@@ -27,7 +27,7 @@ from sieve.llm.text import as_bytes, fresh, slices
 
 #: Phrases looked for at every place, with their labels.
 PHRASES = (
-    ("the mit license", "mit"),
+    ("under the mit license", "mit"),
     ("apache license version 2", "apache-2"),
     ("cc by nc", "cc-by-nc"),
 )
