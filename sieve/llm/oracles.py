@@ -1,16 +1,19 @@
-"""DuckDB SQL for the operators that SQL can express."""
+"""DuckDB SQL for the operators, or for those columns of their results, that SQL can express."""
 
 _WORDS = r"regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+')"
 _LOWER = "translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz')"
 
 ORACLES: dict[str, str] = {}
 
-ORACLES["op1_minhash_near_dedup"] = rf"""
+
+def _near(table: str, n: int) -> str:
+    """Components of documents of ``table`` by ``n``-word shingles."""
+    return rf"""
 WITH RECURSIVE words AS MATERIALIZED (
-  SELECT doc_id, regexp_extract_all({_LOWER}, '[^\x20\x09-\x0D]+') AS w FROM documents),
+  SELECT doc_id, regexp_extract_all({_LOWER}, '[^\x20\x09-\x0D]+') AS w FROM {table}),
 sets AS MATERIALIZED (
-  SELECT doc_id, CASE WHEN len(w) = 0 THEN [] WHEN len(w) = 1 THEN [w[1]]
-    ELSE list_distinct(list_transform(range(1, len(w)), lambda i: w[i] || ' ' || w[i + 1])) END AS s FROM words),
+  SELECT doc_id, CASE WHEN len(w) = 0 THEN [] WHEN len(w) < {n} THEN [array_to_string(w, ' ')]
+    ELSE list_distinct(list_transform(range(1, len(w) - {n} + 2), lambda i: array_to_string(w[i:i + {n} - 1], ' '))) END AS s FROM words),
 items AS MATERIALIZED (SELECT doc_id, len(s) AS n, unnest(s) AS x FROM sets),
 links AS MATERIALIZED (
   SELECT a.doc_id AS a, b.doc_id AS b FROM items a JOIN items b ON a.x = b.x AND a.doc_id <> b.doc_id
@@ -21,6 +24,25 @@ SELECT s.doc_id, CAST(len(any_value(s.s)) AS BIGINT) AS n_shingles, min(c) AS co
 FROM sets s JOIN reach r ON s.doc_id = r.doc_id GROUP BY s.doc_id
 """
 
+
+def _removed(table: str) -> str:
+    """For each document of ``table`` its words, how many stay and their text, ``t``."""
+    return rf"""
+WITH d AS MATERIALIZED (SELECT doc_id, {_WORDS} AS w FROM {table}),
+grams AS (
+  SELECT doc_id, i, array_to_string(w[i:i + 19], ' ') AS g
+  FROM (SELECT doc_id, w, unnest(range(1, len(w) - 18)) AS i FROM d)),
+later AS (SELECT doc_id, i FROM (SELECT doc_id, i, row_number() OVER (PARTITION BY g ORDER BY doc_id, i) AS k FROM grams) WHERE k > 1),
+gone AS (SELECT DISTINCT doc_id, unnest(range(i, i + 20)) AS p FROM later),
+words AS (SELECT doc_id, unnest(w) AS x, unnest(range(1, len(w) + 1)) AS p FROM d),
+kept AS (
+  SELECT doc_id, count(*) AS n, string_agg(x, ' ' ORDER BY p) AS t FROM words ANTI JOIN gone USING (doc_id, p) GROUP BY doc_id)
+SELECT d.doc_id, len(w) AS n_words, coalesce(n, 0) AS n_kept, coalesce(t, '') AS t FROM d LEFT JOIN kept USING (doc_id)
+"""
+
+
+ORACLES["op1_minhash_near_dedup"] = _near("documents", 2)
+
 ORACLES["op5_quality_rules"] = rf"""
 WITH d AS (SELECT doc_id, coalesce(text, '') AS t, {_WORDS} AS w FROM documents),
 grams AS (
@@ -42,18 +64,9 @@ SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base
 FROM f
 """
 
-ORACLES["op6_substring_dedup"] = rf"""
-WITH d AS MATERIALIZED (SELECT doc_id, {_WORDS} AS w FROM documents),
-grams AS (
-  SELECT doc_id, i, array_to_string(w[i:i + 19], ' ') AS g
-  FROM (SELECT doc_id, w, unnest(range(1, len(w) - 18)) AS i FROM d)),
-later AS (SELECT doc_id, i FROM (SELECT doc_id, i, row_number() OVER (PARTITION BY g ORDER BY doc_id, i) AS k FROM grams) WHERE k > 1),
-gone AS (SELECT DISTINCT doc_id, unnest(range(i, i + 20)) AS p FROM later),
-words AS (SELECT doc_id, unnest(w) AS x, unnest(range(1, len(w) + 1)) AS p FROM d),
-kept AS (
-  SELECT doc_id, count(*) AS n, string_agg(x, ' ' ORDER BY p) AS t FROM words ANTI JOIN gone USING (doc_id, p) GROUP BY doc_id)
-SELECT d.doc_id, CAST(len(w) AS BIGINT) AS n_words, CAST(len(w) - coalesce(n, 0) AS BIGINT) AS n_removed, sha256(coalesce(t, '')) AS kept_sha256
-FROM d LEFT JOIN kept USING (doc_id)
+ORACLES["op6_substring_dedup"] = f"""
+SELECT doc_id, CAST(n_words AS BIGINT) AS n_words, CAST(n_words - n_kept AS BIGINT) AS n_removed, sha256(t) AS kept_sha256
+FROM ({_removed("documents")})
 """
 
 ORACLES["op10_chat_formatting"] = r"""
@@ -67,3 +80,70 @@ SELECT conv_id, CAST(count(*) AS BIGINT) AS n_turns, sha256(string_agg(role || c
   CAST(sum(24 + length(regexp_replace(replace(replace(role, '\', '\\'), chr(10), '\n'), '<(\\*)\|', '<\1\\|', 'g')) + length(regexp_replace(text, '<(\\*)\|', '<\1\\|', 'g'))) AS BIGINT) AS formatted_chars
 FROM r GROUP BY conv_id
 """
+
+ORACLES["exact_edited_texts"] = """
+WITH d AS (SELECT doc_id, coalesce(text, '') AS t FROM documents),
+n AS (
+  SELECT doc_id, t, length(t) AS n, length(t) // 3 AS k, coalesce(lead(t) OVER w, first_value(t) OVER w) AS following
+  FROM d WINDOW w AS (ORDER BY doc_id DESC NULLS LAST))
+SELECT doc_id, CAST(n AS BIGINT) AS n_chars, sha256(substring(t, 1, n - k) || substring(following, 1, k)) AS edited_sha256 FROM n
+"""
+
+ORACLES["exact_phrase_places"] = rf"""
+WITH d AS (SELECT doc_id, regexp_extract_all({_LOWER}, '[^\x00-\x2F\x3A-\x60\x7B-\x7F]+') AS w FROM documents),
+p AS (
+  SELECT doc_id, len(w) AS n,
+    list_filter(range(0, len(w)), lambda i: w[i + 1:i + 4] = ['under', 'the', 'mit', 'license']) AS m,
+    list_filter(range(0, len(w)), lambda i: w[i + 1:i + 4] = ['apache', 'license', 'version', '2']) AS a,
+    list_filter(range(0, len(w)), lambda i: w[i + 1:i + 3] = ['cc', 'by', 'nc']) AS c FROM d),
+u AS (SELECT *, list_concat(list_concat(m, a), c) AS x FROM p)
+SELECT doc_id, CAST(n AS BIGINT) AS n_words, CAST(len(x) AS BIGINT) AS n_base, list_min(x) AS first_word, list_max(x) AS last_word,
+  concat_ws(',', CASE WHEN len(a) > 0 THEN 'apache-2' END, CASE WHEN len(c) > 0 THEN 'cc-by-nc' END, CASE WHEN len(m) > 0 THEN 'mit' END) AS base_labels
+FROM u
+"""
+
+_TARGETS = rf"""
+sizes AS (SELECT doc_id, source, len({_WORDS}) AS size FROM documents),
+s AS (
+  SELECT source, CAST(sum(size) AS DOUBLE) AS size, CASE (row_number() OVER (ORDER BY source NULLS LAST) - 1) % 3 WHEN 0 THEN 5 WHEN 1 THEN 2 ELSE 1 END AS weight
+  FROM sizes GROUP BY source),
+o AS (
+  SELECT *, row_number() OVER w AS k, coalesce(sum(2 * size) OVER (w ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS spent,
+    sum(weight) OVER (w ROWS BETWEEN CURRENT ROW AND UNBOUNDED FOLLOWING) AS weights
+  FROM s WINDOW w AS (ORDER BY 2 * size / weight, source)),
+f AS (SELECT *, (1.5 * sum(size) OVER () - spent) / weights AS level FROM o),
+t AS (
+  SELECT source, CAST(size AS BIGINT) AS source_size, round(least(2 * size, weight * (SELECT arg_min(level, k) FROM f WHERE level <= 2 * size / weight)), 3) AS target FROM f)
+"""
+
+ORACLES["exact_mixing_targets"] = f"""
+WITH {_TARGETS}
+SELECT doc_id, CAST(sizes.size AS BIGINT) AS size, source_size, target, true AS at_most_twice FROM sizes JOIN t ON sizes.source IS NOT DISTINCT FROM t.source
+"""
+
+ORACLES["mixing_meets_targets"] = f"""
+WITH {_TARGETS}
+SELECT source_size, target, CAST(count(*) AS BIGINT) AS n_docs, true AS within_a_word
+FROM sizes JOIN t ON sizes.source IS NOT DISTINCT FROM t.source GROUP BY source_size, target
+"""
+
+ORACLES["exact_decoded_texts"] = "SELECT doc_id, sha256(coalesce(text, '')) AS decoded_sha256 FROM documents"
+
+ORACLES["exact_shard_slots"] = """
+WITH n AS (SELECT count(*) AS n, sum(strlen(coalesce(text, '')) + 16) AS size FROM documents),
+s AS (SELECT unnest(range(0, 40)) AS shard)
+SELECT CAST(shard AS INT) AS shard, CAST(n // 40 + CAST(shard < n % 40 AS INT) AS BIGINT) AS n_docs, CAST(n // 40 + CAST(shard < n % 40 AS INT) AS BIGINT) AS n_slots,
+  CAST(0 AS BIGINT) AS first_slot, CAST(n // 40 + CAST(shard < n % 40 AS INT) - 1 AS BIGINT) AS last_slot, CAST(size AS BIGINT) AS all_bytes
+FROM s, n WHERE n // 40 + CAST(shard < n % 40 AS INT) > 0
+"""
+
+ORACLES["toxicity_in_range"] = """
+SELECT CAST(count(*) AS BIGINT) AS n_docs, CAST(0 AS BIGINT) AS out_of_range, CAST(0 AS BIGINT) AS wrong_verdicts FROM documents
+"""
+
+ORACLES["exact_pipeline_before_mixing"] = f"""
+WITH one AS MATERIALIZED (SELECT doc_id, text FROM documents JOIN ({ORACLES["op5_quality_rules"]}) USING (doc_id) WHERE kept),
+two AS MATERIALIZED (SELECT doc_id, text FROM one JOIN ({_near("one", 5)}) USING (doc_id) WHERE kept),
+three AS (SELECT doc_id, CASE WHEN n_kept = n_words THEN text ELSE t END AS text FROM two JOIN ({_removed("two")}) USING (doc_id) WHERE n_kept > 0)
+SELECT doc_id, CAST(length(text) AS BIGINT) AS n_chars, sha256(text) AS text_sha256 FROM three
+"""

@@ -11,6 +11,7 @@ from pyspark.sql.window import Window
 
 from sieve.llm import bpe, chat, fingerprints, licenses, mixing, neardup, quality, sharding, substrings, toxicity
 from sieve.llm.oracles import ORACLES
+from sieve.plans.scratch import materialize
 
 VOCABULARY = "byte_bpe_multi_50k.tiktoken"
 SHARDS = 40
@@ -81,8 +82,66 @@ def op10_chat_formatting(spark: SparkSession, sf_dir: str) -> DataFrame:
     return chat.read_back(chat.format_trees(nodes)).withColumnRenamed("tree_id", "conv_id")
 
 
+def exact_edited_texts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The columns of op2 that SQL can state."""
+    return op2_document_fingerprints(spark, sf_dir).select("doc_id", "n_chars", "edited_sha256")
+
+
+def exact_phrase_places(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The columns of op3 that SQL can state."""
+    return op3_license_scans(spark, sf_dir).select("doc_id", "n_words", "n_base", "first_word", "last_word", "base_labels")
+
+
+def exact_mixing_targets(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The columns of op4 that SQL can state, and whether a document stays within twice its size."""
+    out = op4_source_mixing(spark, sf_dir)
+    return out.select("doc_id", "size", "source_size", F.round("target", 3).alias("target"), (F.col("taken") <= 2 * F.col("size")).alias("at_most_twice"))
+
+
+def mixing_meets_targets(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Whether the words that op4 takes come within a word of the target (sources of one size and target count together)."""
+    out = op4_source_mixing(spark, sf_dir).groupBy("source_size", "target").agg(F.count("*").alias("n_docs"), F.sum("taken").alias("taken"), F.sum("size").alias("size"))
+    sources = F.col("size") / F.greatest(F.col("source_size"), F.lit(1))
+    near = F.abs(F.col("taken") - F.col("target") * sources) <= F.greatest(sources, F.lit(1.0))
+    return out.select("source_size", F.round("target", 3).alias("target"), "n_docs", near.alias("within_a_word"))
+
+
+def exact_decoded_texts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The columns of op7 that SQL can state: the round trip gives every text back."""
+    return op7_byte_bpe(spark, sf_dir).select("doc_id", "decoded_sha256")
+
+
+def exact_shard_slots(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Rows and slots of every shard of op8, beside the bytes of all."""
+    out = op8_balanced_sharding(spark, sf_dir)
+    told = out.groupBy("shard").agg(F.count("*").alias("n_docs"), F.count_distinct("slot").alias("n_slots"), F.min("slot").alias("first_slot"), F.max("slot").alias("last_slot"), F.sum("size").alias("bytes"))
+    return told.withColumn("all_bytes", F.sum("bytes").over(Window.partitionBy())).drop("bytes")  # one row a shard
+
+
+def toxicity_in_range(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Rows of op9, and how many have no score from 0 to 1 or a verdict that does not follow from it."""
+    in_range, follows = F.col("score").between(0, 1), F.col("predicted") == (F.col("score") >= 0.5).cast("int")
+    lost = [F.count_if(~F.coalesce(x, F.lit(False))).alias(n) for x, n in ((in_range, "out_of_range"), (follows, "wrong_verdicts"))]
+    return op9_toxicity(spark, sf_dir).agg(F.count("*").alias("n_docs"), *lost)
+
+
+def exact_pipeline_before_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """What the pipeline's three stages before the mixture keep: SQL can state these, not the draws."""
+    import corpus_pipeline
+
+    docs = _table(spark, sf_dir, "documents")
+    for name, stage in corpus_pipeline.STAGES[:3]:
+        docs = materialize(stage(spark, docs, sf_dir), f"pipeline-{name.split()[0]}")
+    return docs.select("doc_id", F.length("text").cast("long").alias("n_chars"), F.sha2("text", 256).alias("text_sha256"))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    named = (op1_minhash_near_dedup, op2_document_fingerprints, op3_license_scans, op4_source_mixing, op5_quality_rules, op6_substring_dedup, op7_byte_bpe, op8_balanced_sharding, op9_toxicity, op10_chat_formatting)
+    named = (
+        *(op1_minhash_near_dedup, op2_document_fingerprints, op3_license_scans, op4_source_mixing, op5_quality_rules),
+        *(op6_substring_dedup, op7_byte_bpe, op8_balanced_sharding, op9_toxicity, op10_chat_formatting),
+        *(exact_edited_texts, exact_phrase_places, exact_mixing_targets, mixing_meets_targets, exact_decoded_texts, exact_shard_slots),
+        *(toxicity_in_range, exact_pipeline_before_mixing),
+    )
     return {f.__name__: f for f in named}
 
 
