@@ -7,6 +7,11 @@ bits, so a filter built in an Arrow worker is probed by generated JVM code.
 
 from __future__ import annotations
 
+from collections.abc import Callable
+from functools import cache
+from importlib import import_module
+from typing import NamedTuple
+
 import numpy as np
 from pyspark.sql import Column
 from pyspark.sql import functions as F
@@ -98,7 +103,37 @@ def locations(a: np.ndarray, b: np.ndarray, seg_len: int, seg_count: int, arity:
     return out
 
 
-def fingerprint(a: np.ndarray, bits: int) -> np.ndarray:
+class Fingerprints(NamedTuple):
+    """A fingerprint function: 64 bits from a key's word A in numpy (uint64) and in Catalyst (bigint), bit for bit alike.
+
+    The low bits of what it gives are stored; they must be spread as evenly as word A's.
+    """
+
+    array: Callable[[np.ndarray], np.ndarray]
+    column: Callable[[Column], Column]
+
+
+#: Both halves of word A, folded.
+FOLDED = Fingerprints(lambda a: a ^ high(a), lambda a: a.bitwiseXOR(high_column(a)))
+
+
+@cache
+def fingerprint_function(path: str) -> Fingerprints:
+    """The function named ``module:attribute``; the workers import it as well. Empty: word A itself.
+
+    A saved filter keeps the name, so load filters only from where you would import code.
+    """
+    if not path:
+        return Fingerprints(lambda a: a, lambda a: a)
+    module, _, name = path.partition(":")
+    found = getattr(import_module(module), name)
+    if not isinstance(found, Fingerprints):
+        raise TypeError(f"{path} is no fingerprint function")
+    return found
+
+
+def fingerprint(a: np.ndarray, bits: int, function: str = "") -> np.ndarray:
+    a = fingerprint_function(function).array(a)
     return (a & np.uint64((1 << bits) - 1)).astype({8: np.uint8, 16: np.uint16}.get(bits, np.uint32))
 
 

@@ -11,7 +11,7 @@ from pyspark.sql import Column
 from pyspark.sql import functions as F
 
 from sieve.functions import sizing
-from sieve.functions.hashing import fingerprint, high, high_column, location_columns, locations, low, low_column, reduce32, reduce_column, shift_left, shift_right, word_columns, words
+from sieve.functions.hashing import fingerprint, fingerprint_function, high, high_column, location_columns, locations, low, low_column, reduce32, reduce_column, shift_left, shift_right, word_columns, words
 from sieve.operators.kinds import LANES, blocked_masks, cuckoo_jump, cuckoo_places, ribbon_rows, vqf_bounds, vqf_places
 from sieve.operators.peel import lookup
 from sieve.schema import Spec
@@ -87,7 +87,7 @@ def condition(key64: Column, f: str, s: Spec) -> Column:
         rank = _at(col("words"), shift_right(third, 6) + n_words.cast("long")) + below
         cells.append(F.when(F.getbit(bitmap, bit) == 1, _at(col(s.cells), 2 * col("seg_len").cast("long") + rank).cast("long")).otherwise(F.lit(0).cast("long")))
     found = reduce(lambda x, y: x.bitwiseXOR(y), cells)
-    return found.bitwiseXOR(a).bitwiseAND(F.lit(mask)) == 0
+    return found.bitwiseXOR(fingerprint_function(s.fingerprint).column(a)).bitwiseAND(F.lit(mask)) == 0
 
 
 def ship(f, limit: int) -> bytes:
@@ -202,5 +202,5 @@ class Loaded:
             below = np.bitwise_count(bitmap & ((np.uint64(1) << bit) - np.uint64(1))).astype(np.int64)
             at = 2 * self.seg_len + self.words[n_words + (third >> 6)].astype(np.int64) + below
             value = np.where((bitmap >> bit) & np.uint64(1) == 1, self.cells[at], 0).astype(self.cells.dtype)
-            return lookup(self.cells, loc[:, :2]) ^ value == fingerprint(a, s.fp_bits)
-        return lookup(self.cells, loc) == fingerprint(a, s.fp_bits)
+            return lookup(self.cells, loc[:, :2]) ^ value == fingerprint(a, s.fp_bits, s.fingerprint)
+        return lookup(self.cells, loc) == fingerprint(a, s.fp_bits, s.fingerprint)

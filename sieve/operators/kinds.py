@@ -41,7 +41,7 @@ def _peelable(keys: np.ndarray, seed: int, s: Spec, seg_len: int, seg_count: int
         order = np.argsort(start.astype(np.uint16) if seg_count < 1 << 16 else start, kind="stable")  # a radix sort for 16-bit numbers
         a, b = a.take(order), b.take(order)
     loc = locations(a, b, seg_len, seg_count, s.arity, s.layout)
-    layers = peel(loc, cells, s.order, late)
+    layers = peel(loc, cells, s.order, late, s.buffered)
     if peeled(layers) < len(keys):
         return None
     return a, loc, layers, cells
@@ -64,7 +64,7 @@ def build_fuse(keys: np.ndarray, seed: int, s: Spec) -> Payload | None:
     if found is None:
         return None
     a, loc, layers, cells = found
-    out = assign(layers, loc, fingerprint(a, s.fp_bits), cells)
+    out = assign(layers, loc, fingerprint(a, s.fp_bits, s.fingerprint), cells)
     return Payload(cells * s.fp_bits, cells=out, seg_len=seg_len, seg_count=seg_count, array_len=cells)
 
 
@@ -79,7 +79,7 @@ def build_xorplus(keys: np.ndarray, seed: int, s: Spec) -> Payload | None:
     if found is None:
         return None
     a, loc, layers, cells = found
-    full = assign(layers, loc, fingerprint(a, s.fp_bits), cells)
+    full = assign(layers, loc, fingerprint(a, s.fp_bits, s.fingerprint), cells)
     third = full[2 * seg_len :]
     used = third != 0
     n_words = -(-seg_len // 64)

@@ -12,7 +12,7 @@ from sieve.schema import MEASUREMENTS, spec
 
 #: Every kind and setting that is compared.
 CATALOGUE: dict[str, tuple[str, dict]] = {
-    "fuse3-8": ("fuse3", {}), "fuse3-16": ("fuse3", {"fp_bits": 16}), "fuse4-8": ("fuse4", {}), "fuse4-16": ("fuse4", {"fp_bits": 16}), "xor-8": ("xor", {}), "xor-16": ("xor", {"fp_bits": 16}),
+    "fuse3-8": ("fuse3", {}), "fuse3-16": ("fuse3", {"fp_bits": 16}), "fuse4-8": ("fuse4", {}), "fuse4-16": ("fuse4", {"fp_bits": 16}), "xor-8": ("xor", {}), "xor-16": ("xor", {"fp_bits": 16}), "xor-8b": ("xor", {"buffered": True}),
     "xorplus-8": ("xorplus", {}), "bloom-12": ("bloom", {"bits_per_key": 12.0}), "bloom-16": ("bloom", {"bits_per_key": 16.0}), "blocked-12": ("blocked", {}), "cuckoo-12": ("cuckoo", {"fp_bits": 12}), "cuckoo-16": ("cuckoo", {"fp_bits": 16}),
     "ribbon-8": ("ribbon", {"fp_bits": 8}), "ribbon-15": ("ribbon", {"fp_bits": 15}), "ribbon-8h": ("ribbon", {"fp_bits": 8, "homogeneous": True}), "ribbon-15h": ("ribbon", {"fp_bits": 15, "homogeneous": True}), "vqf-8": ("vqf", {"max_load": 0.93}),
 }

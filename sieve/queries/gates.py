@@ -40,7 +40,8 @@ KINDS = {
     "ribbon8_homog_semi": ("ribbon", {"fp_bits": 8, "homogeneous": True}), "ribbon15_homog_semi": ("ribbon", {"fp_bits": 15, "homogeneous": True}), "vqf_semi": ("vqf", {"max_load": 0.93}), "xorplus_semi": ("xorplus", {}),
     "bloom_by_aggregation_semi": ("bloom", {"engine": "sql"}), "blocked_by_aggregation_semi": ("blocked", {"engine": "sql"}), "fuse5_semi": ("fuse5", {"size_factor": 1.35}),
     "fuse6_semi": ("fuse6", {"size_factor": 1.5}), "fuse7_semi": ("fuse7", {"size_factor": 1.65}), "fuse8_semi": ("fuse8", {"size_factor": 1.8}), "overlap_semi": ("fuse3", {"layout": "overlap", "size_factor": 1.4}),
-    "plain_fuse_semi": ("fuse3", {"layout": "plain"}), "fuse3_32bit_semi": ("fuse3", {"fp_bits": 32}), "cuckoo_pow2_semi": ("cuckoo", {"power_of_two": True, "max_load": 0.96}), "murmur_family_semi": ("fuse3", {"family": "murmur64"}), "md5_family_semi": ("fuse3", {"family": "md5"}),
+    "plain_fuse_semi": ("fuse3", {"layout": "plain"}), "fuse3_32bit_semi": ("fuse3", {"fp_bits": 32}), "xor8_buffered_semi": ("xor", {"buffered": True}),
+    "own_fingerprint_semi": ("fuse3", {"fingerprint": "sieve.functions.hashing:FOLDED"}), "cuckoo_pow2_semi": ("cuckoo", {"power_of_two": True, "max_load": 0.96}), "murmur_family_semi": ("fuse3", {"family": "murmur64"}), "md5_family_semi": ("fuse3", {"family": "md5"}),
 }
 _QUARTER = "SELECT l_returnflag, count(*) AS n_lines, count(DISTINCT l_orderkey) AS n_orders FROM lineitem WHERE l_orderkey IN (SELECT o_orderkey FROM orders WHERE o_orderkey % 4 = 0) GROUP BY l_returnflag"
 

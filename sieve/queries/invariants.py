@@ -117,6 +117,19 @@ def presort_same_answers(spark, sf_dir):
     return both.agg(F.bool_and(F.col("x") == F.col("y")).alias("same_cells"), F.sum("n").alias("n"))
 
 
+@_query("SELECT kind, true AS same_cells, CAST(count(*) AS BIGINT) AS n FROM orders, (VALUES ('xor'), ('xorplus')) t(kind) GROUP BY kind")
+def buffered_same_cells(spark, sf_dir):
+    """Keys that pass through buffers change the memory walk, never the cells."""
+    out = None
+    for kind in ("xor", "xorplus"):
+        a = build(_orders(spark, sf_dir), "o_orderkey", kind, buffered=True).table
+        b = build(_orders(spark, sf_dir), "o_orderkey", kind).table
+        both = a.select("shard", "n", F.col("cells8").alias("x")).join(b.select("shard", F.col("cells8").alias("y")), "shard")
+        one = both.agg(F.lit(kind).alias("kind"), F.bool_and(F.col("x") == F.col("y")).alias("same_cells"), F.sum("n").alias("n"))
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
 @_query("SELECT kind, source, true AS rare FROM (VALUES ('fuse3', 'supplier'), ('fuse3', 'part'), ('fuse4', 'orders'), ('xor', 'supplier'), ('xor', 'part')) t(kind, source)")
 def failure_sim(spark, sf_dir):
     """First seeds fail in at most one of a hundred builds (fuse) or one of ten (xor), up to a Wilson bound.

@@ -69,6 +69,8 @@ class Spec:
     max_load: float = 0.94
     power_of_two: bool = False
     presort: bool = True
+    buffered: bool = False  # xor: keys pass through buffers by region of the array
+    fingerprint: str = ""  # "module:attribute" of a fingerprint function of the caller's
     order: str = "layer"
     max_attempts: int = 100
 
@@ -97,4 +99,9 @@ def spec(kind: str, **how) -> Spec:
     allowed = {"cuckoo": range(4, 17), "ribbon": range(1, 33), "vqf": (8,)}.get(kind, (8, 16, 32))
     if how.get("fp_bits", 8) not in allowed:
         raise ValueError(f"{kind} takes fingerprints of {list(allowed)} bits")
-    return Spec(kind, **how)
+    made = Spec(kind, **how)
+    if made.fingerprint and not made.kind.startswith(("fuse", "xor")):
+        raise ValueError(f"{kind} takes no fingerprint function")
+    if made.buffered and kind not in ("xor", "xorplus"):
+        raise ValueError("only xor and xorplus are built through buffers")
+    return made

@@ -367,3 +367,32 @@ def test_a_growing_filter_decides_and_its_errors_are_looked_up(spark, tmp_path):
         c = counts.toPandas()
         assert (c.found_new.sum() > 0) == errs and c.sure.sum() + c.found_new.sum() == found.count()
         assert errs or c.sure.sum() == found.count()
+
+
+def test_a_callers_fingerprint_function_decides(spark, tmp_path):
+    keys = random_keys(5000, 11)
+    df = spark.createDataFrame([(int(k),) for k in keys], "k bigint")
+    plain = build(df, "k", "fuse3")
+    for kind in ("fuse3", "fuse4", "xor", "xorplus"):
+        own = build(df, "k", kind, fingerprint="sieve.functions.hashing:FOLDED")
+        assert probe.semi(df, own, "k").count() == len(keys)
+        outside = spark.range(10**15, 10**15 + 50_000).select(F.col("id").alias("k"))
+        hits = probe.semi(outside, own, "k")
+        assert 100 < hits.count() < 320  # 195 expected
+        assert probe.contains_arrow(outside, own, ["k"]).filter("maybe_member").select("k").exceptAll(hits).count() == 0
+    own = build(df, "k", "fuse3", fingerprint="sieve.functions.hashing:FOLDED")
+    assert own.table.first()["cells8"] != plain.table.first()["cells8"]
+    catalog.save(own, str(tmp_path / "own"))
+    assert probe.semi(df, catalog.load(spark, str(tmp_path / "own")), "k").count() == len(keys)
+    with pytest.raises(ValueError):
+        spec("bloom", fingerprint="sieve.functions.hashing:FOLDED")
+    with pytest.raises(TypeError):
+        build_keys(keys, spec("fuse3", fingerprint="sieve.functions.hashing:LOW32"), 1)
+
+
+def test_buffers_give_the_same_packed_cells():
+    rng = np.random.default_rng(5)
+    loc = np.stack([rng.integers(j * 70_000, (j + 1) * 70_000, 150_000) for j in range(3)], axis=1)
+    assert (peel.packed(loc, 210_000) == peel.packed_by_region(loc, 210_000)).all()
+    with pytest.raises(ValueError):
+        spec("fuse3", buffered=True)
