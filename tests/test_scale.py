@@ -25,9 +25,17 @@ def test_a_sweep_measures_sets_of_many_shards_whole(spark, small_shards):
     assert ((lines.fpr - 1 / 256).abs() < 0.0005).all() and (lines.build_ns_per_key > 0).all()
 
 
+def test_failures_are_tried_on_every_shard(spark, small_shards, tmp_path):
+    for t, c in (("supplier", "s_suppkey"), ("part", "p_partkey"), ("orders", "o_orderkey")):
+        spark.range({"supplier": 0, "part": 700, "orders": 6000}[t]).withColumnRenamed("id", c).write.parquet(str(tmp_path / f"{t}.parquet"))
+    got = entry.queries()["failure_sim"](spark, str(tmp_path)).toPandas()
+    assert set(zip(got.kind, got.source)) == {("fuse3", "supplier"), ("fuse3", "part"), ("fuse4", "orders"), ("xor", "supplier"), ("xor", "part")}
+    assert got[got.source == "supplier"].rare.all()
+
+
 def test_every_turn_gets_its_whole_shard(spark, small_shards):
     df = spark.range(3000).select(F.when(F.col("id") % 3 > 0, F.col("id")).alias("k"))
-    run = lambda name, at, shards, turn, keys: iter([{"name": name, "at": at, "shards": shards, "turn": turn, "n": len(keys), "x": int(keys[0]) ^ int(keys[-1])}])
+    run = lambda name, at, shards, turn, turns, keys: iter([{"name": name, "at": at, "shards": shards, "turn": turn, "n": len(keys), "x": int(keys[0]) ^ int(keys[-1])}])
     got = workloads.over_shards({"a": (df.union(df), ["k"]), "b": (df.limit(9), ["k"]), "none": (df.limit(0), ["k"])}, run, "name string, at int, shards int, turn int, n long, x long", tasks=8).toPandas()
     assert got[got.name == "a"].groupby("turn").n.sum().tolist() == [2000] * 4 and got[got.name == "a"].groupby("at").x.nunique().tolist() == [1, 1]
     assert got[got.name == "b"].n.tolist() == [df.limit(9).dropna().count()] * 8 and set(got.name) == {"a", "b"}
