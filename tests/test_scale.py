@@ -39,3 +39,17 @@ def test_every_turn_gets_its_whole_shard(spark, small_shards):
     got = workloads.over_shards({"a": (df.union(df), ["k"]), "b": (df.limit(9), ["k"]), "none": (df.limit(0), ["k"])}, run, "name string, at int, shards int, turn int, n long, x long", tasks=8).toPandas()
     assert got[got.name == "a"].groupby("turn").n.sum().tolist() == [2000] * 4 and got[got.name == "a"].groupby("at").x.nunique().tolist() == [1, 1]
     assert got[got.name == "b"].n.tolist() == [df.limit(9).dropna().count()] * 8 and set(got.name) == {"a", "b"}
+
+
+def test_kinds_are_measured_over_every_shard(spark, small_shards):
+    members = spark.range(6000).withColumnRenamed("id", "k")
+    got = workloads.measure_kinds(spark, members.union(members), "k", ["fuse3-8", "vqf-8"]).toPandas().set_index("filter")
+    assert (got.n == 6000).all() and (got.n_probe == 8_000_000).all() and (got.repeat == 3).all()
+    assert abs(got.fpr["fuse3-8"] - 1 / 256) < 0.0002 and got.overhead["vqf-8"] > got.overhead["fuse3-8"] > 0
+
+
+def test_one_shard_is_measured_as_its_keys_are(spark):
+    members = spark.range(3000).withColumnRenamed("id", "k")
+    got = workloads.measure_sets(spark, {"families": (members, ["k"])}, ["fuse3-8", "xor-8"], n_probe=50_000).toPandas().set_index("filter")
+    for r in workloads.measure(workloads.key_array(members, "k")[0], ["fuse3-8", "xor-8"], n_probe=50_000):
+        assert {c: got[c][r["filter"]] for c in ("n", "n_probe", "bits_per_key", "fpr", "overhead", "note")} == {c: r[c] for c in ("n", "n_probe", "bits_per_key", "fpr", "overhead", "note")}
