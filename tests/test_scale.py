@@ -77,3 +77,10 @@ def test_formulas_take_their_sets_from_the_tables(spark, odd, same, name):
     df = entry.queries()[name](spark, root)
     assert df.inputFiles()
     same(df.toPandas(), con.execute(entry.oracle_sql()[name]).df())
+
+
+def test_failure_curve_builds_over_the_lines(spark, odd):
+    """8820 lines have some 3920 keys: larger sets are not made up."""
+    got = entry.queries()["failure_curve"](spark, odd[0]).toPandas()
+    assert sorted(set(got.n)) == [5, 10, 30, 100, 300, 1000, 3000] and len(got) == 21
+    assert got.failure_rate.between(0, 1).all() and (got.most_tries >= 1).all()
