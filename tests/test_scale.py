@@ -84,3 +84,10 @@ def test_failure_curve_builds_over_the_lines(spark, odd):
     got = entry.queries()["failure_curve"](spark, odd[0]).toPandas()
     assert sorted(set(got.n)) == [5, 10, 30, 100, 300, 1000, 3000] and len(got) == 21
     assert got.failure_rate.between(0, 1).all() and (got.most_tries >= 1).all()
+
+
+def test_space_order_is_that_of_the_lines(spark, odd, same):
+    """So few keys that padding makes the fuse array larger than xor's."""
+    got = entry.queries()["space_order"](spark, odd[0]).toPandas()
+    same(got, odd[1].execute(entry.oracle_sql()["space_order"]).df())
+    assert not got.set_index("kind").ordered["xor over fuse3"] and got.ordered.sum() == 6
