@@ -71,7 +71,7 @@ def odd(spark, tmp_path_factory):
     return str(root), con
 
 
-@pytest.mark.parametrize("name", ["accesses_per_probe", "crossover", "cuckoo_equal_eps", "smallest_curve"])
+@pytest.mark.parametrize("name", ["accesses_per_probe", "crossover", "cuckoo_equal_eps", "smallest_curve", "theory_curves"])
 def test_formulas_take_their_sets_from_the_tables(spark, odd, same, name):
     root, con = odd
     df = entry.queries()[name](spark, root)
