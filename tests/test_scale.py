@@ -1,5 +1,8 @@
 """Measures and simulations over key sets of more than one shard, and over the given tables."""
 
+from collections import Counter
+
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
@@ -33,6 +36,28 @@ def test_failures_are_tried_on_every_shard(spark, small_shards, tmp_path):
     assert got[got.source == "supplier"].rare.all()
 
 
+@pytest.mark.parametrize("name, pairs", [("failure_sim", 5), ("failure_sim_others", 4)])
+def test_every_key_set_tries_as_many_seeds(spark, monkeypatch, name, pairs):
+    done = []
+
+    def over_shards(sets, run, schema, tasks=1):
+        done.extend(r for s in sets for turn in range(3) for r in run(s, 0, 1, turn, 3, np.arange(40)))
+        return spark.createDataFrame(done, schema)
+
+    monkeypatch.setattr("sieve.queries.invariants.over_shards", over_shards)
+    assert entry.queries()[name](spark, SMALL).count() == pairs
+    assert set(Counter((r["kind"], r["source"]) for r in done).values()) == {200}
+
+
+def test_failures_of_the_other_pairs_are_counted_on_every_shard(spark, small_shards, tmp_path):
+    for t, c, n in (("supplier", "s_suppkey", 0), ("part", "p_partkey", 700), ("orders", "o_orderkey", 2500)):
+        spark.range(n).withColumnRenamed("id", c).write.parquet(str(tmp_path / f"{t}.parquet"))
+    got = entry.queries()["failure_sim_others"](spark, str(tmp_path)).toPandas().set_index(["kind", "source"])
+    assert got.builds.to_dict() == {("fuse4", "supplier"): 0, ("fuse4", "part"): 200, ("fuse3", "orders"): 800, ("xor", "orders"): 800}
+    some = got[got.builds > 0]
+    assert (some.failure_rate == some.failed / some.builds).all() and (some.most_tries >= 1 + (some.failed > 0)).all()
+
+
 def test_every_turn_gets_its_whole_shard(spark, small_shards):
     df = spark.range(3000).select(F.when(F.col("id") % 3 > 0, F.col("id")).alias("k"))
     run = lambda name, at, shards, turn, turns, keys: iter([{"name": name, "at": at, "shards": shards, "turn": turn, "n": len(keys), "x": int(keys[0]) ^ int(keys[-1])}])
